@@ -10,12 +10,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from webtext.session import ship
+
 #: One word, in Java's and RE2's spelling: a run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    return ship(spark).read.parquet(f"{sf_dir}/{table}.parquet")
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -37,7 +39,7 @@ def fresh_path(spark: SparkSession, tag: str) -> str:
 
 def cut(df: DataFrame) -> DataFrame:
     """Materialises df in the shared folder and cuts its lineage; survives the loss of executors."""
-    shared_dir(df.sparkSession)
+    shared_dir(ship(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
