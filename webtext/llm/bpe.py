@@ -25,6 +25,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 _NEVER = 1 << 60
+_BASE = np.uint64(0x9E3779B97F4A7C15)
 # White space of the tokenizer's splitting rule, and the rule itself. Letters come first, which
 # changes no match as no other branch can start with a letter, or with a space and a letter.
 _WS = r"\t-\r \x85\xa0  -     　"
@@ -43,7 +44,7 @@ def byte_alphabet() -> dict[str, int]:
 class Encoder(dict):
     """piece -> ids as the bytes of an int32 array, remembering at most `room` pieces."""
 
-    def __init__(self, path: str, room: int = 250_000):
+    def __init__(self, path: str, room: int = 400_000):
         super().__init__()
         self.room = room
         spec = json.load(open(path, encoding="utf-8"))
@@ -76,6 +77,15 @@ class Encoder(dict):
         self.latin_pieces = re.compile(_RULE.format(letter=f"A-Za-z{_LATIN}", digit="0-9", ws=_WS))
         self.beyond_latin = re.compile(f"[^\x00-\x7f{_LATIN}]")
         self.known: dict[int, bool] = {}
+        sizes: dict[int, list[tuple[int, int]]] = {}
+        for text, (token, size) in matcher.items():
+            h = 0
+            for byte in text.encode("latin-1"):
+                h = (h * int(_BASE) + byte + 1) & (1 << 64) - 1
+            sizes.setdefault(size, []).append((h, token))
+        self.longest = max(sizes)
+        self.by_size = {n: tuple(np.array(c, t) for c, t in zip(zip(*sorted(x), strict=True), (np.uint64, np.int64), strict=True)) for n, x in sizes.items()}
+        self.power = [np.uint64(pow(int(_BASE), n, 1 << 64)) for n in range(self.longest + 1)]
 
     @staticmethod
     def _spine(token: int, made: dict, side: int) -> tuple[list[int], list[int]]:
@@ -106,43 +116,99 @@ class Encoder(dict):
                 j += 1
 
     def __missing__(self, piece: str) -> bytes:
-        raw = piece.encode("utf-8", "surrogatepass").decode("latin-1")
-        known, token_at, size_at = self.known, [-1] * len(raw), [0] * len(raw)
+        """The ids of one piece, token by token: for pieces of any length."""
+        raw = piece.encode().decode("latin-1")
+        token_at, size_at = [-1] * len(raw), [0] * len(raw)
         for end, (token, size) in self.matcher.iter(raw):
-            if size_at[end]:
-                continue
-            if size <= end:
-                before = token_at[end - size]
-                if before < 0:
-                    continue
-                fits = known.get(pair := before << 20 | token)
-                if fits is None:
-                    if len(known) > 1_000_000:
-                        known.clear()
-                    fits = known[pair] = self._fits(before, token)
-                if not fits:
-                    continue
-            token_at[end], size_at[end] = token, size
+            if not size_at[end] and (size > end or token_at[end - size] >= 0 and self._pair(token_at[end - size] << 20 | token)):
+                token_at[end], size_at[end] = token, size
         ids, end = [], len(raw) - 1
         while end >= 0:
             ids.append(token_at[end])
             end -= size_at[end]
-        out = np.array(ids[::-1], np.int32).tobytes()
-        if len(raw) < 256:
-            if len(self) >= self.room:
-                self.clear()
-            self[piece] = out
-        return out
-
-    def encode(self, text: str) -> np.ndarray:
+        return np.array(ids[::-1], np.int32).tobytes()
+
+    def _pair(self, pair: int) -> bool:
+        fits = self.known.get(pair)
+        if fits is None:
+            if len(self.known) > 600_000:
+                self.known.clear()
+            fits = self.known[pair] = self._fits(pair >> 20, pair & 0xFFFFF)
+        return fits
+
+    def learn(self, pieces: list[str]) -> None:
+        """The same for many short pieces at once, prefix length by prefix length."""
+        raws = sorted((p.encode() for p in pieces), key=len, reverse=True)
+        sizes = np.fromiter(map(len, raws), np.int64, len(raws))
+        wide = int(sizes[0])
+        inside = np.arange(wide) < sizes[:, None]
+        text = np.zeros((len(raws), wide), np.uint64)
+        text[inside] = np.frombuffer(b"".join(raws), np.uint8)
+        hashes = np.zeros((wide + 1, len(raws)), np.uint64)
+        for e in range(wide):
+            hashes[e + 1] = hashes[e] * _BASE + text[:, e] + np.uint64(1)
+        token_at, size_at = np.full((wide, len(raws)), -1, np.int64), np.zeros((wide, len(raws)), np.int64)
+        for e in range(wide):
+            open_ = np.arange(int(np.searchsorted(-sizes, -e)))  # the pieces longer than e
+            for size in range(min(e + 1, self.longest), 0, -1):
+                if not len(open_):
+                    break
+                if size not in self.by_size:
+                    continue
+                keys, ids = self.by_size[size]
+                h = hashes[e + 1, open_] - hashes[e + 1 - size, open_] * self.power[size]
+                at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+                hit = np.flatnonzero(keys[at] == h)
+                if not len(hit):
+                    continue
+                token = ids[at[hit]]
+                if size <= e:
+                    before = token_at[e - size, open_[hit]]
+                    pairs, back = np.unique(before << 20 | token, return_inverse=True)
+                    fits = np.array([p >= 0 and self._pair(p) for p in pairs.tolist()], bool)[back]
+                    hit, token = hit[fits], token[fits]
+                token_at[e, open_[hit]], size_at[e, open_[hit]] = token, size
+                open_ = np.delete(open_, hit)
+        ids, end, number, each = np.zeros((len(raws), wide), np.int32), sizes - 1, np.zeros(len(raws), np.int64), np.arange(len(raws))
+        while len(each):
+            number[each] += 1
+            ids[each, wide - number[each]] = token_at[end[each], each]
+            end[each] -= size_at[end[each], each]
+            each = each[end[each] >= 0]
+        flat, row = ids.tobytes(), 4 * wide
+        for k, (raw, n) in enumerate(zip(raws, number.tolist(), strict=True)):
+            self[raw.decode()] = flat[(k + 1) * row - 4 * n : (k + 1) * row]
+
+    def split(self, text: str) -> list[str | bytes]:
+        """Pieces of the text; special tokens as their ids."""
         rule = self.pieces if self.beyond_latin.search(text) else self.latin_pieces
         out, at = [], 0
         for hit in self.cut_specials.finditer(text):
-            out.extend(map(self.__getitem__, rule.findall(text[at : hit.start()])))
+            out += rule.findall(text[at : hit.start()])
             out.append(np.int32(self.specials[hit[0]]).tobytes())
             at = hit.end()
-        out.extend(map(self.__getitem__, rule.findall(text[at:] if at else text)))
-        return np.frombuffer(b"".join(out), np.int32)
+        out += rule.findall(text[at:] if at else text)
+        return out
+
+    def encode_all(self, texts: list[str]) -> list[np.ndarray]:
+        """The ids of each text; texts are taken together up to about a million characters."""
+        out, held, size = [], [], 0
+        for k, text in enumerate(texts):
+            held.append(self.split(text))
+            size += len(text)
+            if size > 1_000_000 or k == len(texts) - 1:
+                if len(self) > self.room:
+                    self.clear()
+                new = [p for p in set().union(*held).difference(self) if type(p) is str and len(p) <= 40]
+                if new:
+                    self.learn(new)
+                get = self.__getitem__
+                out += [np.frombuffer(b"".join([get(p) if type(p) is str else p for p in pieces]), np.int32) for pieces in held]
+                held, size = [], 0
+        return out
+
+    def encode(self, text: str) -> np.ndarray:
+        return self.encode_all([text])[0]
 
     def decode(self, ids: list[int]) -> str:
         return b"".join([self.bytes_of.get(i, b"") for i in ids]).decode("utf-8", "replace")
@@ -159,13 +225,9 @@ def bpe_encode(text: Column | str, path: str) -> Column:
 
     @F.arrow_udf("array<int>")
     def ids(column: pa.Array) -> pa.Array:
-        e = encoder(path)
-        flat, offsets = [], [0]
-        for t in column:
-            got = e.encode(t.as_py() or "")
-            flat.append(got)
-            offsets.append(offsets[-1] + len(got))
-        return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(flat) if flat else np.zeros(0, np.int32)))
+        found = encoder(path).encode_all([t.as_py() or "" for t in column])
+        offsets = np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(found) if found else np.zeros(0, np.int32)))
 
     return ids(text)
 
@@ -176,6 +238,6 @@ def bpe_decode(ids: Column | str, path: str) -> Column:
     @F.arrow_udf("string")
     def text(column: pa.Array) -> pa.Array:
         e = encoder(path)
-        return pa.array([None if x is None else e.decode(x) for x in column.to_pylist()], pa.string())
+        return pa.array((e.decode(x.values.to_numpy().tolist()) if x.is_valid else None for x in column), pa.string())
 
     return text(ids)
