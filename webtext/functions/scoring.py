@@ -51,7 +51,7 @@ def linear(weights: tuple[float, ...], blocks: list[Block]) -> list[tuple[float,
     z = [sum(w * f for w, f in zip(weights, row, strict=True)) for row in features(blocks)]
     out = list(z)
     for k in range(1, len(z) - 1):
-        if len(blocks[k].text) < 25 and blocks[k].tag[:1] != "h" and (z[k] > 0) != (z[k - 1] > 0) and (z[k] > 0) != (z[k + 1] > 0):
+        if abs(z[k]) < 1 and len(blocks[k].text) < 25 and blocks[k].tag[:1] != "h" and (z[k] > 0) != (z[k - 1] > 0) and (z[k] > 0) != (z[k + 1] > 0):
             out[k] = (z[k - 1] + z[k + 1]) / 2
     return [(-x / 2, x / 2) for x in out]
 

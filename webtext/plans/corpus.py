@@ -1 +1,282 @@
-"""Later."""
+"""Queries on documents: corpus construction."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from webtext.functions.scoring import STOP
+from webtext.operators import corpus as C
+from webtext.operators import templates as T
+from webtext.plans.registry import query
+
+_WS = r"list_filter(string_split_regex({c}, '\s+'), lambda x: x <> '')"
+
+
+@query("exact_dedup", "SELECT min(doc_id) AS doc_id FROM documents GROUP BY sha256(text)")
+def _(t):
+    return C.exact_dedup(t("documents")).select("doc_id")
+
+
+@query("exact_dup_groups", "SELECT min(doc_id) AS doc_id, count(*)::BIGINT AS n FROM documents GROUP BY sha256(text) HAVING count(*) > 1")
+def _(t):
+    return C.exact_dedup(t("documents")).where("n > 1")
+
+
+@query("exact_dedup_squeezed", r"SELECT min(doc_id) AS doc_id FROM documents GROUP BY trim(regexp_replace(text, '\s+', ' ', 'g'))")
+def _(t):
+    return C.exact_dedup(t("documents"), "squeezed").select("doc_id")
+
+
+@query("line_dedup", "SELECT count(*)::BIGINT AS n_lines, count(DISTINCT l)::BIGINT AS n_distinct FROM (SELECT unnest(string_split(text, chr(10))) AS l FROM documents)")
+def _(t):
+    lines = t("documents").select(F.explode(F.split("text", "\n", -1)).alias("l"))
+    return lines.groupBy("l").agg(F.count("*").alias("n")).agg(F.sum("n").alias("n_lines"), F.count("*").alias("n_distinct"))
+
+
+@query("url_dedup", "SELECT count(*)::BIGINT AS n_pages, count(DISTINCT lower(url))::BIGINT AS n_urls FROM pages")
+def _(t):
+    return t("pages").agg(F.count("*").alias("n_pages"), F.countDistinct(F.lower("url")).alias("n_urls"))
+
+
+def _vote_sql() -> str:
+    w = r"list_filter(string_split_regex(lower(text), '[^\p{L}]+'), lambda x: x <> '')"
+    hit = ", ".join(f"len(list_filter(w, lambda x: x IN ({', '.join(repr(s) for s in sorted(v))})))  AS {k}_" for k, v in STOP.items())
+    best = f"greatest({', '.join(f'{k}_' for k in STOP)})"
+    case = " ".join(f"WHEN {k}_ = {best} THEN '{k}'" for k in STOP)
+    n = " + ".join(f"({k}_ = {best})::INT" for k in STOP)
+    return f"SELECT doc_id, lang, CASE WHEN {best} = 0 OR ({n}) > 1 THEN 'und' {case} END AS lang_pred FROM (SELECT doc_id, lang, {hit} FROM (SELECT doc_id, lang, {w} AS w FROM documents))"
+
+
+@query("lang_vote", f"SELECT doc_id, lang_pred FROM ({_vote_sql()})")
+def _(t):
+    return t("documents").select("doc_id", C.lang_vote().alias("lang_pred"))
+
+
+@query("lang_confusion", f"SELECT lang, lang_pred, count(*)::BIGINT AS n FROM ({_vote_sql()}) GROUP BY 1, 2")
+def _(t):
+    return t("documents").groupBy("lang", C.lang_vote().alias("lang_pred")).agg(F.count("*").alias("n"))
+
+
+@query("lang_nb")
+def _(t):
+    """Naive Bayes on trigrams, trained on even ids and judged on odd ones."""
+    d = t("documents")
+    got = C.lang_bayes(d.where("doc_id % 2 = 1"), C.trigram_model(d.where("doc_id % 2 = 0")))
+    return d.where("doc_id % 2 = 1").join(got, "doc_id", "left").groupBy("lang", "lang_pred").agg(F.count("*").alias("n"))
+
+
+_N = f"len({_WS.format(c='text')})"
+_STOPS = ", ".join(repr(s) for s in sorted(frozenset().union(*STOP.values())))
+MEASURES = f"""m0 AS (SELECT doc_id, text, {_WS.format(c="text")} AS w, list_filter(string_split(text, chr(10)), lambda x: trim(x) <> '') AS l FROM documents),
+m AS (SELECT doc_id, len(w)::BIGINT AS n_words,
+  CASE WHEN len(w) > 0 THEN round(length(array_to_string(w, '')) / len(w), 6) ELSE 0 END AS mean_word_len,
+  CASE WHEN len(w) > 0 THEN round((length(text) - length(replace(text, '#', ''))) / len(w), 6) ELSE 0 END AS hash_ratio,
+  CASE WHEN len(w) > 0 THEN round((len(regexp_split_to_array(text, '\\.\\.\\.|…')) - 1) / len(w), 6) ELSE 0 END AS ellipsis_ratio,
+  CASE WHEN len(l) > 0 THEN round(len(list_filter(l, lambda x: regexp_matches(trim(x), '^[•\\-*‣]'))) / len(l), 6) ELSE 0 END AS bullet_share,
+  CASE WHEN len(l) > 0 THEN round(len(list_filter(l, lambda x: regexp_matches(rtrim(x), '(\\.\\.\\.|…)$'))) / len(l), 6) ELSE 0 END AS ellipsis_lines,
+  CASE WHEN len(w) > 0 THEN round(len(list_filter(w, lambda x: regexp_matches(x, '\\p{{L}}'))) / len(w), 6) ELSE 0 END AS alpha_share,
+  len(list_distinct(list_filter(list_transform(w, lambda x: lower(x)), lambda x: x IN ({_STOPS}))))::BIGINT AS n_stop,
+  CASE WHEN len(l) > 0 THEN round((len(l) - len(list_distinct(l))) / len(l), 6) ELSE 0 END AS dup_line_share,
+  CASE WHEN len(l) > 0 THEN round((length(array_to_string(l, '')) - length(array_to_string(list_distinct(l), ''))) / length(array_to_string(l, '')), 6) ELSE 0 END AS dup_line_chars FROM m0)"""
+
+
+@query("q_length", f"WITH {MEASURES} SELECT doc_id, n_words, mean_word_len FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", "n_words", "mean_word_len")
+
+
+@query("q_symbols", f"WITH {MEASURES} SELECT doc_id, hash_ratio, ellipsis_ratio FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", "hash_ratio", "ellipsis_ratio")
+
+
+@query("q_lines", f"WITH {MEASURES} SELECT doc_id, bullet_share, ellipsis_lines FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", "bullet_share", "ellipsis_lines")
+
+
+@query("q_alpha_stop", f"WITH {MEASURES} SELECT doc_id, alpha_share, n_stop FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", "alpha_share", "n_stop")
+
+
+@query("q_repetition", f"WITH {MEASURES} SELECT doc_id, dup_line_share, dup_line_chars FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", "dup_line_share", "dup_line_chars")
+
+
+_GRAMS = f"""w AS (SELECT doc_id, length(text) AS chars, list_transform({_WS.format(c="text")}, lambda x: lower(x)) AS w FROM documents),
+g AS (SELECT doc_id, n, unnest(list_transform(range(1, len(w) - n + 2), lambda i: array_to_string(w[i:i + n - 1], ' '))) AS gram FROM w, range(2, 11) AS r(n) WHERE len(w) >= n),
+c AS (SELECT doc_id, n, gram, count(*) AS c FROM g GROUP BY ALL),
+s AS (SELECT doc_id, n, max(CASE WHEN c > 1 THEN c * length(gram) END) AS top, sum(CASE WHEN c > 1 THEN c - 1 END) AS dup, sum(c) AS total FROM c GROUP BY ALL)
+SELECT doc_id, {", ".join(f"coalesce(max(CASE WHEN n = {n} THEN round(top / chars, 6) END), 0) AS top{n}" for n in (2, 3, 4))}, {", ".join(f"coalesce(max(CASE WHEN n = {n} THEN round(dup / total, 6) END), 0) AS dup{n}" for n in range(5, 11))}
+FROM w LEFT JOIN s USING (doc_id) GROUP BY doc_id"""
+
+
+@query("q_gram_repetition", f"WITH {_GRAMS}")
+def _(t):
+    return C.gram_shares(t("documents"))
+
+
+_REASONS = """list_filter([CASE WHEN n_words NOT BETWEEN 50 AND 100000 THEN 'words' END, CASE WHEN mean_word_len NOT BETWEEN 3 AND 10 THEN 'word_length' END, CASE WHEN hash_ratio > 0.1 THEN 'hash' END,
+  CASE WHEN ellipsis_ratio > 0.1 THEN 'ellipsis' END, CASE WHEN bullet_share > 0.9 THEN 'bullets' END, CASE WHEN ellipsis_lines > 0.3 THEN 'ellipsis_lines' END, CASE WHEN alpha_share < 0.8 THEN 'alpha' END,
+  CASE WHEN n_stop < 2 THEN 'stop' END, CASE WHEN dup_line_share > 0.3 THEN 'dup_lines' END, CASE WHEN dup_line_chars > 0.2 THEN 'dup_line_chars' END], lambda x: x IS NOT NULL)"""
+
+
+@query("q_reasons", f"WITH {MEASURES} SELECT doc_id, array_to_string({_REASONS}, ',') AS reasons FROM m")
+def _(t):
+    return C.measures(t("documents")).select("doc_id", F.array_join(C.reasons(), ",").alias("reasons"))
+
+
+@query("q_vs_labels", f"""WITH {MEASURES}, x AS (SELECT len({_REASONS}) > 0 AS bad, quality FROM m JOIN labels USING (doc_id))
+  SELECT count(*) FILTER (bad AND quality = 0)::BIGINT AS tp, count(*) FILTER (bad AND quality = 1)::BIGINT AS fp, count(*) FILTER (NOT bad AND quality = 0)::BIGINT AS fn, count(*) FILTER (NOT bad AND quality = 1)::BIGINT AS tn FROM x""")
+def _(t):
+    x = C.measures(t("documents")).select("doc_id", (F.size(C.reasons()) > 0).alias("bad")).join(t("labels"), "doc_id")
+    cell = lambda b, q: F.count(F.when((F.col("bad") == b) & (F.col("quality") == q), 1))
+    return x.agg(cell(True, 0).alias("tp"), cell(True, 1).alias("fp"), cell(False, 0).alias("fn"), cell(False, 1).alias("tn"))
+
+
+_HOST = r"lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#:]+)', 1))"
+
+
+@query("safety_hosts", f"SELECT {_HOST} AS host, count(*)::BIGINT AS n FROM pages WHERE {' OR '.join(f'starts_with({_HOST}, {b!r})' for b in C.BAD_HOSTS)} GROUP BY 1")
+def _(t):
+    return t("pages").select(T.host("url").alias("host")).where(C.unsafe_host(F.col("host"))).groupBy("host").agg(F.count("*").alias("n"))
+
+
+_TOXIC = rf"list_has_any(string_split_regex(lower(text), '[^\p{{L}}]+'), [{', '.join(repr(w) for w in C.BAD_WORDS)}])"
+
+
+@query("safety_words", f"SELECT doc_id FROM documents WHERE {_TOXIC}")
+def _(t):
+    return t("documents").where(C.unsafe_words()).select("doc_id")
+
+
+@query("safety_vs_labels", f"""WITH x AS (SELECT {_TOXIC} AS bad, toxic FROM documents JOIN labels USING (doc_id) WHERE doc_id % 2 = 1)
+  SELECT count(*) FILTER (bad AND toxic = 1)::BIGINT AS tp, count(*) FILTER (bad AND toxic = 0)::BIGINT AS fp, count(*) FILTER (NOT bad AND toxic = 1)::BIGINT AS fn, count(*) FILTER (NOT bad AND toxic = 0)::BIGINT AS tn FROM x""")
+def _(t):
+    """The word list was drawn from even ids; scored on odd ones."""
+    x = t("documents").where("doc_id % 2 = 1").select("doc_id", C.unsafe_words().alias("bad")).join(t("labels"), "doc_id")
+    cell = lambda b, q: F.count(F.when((F.col("bad") == b) & (F.col("toxic") == q), 1))
+    return x.agg(cell(True, 1).alias("tp"), cell(True, 0).alias("fp"), cell(False, 1).alias("fn"), cell(False, 0).alias("tn"))
+
+
+@query("pii_flags", "SELECT doc_id, " + ", ".join(f"regexp_matches(text, '{p}') AS {k}" for k, p in C.PATTERNS.items()) + " FROM documents")
+def _(t):
+    return t("documents").select("doc_id", *[F.col("text").rlike(p).alias(k) for k, p in C.PATTERNS.items()])
+
+
+def _shingle_cte(n: int = 5) -> str:
+    return f"""sw AS (SELECT doc_id, {_WS.format(c="lower(text)")} AS w FROM documents),
+ss AS (SELECT doc_id, unnest(list_distinct(CASE WHEN len(w) >= {n} THEN list_transform(range(1, len(w) - {n} + 2), lambda i: array_to_string(w[i:i + {n} - 1], ' ')) ELSE [array_to_string(w, ' ')] END)) AS s FROM sw)"""
+
+
+_H = "min(('0x' || substr(md5('{i}:' || s), 1, 15))::BIGINT) AS h{i}"
+SIGNATURES = f"{_shingle_cte()}, sig AS (SELECT doc_id, {', '.join(_H.format(i=i) for i in range(8))} FROM ss GROUP BY doc_id)"
+
+
+@query("minhash_signatures", f"WITH {SIGNATURES} SELECT * FROM sig")
+def _(t):
+    return C.minhash(t("documents"), 8, portable=True).select("doc_id", *[F.col("sig")[i].alias(f"h{i}") for i in range(8)])
+
+
+STARS = f"""{SIGNATURES}, bands AS (SELECT doc_id, b, CASE b WHEN 0 THEN h0 || ',' || h1 WHEN 1 THEN h2 || ',' || h3 WHEN 2 THEN h4 || ',' || h5 ELSE h6 || ',' || h7 END AS key FROM sig, range(4) AS r(b)),
+least AS (SELECT b, key, min(doc_id) AS a FROM bands GROUP BY 1, 2), stars AS (SELECT DISTINCT a, doc_id AS b FROM bands JOIN least USING (b, key) WHERE doc_id <> a)"""
+
+
+@query("lsh_candidates", f"WITH {STARS} SELECT a, b FROM stars")
+def _(t):
+    return C.candidates(C.minhash(t("documents"), 8, portable=True), 4, 2)
+
+
+_COMPONENTS = """e AS (SELECT a AS u, b AS v FROM {pairs} UNION SELECT b, a FROM {pairs}),
+walk(u, v) AS (SELECT u, v FROM e UNION SELECT w.u, e.v FROM walk w JOIN e ON w.v = e.u), comps AS (SELECT u AS doc_id, least(u, min(v)) AS comp FROM walk GROUP BY u)"""
+
+
+@query("cte_recursive", f"WITH RECURSIVE {STARS}, {_COMPONENTS.format(pairs='stars')} SELECT doc_id, comp FROM comps")
+def _(t):
+    """Components of the candidate pairs, unverified: a loop of joins here, a recursive query there."""
+    pairs = C.candidates(C.minhash(t("documents"), 8, portable=True), 4, 2)
+    return C.components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v"))).select(F.col("node").alias("doc_id"), "comp")
+
+
+_VERIFIED = f"""{STARS}, inter AS (SELECT a, stars.b AS b, count(*) AS n FROM stars JOIN ss x ON x.doc_id = a JOIN ss y ON y.doc_id = stars.b AND x.s = y.s GROUP BY 1, 2),
+sizes AS (SELECT doc_id, count(*) AS n FROM ss GROUP BY 1),
+good AS (SELECT a, b FROM inter JOIN sizes p ON p.doc_id = a JOIN sizes q ON q.doc_id = b WHERE inter.n / (p.n + q.n - inter.n) >= 0.8)"""
+
+
+@query("fuzzy_dedup", f"WITH RECURSIVE {_VERIFIED}, {_COMPONENTS.format(pairs='good')} SELECT d.doc_id, coalesce(comp, d.doc_id) AS comp FROM documents d LEFT JOIN comps USING (doc_id)")
+def _(t):
+    return C.fuzzy_dedup(t("documents"), 8, 4, 0.8, portable=True)
+
+
+@query("fuzzy_variants")
+def _(t):
+    """Documents removed by each variant (E11): hash, verification and scope."""
+    d = t("documents")
+    half = F.when(F.xxhash64("doc_id") % 2 == 0, 0).otherwise(1)
+    out = None
+    for name, args in {"fast": {}, "portable": {"k": 32, "bands": 8, "portable": True}, "unverified": {"verify": None}, "per_snapshot": {"scope": half}}.items():
+        row = C.fuzzy_dedup(d, **args).agg(F.lit(name).alias("variant"), F.count(F.when(F.col("doc_id") != F.col("comp"), 1)).alias("n_removed"), F.count("*").alias("n_docs"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("mllib_minhash")
+def _(t):
+    """Spark ML's own MinHash as a cross-check; a self-join, so for small inputs only."""
+    from pyspark.ml.feature import HashingTF, MinHashLSH
+
+    x = HashingTF(inputCol="s", outputCol="v", numFeatures=1 << 18, binary=True).transform(t("documents").select("doc_id", C.shingles().alias("s")))
+    m = MinHashLSH(inputCol="v", outputCol="h", numHashTables=8, seed=1).fit(x)
+    pairs = m.approxSimilarityJoin(x, x, 0.2, "d").where("datasetA.doc_id < datasetB.doc_id")
+    return pairs.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b"), F.round("d", 6).alias("d"))
+
+
+_TOKENS = f"len({_WS.format(c='text')})"
+ATTRITION = f"""{_VERIFIED}, {MEASURES}, v AS ({_vote_sql()}),
+f AS (SELECT d.doc_id, {_TOKENS} AS tokens, d.doc_id IN (SELECT min(doc_id) FROM documents GROUP BY text) AS e, lang_pred <> 'und' AS l, len({_REASONS}) = 0 AS q, NOT {_TOXIC} AS s
+  FROM documents d JOIN m USING (doc_id) JOIN v USING (doc_id))"""
+
+
+@query("attrition_rows", f"""WITH RECURSIVE {ATTRITION} SELECT stage, name, docs_out::BIGINT AS docs_out, tokens_out::BIGINT AS tokens_out FROM (
+  SELECT 0 AS stage, 'input' AS name, count(*) AS docs_out, sum(tokens) AS tokens_out FROM f UNION ALL SELECT 1, 'exact', count(*), sum(tokens) FROM f WHERE e
+  UNION ALL SELECT 2, 'language', count(*), sum(tokens) FROM f WHERE e AND l UNION ALL SELECT 3, 'quality', count(*), sum(tokens) FROM f WHERE e AND l AND q
+  UNION ALL SELECT 4, 'safety', count(*), sum(tokens) FROM f WHERE e AND l AND q AND s)""")
+def _(t):
+    """The stages before fuzzy dedup, checked exactly; `attrition` has all of them."""
+    return C.attrition(t("documents"), k=8, bands=4, portable=True)[1].where("stage < 5")
+
+
+@query("attrition")
+def _(t):
+    return C.attrition(t("documents"))[1]
+
+
+@query("policy_compare")
+def _(t):
+    """The same pipeline under three policies."""
+    out = None
+    for name, p in C.POLICIES.items():
+        row = C.attrition(t("documents"), p)[1].withColumn("policy", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("benchmark_overlap", f"""WITH {_shingle_cte(8)}, bw AS (SELECT item_id, {_WS.format(c="lower(text)")} AS w FROM benchmark),
+  bs AS (SELECT item_id, unnest(list_distinct(CASE WHEN len(w) >= 8 THEN list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i + 7], ' ')) ELSE [array_to_string(w, ' ')] END)) AS s FROM bw)
+  SELECT doc_id, item_id, count(*)::BIGINT AS n_grams FROM ss JOIN bs USING (s) GROUP BY 1, 2""")
+def _(t):
+    return C.overlap(t("documents"), t("benchmark"))
+
+
+@query("token_budget", f"""WITH x AS (SELECT doc_id, sum(len({_WS.format(c="text")})) OVER (ORDER BY md5(doc_id::VARCHAR))::BIGINT AS upto FROM documents)
+  SELECT doc_id, upto FROM x WHERE upto <= 100000""")
+def _(t):
+    return C.token_budget(t("documents"), 100_000)
+
+
+@query("snapshot_overlap", "SELECT count(*)::BIGINT AS n_texts FROM (SELECT text FROM documents WHERE doc_id % 2 = 0 INTERSECT SELECT text FROM documents WHERE doc_id % 2 = 1)")
+def _(t):
+    d = t("documents")
+    return d.where("doc_id % 2 = 0").select("text").intersect(d.where("doc_id % 2 = 1").select("text")).agg(F.count("*").alias("n_texts"))
