@@ -32,7 +32,8 @@ def words(text: Column | str = "text") -> Column:
 def lang_vote(text: Column | str = "text") -> Column:
     """The language whose stop words are most; ties and none are `und`."""
     w = words(text)
-    hits = {k: F.size(F.filter(w, lambda x, v=v: x.isin(*sorted(v)))) for k, v in STOP.items()}
+    among = lambda v: F.size(F.filter(w, lambda x: x.isin(*sorted(v))))
+    hits = {k: among(v) for k, v in STOP.items()}
     best = F.greatest(*hits.values())
     n_best = sum((F.when(h == best, 1).otherwise(0) for h in hits.values()), F.lit(0))
     out = F.lit("und")
@@ -43,20 +44,22 @@ def lang_vote(text: Column | str = "text") -> Column:
 
 def trigram_model(docs: DataFrame) -> DataFrame:
     """lang, gram, logp of a naive Bayes model with add-half smoothing."""
-    g = docs.select("lang", F.explode(trigrams()).alias("gram")).groupBy("lang", "gram").agg(F.count("*").alias("n"))
+    g = trigrams(docs, "lang").groupBy("lang", "gram").agg(F.count("*").alias("n"))
     total = g.groupBy("lang").agg(F.sum("n").alias("total"))
     vocabulary = g.agg(F.countDistinct("gram").alias("v"))
     return g.join(F.broadcast(total), "lang").crossJoin(F.broadcast(vocabulary)).select("lang", "gram", (F.log((F.col("n") + 0.5) / (F.col("total") + 0.5 * F.col("v"))) - F.log(0.5 / (F.col("total") + 0.5 * F.col("v")))).alias("gain"))
 
 
-def trigrams(text: Column | str = "text") -> Column:
-    padded = F.concat(F.lit(" "), F.regexp_replace(F.lower(text), r"[^\p{L}]+", " "), F.lit(" "))
-    return F.when(F.length(padded) >= 3, F.transform(F.sequence(F.lit(1), F.length(padded) - 2), lambda i: F.substr(padded, i, F.lit(3)))).otherwise(F.array().cast("array<string>"))
+def trigrams(docs: DataFrame, *keys: str) -> DataFrame:
+    """keys, gram: character trigrams of letters and blanks; the clean text is a column of its own."""
+    x = docs.select(*keys, F.concat(F.lit(" "), F.regexp_replace(F.lower("text"), r"[^\p{L}]+", " "), F.lit(" ")).alias("p")).where(F.length("p") >= 3)
+    at = F.explode(F.sequence(F.lit(1), F.length("p") - 2))
+    return x.select(*keys, "p", at.alias("i")).select(*keys, F.substr("p", "i", F.lit(3)).alias("gram"))
 
 
 def lang_bayes(docs: DataFrame, model: DataFrame) -> DataFrame:
     """doc_id, lang_pred: grams meet the model by key; unseen grams cost a language the same as any other rare gram."""
-    g = docs.select("doc_id", F.explode(trigrams()).alias("gram")).groupBy("doc_id", "gram").agg(F.count("*").alias("n"))
+    g = trigrams(docs, "doc_id").groupBy("doc_id", "gram").agg(F.count("*").alias("n"))
     ll = g.join(model, "gram").groupBy("doc_id", "lang").agg(F.sum(F.col("n") * F.col("gain")).alias("ll"))
     return ll.groupBy("doc_id").agg(F.max_by("lang", "ll").alias("lang_pred"))
 
@@ -127,8 +130,9 @@ def gram_shares(docs: DataFrame) -> DataFrame:
     base = docs.select("doc_id", F.transform(_words(), lambda w: F.lower(w)).alias("w"))
     out = base.select("doc_id")
     parts = None
+    grams_of = lambda n: F.when(F.size("w") >= n, F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.array_join(F.slice("w", i + 1, n), " ")))
     for n in range(2, 11):
-        grams = F.when(F.size("w") >= n, F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i, n=n: F.array_join(F.slice("w", i + 1, n), " ")))
+        grams = grams_of(n)
         g = base.select("doc_id", F.explode(grams).alias("gram")).groupBy("doc_id", "gram").agg(F.count("*").alias("c"))
         part = g.groupBy("doc_id").agg(F.max(F.when(F.col("c") > 1, F.col("c") * F.length("gram"))).alias("top"), F.sum(F.when(F.col("c") > 1, F.col("c") - 1)).alias("dup"), F.sum("c").alias("all")).withColumn("n", F.lit(n))
         parts = part if parts is None else parts.unionByName(part)
@@ -171,19 +175,32 @@ def unsafe_words(text: Column | str = "text") -> Column:
 # -- fuzzy dedup
 
 
-def shingles(text: Column | str = "text", n: int = 5) -> Column:
-    w = F.filter(F.split(F.lower(text), r"\s+"), lambda x: x != "")
-    return F.array_distinct(F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.array_join(F.slice(w, i + 1, n), " "))).otherwise(F.array(F.array_join(w, " "))))
+def shingles(docs: DataFrame, key: str = "doc_id", n: int = 5) -> DataFrame:
+    """key, s: word n-grams; texts of fewer words are one. Words are a column of their own, so they are split once a row.
+
+    They are not made distinct as strings (which Spark does by comparing all pairs), but where needed as hashes.
+    """
+    w = docs.select(key, F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "").alias("w"))
+    grams = F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.array_join(F.slice("w", i + 1, n), " "))
+    return w.select(key, F.when(F.size("w") >= n, grams).otherwise(F.array(F.array_join("w", " "))).alias("s"))
+
+
+def hashed_shingles(docs: DataFrame, key: str = "doc_id", n: int = 5) -> DataFrame:
+    """key, s: distinct 64-bit hashes of the n-grams."""
+    return shingles(docs, key, n).select(key, F.array_distinct(F.transform("s", lambda x: F.xxhash64(x))).alias("s"))
 
 
 def minhash(docs: DataFrame, k: int, portable: bool = False, n: int = 5) -> DataFrame:
-    """doc_id, sig: k minima over the shingles. portable hashes agree with md5 in any engine; fast ones remix one xxhash."""
-    s = docs.select("doc_id", shingles(n=n).alias("s"))
+    """doc_id, sig: k minima over the shingles. portable hashes agree with md5 in any engine; fast ones are seeded xxhash.
+
+    The minima are taken before anything is shuffled, and documents are not split over tasks, so a row per document moves.
+    """
+    s = shingles(docs, n=n).select("doc_id", F.explode("s").alias("x"))
     if portable:
-        one = lambda i: F.array_min(F.transform("s", lambda x: F.conv(F.substring(F.md5(F.concat(F.lit(f"{i}:"), x).cast("binary")), 1, 15), 16, 10).cast("long")))
-        return s.select("doc_id", F.array(*[one(i) for i in range(k)]).alias("sig"))
-    s = s.select("doc_id", F.explode("s").alias("x"))
-    return s.groupBy("doc_id").agg(*[F.min(F.xxhash64("x", F.lit(i))).alias(f"h{i}") for i in range(k)]).select("doc_id", F.array(*[f"h{i}" for i in range(k)]).alias("sig"))
+        one = lambda i: F.conv(F.substring(F.md5(F.concat(F.lit(f"{i}:"), "x").cast("binary")), 1, 15), 16, 10).cast("long")
+    else:
+        one = lambda i: F.xxhash64("x", F.lit(i))
+    return s.groupBy("doc_id").agg(*[F.min(one(i)).alias(f"h{i}") for i in range(k)]).select("doc_id", F.array(*[f"h{i}" for i in range(k)]).alias("sig"))
 
 
 def candidates(sig: DataFrame, bands: int, rows: int, scope: Column | None = None) -> DataFrame:
@@ -197,7 +214,8 @@ def candidates(sig: DataFrame, bands: int, rows: int, scope: Column | None = Non
 
 def jaccard(pairs: DataFrame, docs: DataFrame, n: int = 5) -> DataFrame:
     """pairs with j, the exact Jaccard similarity of their shingle sets."""
-    s = docs.select("doc_id", F.transform(shingles(n=n), lambda x: F.xxhash64(x)).alias("s"))
+    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    s = hashed_shingles(docs.join(ids, "doc_id", "left_semi"), n=n)
     x = pairs.join(s.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(s.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
     return x.select("a", "b", (both / (F.size("sa") + F.size("sb") - both)).alias("j"))
@@ -205,7 +223,7 @@ def jaccard(pairs: DataFrame, docs: DataFrame, n: int = 5) -> DataFrame:
 
 def fuzzy_dedup(docs: DataFrame, k: int = 112, bands: int = 14, verify: float | None = 0.8, portable: bool = False, scope: Column | None = None) -> DataFrame:
     """doc_id, comp: components of the (verified) candidate pairs; documents without any are their own."""
-    pairs = candidates(minhash(docs, k, portable), bands, k // bands, scope)
+    pairs = cut(candidates(cut(minhash(docs, k, portable)), bands, k // bands, scope))
     if verify is not None:
         pairs = jaccard(pairs, docs).where(F.col("j") >= verify)
     comp = components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")))
@@ -238,7 +256,7 @@ def attrition(docs: DataFrame, p: Policy = Policy(), k: int = 64, bands: int = 1
 
 def overlap(docs: DataFrame, items: DataFrame, n: int = 8) -> DataFrame:
     """doc_id, item_id, n_grams of documents that share n-grams with test items."""
-    grams = lambda df, key: df.select(key, F.explode(shingles(n=n)).alias("g"))
+    grams = lambda df, key: hashed_shingles(df, key, n).select(key, F.explode("s").alias("g"))
     return grams(docs, "doc_id").join(grams(items, "item_id"), "g").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_grams"))
 
 

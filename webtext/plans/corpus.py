@@ -227,7 +227,7 @@ def _(t):
     """Spark ML's own MinHash as a cross-check; a self-join, so for small inputs only."""
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
-    x = HashingTF(inputCol="s", outputCol="v", numFeatures=1 << 18, binary=True).transform(t("documents").select("doc_id", C.shingles().alias("s")))
+    x = HashingTF(inputCol="s", outputCol="v", numFeatures=1 << 18, binary=True).transform(C.shingles(t("documents")))
     m = MinHashLSH(inputCol="v", outputCol="h", numHashTables=8, seed=1).fit(x)
     pairs = m.approxSimilarityJoin(x, x, 0.2, "d").where("datasetA.doc_id < datasetB.doc_id")
     return pairs.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b"), F.round("d", 6).alias("d"))
