@@ -130,10 +130,10 @@ def gram_shares(docs: DataFrame) -> DataFrame:
     base = docs.select("doc_id", F.transform(_words(), lambda w: F.lower(w)).alias("w"))
     out = base.select("doc_id")
     parts = None
-    grams_of = lambda n: F.when(F.size("w") >= n, F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.array_join(F.slice("w", i + 1, n), " ")))
+    grams_of = lambda n: F.when(F.size("w") >= n, F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.concat_ws(" ", *[F.get("w", i + k) for k in range(n)])))
     for n in range(2, 11):
         grams = grams_of(n)
-        g = base.select("doc_id", F.explode(grams).alias("gram")).groupBy("doc_id", "gram").agg(F.count("*").alias("c"))
+        g = base.select("doc_id", F.explode_outer(grams).alias("gram")).where("gram is not null").groupBy("doc_id", "gram").agg(F.count("*").alias("c"))
         part = g.groupBy("doc_id").agg(F.max(F.when(F.col("c") > 1, F.col("c") * F.length("gram"))).alias("top"), F.sum(F.when(F.col("c") > 1, F.col("c") - 1)).alias("dup"), F.sum("c").alias("all")).withColumn("n", F.lit(n))
         parts = part if parts is None else parts.unionByName(part)
     chars = docs.select("doc_id", F.length("text").alias("chars"))
@@ -181,7 +181,8 @@ def shingles(docs: DataFrame, key: str = "doc_id", n: int = 5) -> DataFrame:
     They are not made distinct as strings (which Spark does by comparing all pairs), but where needed as hashes.
     """
     w = docs.select(key, F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "").alias("w"))
-    grams = F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.array_join(F.slice("w", i + 1, n), " "))
+    # element by element: slice() would copy the whole array for each gram
+    grams = F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.concat_ws(" ", *[F.get("w", i + k) for k in range(n)]))
     return w.select(key, F.when(F.size("w") >= n, grams).otherwise(F.array(F.array_join("w", " "))).alias("s"))
 
 
@@ -195,7 +196,8 @@ def minhash(docs: DataFrame, k: int, portable: bool = False, n: int = 5) -> Data
 
     The minima are taken before anything is shuffled, and documents are not split over tasks, so a row per document moves.
     """
-    s = shingles(docs, n=n).select("doc_id", F.explode("s").alias("x"))
+    # outer: for a plain explode Spark infers a filter on the array and evaluates it again below, words and all, for each gram
+    s = shingles(docs, n=n).select("doc_id", F.explode_outer("s").alias("x"))
     if portable:
         one = lambda i: F.conv(F.substring(F.md5(F.concat(F.lit(f"{i}:"), "x").cast("binary")), 1, 15), 16, 10).cast("long")
     else:
@@ -256,7 +258,7 @@ def attrition(docs: DataFrame, p: Policy = Policy(), k: int = 64, bands: int = 1
 
 def overlap(docs: DataFrame, items: DataFrame, n: int = 8) -> DataFrame:
     """doc_id, item_id, n_grams of documents that share n-grams with test items."""
-    grams = lambda df, key: hashed_shingles(df, key, n).select(key, F.explode("s").alias("g"))
+    grams = lambda df, key: hashed_shingles(df, key, n).select(key, F.explode_outer("s").alias("g")).where("g is not null")
     return grams(docs, "doc_id").join(grams(items, "item_id"), "g").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_grams"))
 
 
