@@ -223,15 +223,38 @@ def classes_of_nodes(nodes: DataFrame, docs: DataFrame, s: Settings) -> DataFram
         if pairs.isEmpty():
             return labels
         labels = _merge(labels, verified(pairs, grams, s))
-    # whatever buckets still span components: every pair across them
+    # whatever buckets still span components: every pair across them that can reach the threshold at all
     placed = members.join(labels, "node")
     open_keys = placed.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b")).where("a <> b").select("key")
-    rest = cut(placed.join(open_keys, "key").select("key", "node", "comp"))
-    other = rest.select("key", F.col("node").alias("v"), F.col("comp").alias("cv"))
-    pairs = cut(rest.join(other, "key").where("comp < cv").select(F.col("node").alias("u"), "v").distinct())
+    rest = linkable(cut(placed.join(open_keys, "key").select("key", "node", "comp")), grams, s)
+    other = rest.select("key", F.col("node").alias("v"), F.col("comp").alias("cv"), F.col("weight").alias("wv"), F.col("common").alias("kv"))
+    shared = F.least("common", "kv")
+    within = (F.col("comp") < F.col("cv")) & (shared >= (F.col("weight") + F.col("wv") - shared) * s.threshold - 1e-9)
+    pairs = cut(rest.withColumnRenamed("key", "k").join(other, (F.col("k") == F.col("key")) & within).select(F.col("node").alias("u"), "v").distinct())
     return labels if pairs.isEmpty() else _merge(labels, verified(pairs, grams, s))
 
 
+def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
+    """rest (key, node, comp) with weight and common, without nodes that can match no member of their bucket.
+
+    Elements that no other node of rest holds are shared with none. If u of a node's n are such, its overlap with a partner of
+    weight w is at most n - u and their union at least w + u. Counting them is linear in the nodes' sizes.
+    """
+
+    @F.arrow_udf("array<long>")
+    def unpacked(column: pa.Array) -> pa.Array:
+        return pa.array([np.frombuffer(x.as_py(), np.int64) for x in column], pa.list_(pa.int64()))
+
+    own = grams.join(rest.select("node").distinct(), "node", "left_semi").select("node", (F.length("grams") / 8).cast("long").alias("weight"), unpacked("grams").alias("g"))
+    own = cut(own)
+    alone = own.select("node", F.explode("g").alias("x")).groupBy("x").agg(F.count("*").alias("n"), F.any_value("node").alias("node")).where("n = 1").groupBy("node").agg(F.count("*").alias("u"))
+    known = own.select("node", "weight").join(alone, "node", "left").select("node", "weight", (F.col("weight") - F.coalesce("u", F.lit(0))).alias("common"))
+    x = rest.join(known, "node")
+    least = x.groupBy("key").agg(F.min("weight").alias("least"))
+    able = F.col("common") >= (F.col("weight") - F.col("common") + F.col("least")) * s.threshold - 1e-9
+    return cut(x.join(least, "key").where(able).select("key", "node", "comp", "weight", "common"))
+
+
 def near_duplicates(docs: DataFrame, s: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """_id, _th (see row_key) and class_id, the smallest id of its class, of each row of docs."""
     key = row_key(id_col, text_col)
