@@ -85,11 +85,16 @@ def weighted_win_rate(population: DataFrame, rates: DataFrame, split_ties: bool
     return rate.join(share, "bin").agg(F.round(F.sum(F.col("n") * F.col("rate")) / F.sum("n"), 6).alias("win_rate"))
 
 
-def cross_entropy(train: DataFrame, held: DataFrame, alpha: float = 0.5) -> DataFrame:
-    """bits per token of held (text) under an additively smoothed unigram model of train (text): a stand-in for training models (L299)."""
+def cross_entropy(train: DataFrame, held: DataFrame, alpha: float = 0.5, vocabulary: DataFrame | None = None) -> DataFrame:
+    """bits per token of held (text) under an additively smoothed unigram model of train (text): a stand-in for training models (L299).
+
+    Models of different budgets are comparable only over one vocabulary; give the texts that span it.
+    """
     count = lambda df, name: df.select(F.explode(tokens("text")).alias("w")).groupBy("w").agg(F.count("*").alias(name))
     c, h = count(train, "c"), count(held, "h")
     total = c.agg(F.sum("c").alias("n"), F.count("*").alias("v"))
+    if vocabulary is not None:
+        total = total.drop("v").crossJoin(count(vocabulary, "c").agg(F.count("*").alias("v")))
     x = h.join(c, "w", "left").crossJoin(F.broadcast(total))
     p = (F.coalesce("c", F.lit(0)) + alpha) / (F.col("n") + alpha * (F.col("v") + 1))
     return x.agg(F.round(-F.sum(F.col("h") * F.log2(p)) / F.sum("h"), 4).alias("bits"))

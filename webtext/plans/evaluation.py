@@ -334,7 +334,7 @@ def _(t):
     """Cross-entropy over nested hash-ordered token budgets."""
     h = F.md5(F.col("doc_id").cast("string").cast("binary"))
     x = t("documents").withColumn("u", F.conv(F.substring(h, 1, 7), 16, 10).cast("double") / 16**7)
-    parts = [M.cross_entropy(x.where(F.col("u") < s), t("benchmark")).withColumn("share", F.lit(s)) for s in (0.05, 0.2, 0.5, 1.0)]
+    parts = [M.cross_entropy(x.where(F.col("u") < s), t("benchmark"), vocabulary=x).withColumn("share", F.lit(s)) for s in (0.05, 0.2, 0.5, 1.0)]
     return reduce(lambda a, b: a.unionByName(b), parts).withColumn("standin", F.lit(True))
 
 
