@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 
 from webtext.llm.common import WordHashes, blobs, cut, row_key
 from webtext.llm.graph import components
+from webtext.session import ship
 
 _U = np.uint64
 _STEP = _U(0x9E3779B97F4A7C15)
@@ -257,6 +258,7 @@ def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, s: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """_id, _th (see row_key) and class_id, the smallest id of its class, of each row of docs."""
+    ship(docs.sparkSession)
     key = row_key(id_col, text_col)
     own = docs.select(key[0].cast("long").alias("_id"), key[1], F.col(text_col).cast("string").alias("text"))
     rows = cut(sketch(own, s))

@@ -26,6 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from webtext.llm.common import WordHashes, blobs, cut, row_key, same_key
+from webtext.session import ship
 
 WINDOW = 8
 _SPACE = b" \t\n\r\x0b\x0c"
@@ -132,6 +133,7 @@ def judge(docs: DataFrame, limits: Limits = Limits(), host: str = "source", id_c
 
 def measured_once(docs: DataFrame, host: str = "source", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Measures of each row, kept in the shared folder as two passes follow."""
+    ship(docs.sparkSession)
     key = row_key(id_col, text_col)
     return cut(measure(docs.select(key[0].cast("long").alias("_id"), key[1], F.col(host).cast("string").alias("host"), F.col(text_col).cast("string").alias("text"))))
 

@@ -32,6 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from webtext.llm.common import WordHashes, blobs, cut
+from webtext.session import ship
 
 #: Hashes of the end token and of the state before the first token.
 END, START = 0x51ED270B7A2C4F11, 0x2545F4914F6CDD1D
@@ -164,6 +165,7 @@ class Tables:
 
 def train(texts: DataFrame, min_pair: int = 4, discount: float = 0.75, max_entries: int = MAX_ENTRIES) -> Tables:
     """Counts over all rows of texts (text); the tables lie in the shared folder, three numbers come to the driver."""
+    ship(texts.sparkSession)
     unigrams = cut(count_tokens(texts))
     total, distinct = unigrams.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     found = count_pairs(texts, unigrams, min_pair, max_entries)
