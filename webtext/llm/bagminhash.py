@@ -8,7 +8,8 @@ Two documents agree in a register with a probability that is their weighted Jacc
 
 Documents with the same multiset become one node first. Registers are banded; buckets of equal bands propose pairs, which are
 verified on the whole multisets. A bucket's members are compared with its most connected member first, and only what is still in
-different components afterwards is paired further, so large groups cost a pair per member rather than per pair. Classes are the
+different components afterwards is paired further, so large groups cost a pair per member rather than per pair. Those further
+pairs must first pass two exact bounds on their overlap: elements no other open node holds, and parity bitmaps. Classes are the
 connected components of the verified links.
 
 Edge cases: null text counts as empty; all texts without words are one class; texts of one to four words are one shingle and
@@ -21,6 +22,8 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
+from operator import add
 
 import numpy as np
 import pyarrow as pa
@@ -43,6 +46,7 @@ class Settings:
     bands: int = 25
     rows: int = 5
     leader_rounds: int = 4
+    parity_words: int = 16
 
     @property
     def registers(self) -> int:
@@ -178,6 +182,16 @@ def similarity(a: bytes, b: bytes) -> float:
     return shared / (len(x) + len(y) - shared)
 
 
+def parity(grams: bytes, words: int) -> np.ndarray:
+    """64 * words bits as longs: bit k tells whether an odd number of the set's elements falls on k.
+
+    Elements that two sets share cancel out, so the bits in which two sets differ are at most the elements in which they do.
+    """
+    at = np.frombuffer(grams, _U) % _U(64 * words)
+    odd = np.bincount(at.astype(np.int64), minlength=64 * words) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
 def verified(pairs: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
     """The pairs (u, v) whose multisets reach the threshold."""
 
@@ -228,15 +242,18 @@ def classes_of_nodes(nodes: DataFrame, docs: DataFrame, s: Settings) -> DataFram
     placed = members.join(labels, "node")
     open_keys = placed.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b")).where("a <> b").select("key")
     rest = linkable(cut(placed.join(open_keys, "key").select("key", "node", "comp")), grams, s)
-    other = rest.select("key", F.col("node").alias("v"), F.col("comp").alias("cv"), F.col("weight").alias("wv"), F.col("common").alias("kv"))
-    shared = F.least("common", "kv")
-    within = (F.col("comp") < F.col("cv")) & (shared >= (F.col("weight") + F.col("wv") - shared) * s.threshold - 1e-9)
+    bits = [f"b{k}" for k in range(s.parity_words)]
+    other = rest.select("key", F.col("node").alias("v"), F.col("comp").alias("cv"), F.col("weight").alias("wv"), F.col("common").alias("kv"), *(F.col(b).alias(f"o{b}") for b in bits))
+    both = F.col("weight") + F.col("wv")
+    differ = reduce(add, (F.bit_count(F.col(b).bitwiseXOR(F.col(f"o{b}"))) for b in bits))
+    shared = F.least(F.col("common"), F.col("kv"), (both - differ) / 2)
+    within = (F.col("comp") < F.col("cv")) & (shared >= (both - shared) * s.threshold - 1e-9)
     pairs = cut(rest.withColumnRenamed("key", "k").join(other, (F.col("k") == F.col("key")) & within).select(F.col("node").alias("u"), "v").distinct())
     return labels if pairs.isEmpty() else _merge(labels, verified(pairs, grams, s))
 
 
 def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
-    """rest (key, node, comp) with weight and common, without nodes that can match no member of their bucket.
+    """rest (key, node, comp) with weight, common and parity bits b0, b1, ..., without nodes that can match no member of their bucket.
 
     Elements that no other node of rest holds are shared with none. If u of a node's n are such, its overlap with a partner of
     weight w is at most n - u and their union at least w + u. Counting them is linear in the nodes' sizes.
@@ -246,14 +263,19 @@ def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
     def unpacked(column: pa.Array) -> pa.Array:
         return pa.array([np.frombuffer(x.as_py(), np.int64) for x in column], pa.list_(pa.int64()))
 
-    own = grams.join(rest.select("node").distinct(), "node", "left_semi").select("node", (F.length("grams") / 8).cast("long").alias("weight"), unpacked("grams").alias("g"))
+    @F.arrow_udf("array<long>")
+    def odd(column: pa.Array) -> pa.Array:
+        return pa.array([parity(x.as_py(), s.parity_words) for x in column], pa.list_(pa.int64()))
+
+    own = grams.join(rest.select("node").distinct(), "node", "left_semi").select("node", (F.length("grams") / 8).cast("long").alias("weight"), unpacked("grams").alias("g"), odd("grams").alias("odd"))
     own = cut(own)
     alone = own.select("node", F.explode("g").alias("x")).groupBy("x").agg(F.count("*").alias("n"), F.any_value("node").alias("node")).where("n = 1").groupBy("node").agg(F.count("*").alias("u"))
-    known = own.select("node", "weight").join(alone, "node", "left").select("node", "weight", (F.col("weight") - F.coalesce("u", F.lit(0))).alias("common"))
+    bits = [F.col("odd")[k].alias(f"b{k}") for k in range(s.parity_words)]
+    known = own.select("node", "weight", *bits).join(alone, "node", "left").withColumn("common", F.col("weight") - F.coalesce("u", F.lit(0))).drop("u")
     x = rest.join(known, "node")
     least = x.groupBy("key").agg(F.min("weight").alias("least"))
     able = F.col("common") >= (F.col("weight") - F.col("common") + F.col("least")) * s.threshold - 1e-9
-    return cut(x.join(least, "key").where(able).select("key", "node", "comp", "weight", "common"))
+    return cut(x.join(least, "key").where(able).drop("least"))
 
 
 def near_duplicates(docs: DataFrame, s: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
