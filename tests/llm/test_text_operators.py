@@ -7,6 +7,7 @@ import re
 import zlib
 from collections import Counter
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -174,3 +175,15 @@ def test_near_duplicates_edges(spark, odd_docs, no_docs):
     by = {r._id: r.class_id for r in got}
     assert len(got) == odd_docs.count() and by[2] == by[9] == by[1] == 1 and by[3] == by[4] == 3 and by[7] == by[8] == 7
     assert bagminhash.near_duplicates(no_docs).count() == 0
+
+
+def test_parity_bits_bound_the_difference():
+    rng = np.random.default_rng(5)
+    universe = rng.integers(0, 1 << 63, 400).astype(np.uint64)
+    for _ in range(50):
+        a, b = (np.sort(universe[rng.random(400) < share]) for share in rng.random(2))
+        x, y = (bagminhash.parity(s.tobytes(), 16) for s in (a, b))
+        differ = sum(int(v).bit_count() for v in (x ^ y).view(np.uint64))
+        apart = len(np.setxor1d(a, b))
+        assert differ <= apart and (differ - apart) % 2 == 0
+    assert not bagminhash.parity(b"", 16).any()
