@@ -141,6 +141,20 @@ def test_frequent_lines_go_and_depleted_documents_are_rejected(spark):
     assert linefreq.line_hash(b" A  1 b") == linefreq.line_hash(b"a 2 B")
 
 
+def test_boilerplate_of_several_lines_goes_and_near_copies_stay(spark):
+    """Documents that share a header and a footer are distinct by their own text; lightly edited copies of one text are not."""
+    rng = random.Random(3)
+    say = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(5)) for _ in range(n))
+    head, foot, notice = say(12), say(9), say(10)
+    rows = [(i, f"{head}\n{say(60)}\n{notice}\n{foot}", "h1") for i in range(120)]
+    copy = [say(30) for _ in range(4)]
+    rows += [(200 + i, "\n".join(f"{x} {say(1)}" if k == i % 4 else x for k, x in enumerate(copy)), "h1") for i in range(90)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {r.doc_id: r for r in linefreq.judge(docs, linefreq.Limits(max_repeat_percent=100)).collect()}
+    assert all(got[i].kept and got[i].words_left == 60 for i in range(120))
+    assert all(got[200 + i].kept and got[200 + i].words_left == 121 for i in range(90))
+
+
 def test_weighted_similarity_is_unbiased():
     import numpy as np
 

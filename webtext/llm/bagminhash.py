@@ -278,15 +278,20 @@ def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
     return cut(x.join(least, "key").where(able).drop("least"))
 
 
+def placed_nodes(own: DataFrame, s: Settings = Settings()) -> tuple[DataFrame, DataFrame]:
+    """(_id, _th, node, ... of each row of own (_id, _th, text); node, least, comp: the least id of a node and its class)."""
+    rows = cut(sketch(own, s))
+    nodes = cut(rows.groupBy("node").agg(F.min("_id").alias("least"), F.min(F.struct(F.col("_id").isNull(), "_id", "_th")).alias("one"), F.any_value("bands").alias("bands")))
+    labels = classes_of_nodes(nodes.select("node", "one._id", "one._th", "bands"), own, s)
+    return rows, nodes.select("node", "least").join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+
+
 def near_duplicates(docs: DataFrame, s: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """_id, _th (see row_key) and class_id, the smallest id of its class, of each row of docs."""
     ship(docs.sparkSession)
     key = row_key(id_col, text_col)
     own = docs.select(key[0].cast("long").alias("_id"), key[1], F.col(text_col).cast("string").alias("text"))
-    rows = cut(sketch(own, s))
-    nodes = cut(rows.groupBy("node").agg(F.min("_id").alias("least"), F.min(F.struct(F.col("_id").isNull(), "_id", "_th")).alias("one"), F.any_value("bands").alias("bands")))
-    labels = classes_of_nodes(nodes.select("node", "one._id", "one._th", "bands"), own, s)
-    placed = nodes.select("node", "least").join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    rows, placed = placed_nodes(own, s)
     least = placed.groupBy("comp").agg(F.min("least").alias("class_id"))
     return rows.select("_id", "_th", "node").join(placed.join(least, "comp").select("node", "class_id"), "node").select("_id", "_th", "class_id", "node")
 
