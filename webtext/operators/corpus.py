@@ -205,31 +205,74 @@ def minhash(docs: DataFrame, k: int, portable: bool = False, n: int = 5) -> Data
     return s.groupBy("doc_id").agg(*[F.min(one(i)).alias(f"h{i}") for i in range(k)]).select("doc_id", F.array(*[f"h{i}" for i in range(k)]).alias("sig"))
 
 
-def candidates(sig: DataFrame, bands: int, rows: int, scope: Column | None = None) -> DataFrame:
-    """Distinct pairs a < b of a bucket's least id with each other member: a star per bucket, never all pairs."""
+def buckets(sig: DataFrame, bands: int, rows: int, scope: Column | None = None) -> DataFrame:
+    """doc_id, scope, b, key: the bucket of each document in each band."""
     scope = scope if scope is not None else F.lit(0)
     key = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.struct(b.alias("b"), F.array_join(F.transform(F.slice("sig", b * rows + 1, rows), lambda v: v.cast("string")), ",").alias("key")))
-    e = sig.select("doc_id", scope.alias("scope"), F.explode(key).alias("k")).select("doc_id", "scope", "k.b", "k.key")
+    return sig.select("doc_id", scope.alias("scope"), F.explode(key).alias("k")).select("doc_id", "scope", "k.b", "k.key")
+
+
+def candidates(sig: DataFrame, bands: int, rows: int, scope: Column | None = None) -> DataFrame:
+    """Distinct pairs a < b of a bucket's least id with each other member: a star per bucket. They join what shares a bucket, but
+    near copies in a bucket need not be near its least id: `verified_components` has those links too."""
+    e = buckets(sig, bands, rows, scope)
     least = e.groupBy("scope", "b", "key").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1")
     return e.join(least, ["scope", "b", "key"]).where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
 
 
-def jaccard(pairs: DataFrame, docs: DataFrame, n: int = 5) -> DataFrame:
-    """pairs with j, the exact Jaccard similarity of their shingle sets."""
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    s = hashed_shingles(docs.join(ids, "doc_id", "left_semi"), n=n)
-    x = pairs.join(s.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(s.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
+def jaccard(pairs: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+    """The pairs a, b whose shingle sets (doc_id, s) have a Jaccard similarity of at least `least`, exactly."""
+    x = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
-    return x.select("a", "b", (both / (F.size("sa") + F.size("sb") - both)).alias("j"))
+    able = F.least(F.size("sa"), F.size("sb")) >= F.greatest(F.size("sa"), F.size("sb")) * least - 1e-9
+    return x.where(able).where(both / (F.size("sa") + F.size("sb") - both) >= least).select("a", "b")
+
+
+LEADER_ROUNDS = 4
+
+
+def verified_components(docs: DataFrame, members: DataFrame, least: float) -> DataFrame:
+    """doc_id, comp of the documents in members (doc_id, scope, b, key) that share a bucket: components of all near pairs in a bucket.
+
+    Members are first compared with a leader of their bucket, another one each round; then every pair of a bucket that still spans
+    components. What a round has joined is not compared again.
+    """
+    key = ["scope", "b", "key"]
+    members = cut(members.join(members.groupBy(key).agg(F.count("*").alias("n")).where("n > 1").drop("n"), key))
+    labels = cut(members.select("doc_id").distinct().withColumn("comp", F.col("doc_id")))
+    sets = cut(hashed_shingles(docs.join(labels.select("doc_id"), "doc_id", "left_semi")))
+
+    def merge(labels: DataFrame, pairs: DataFrame) -> DataFrame:
+        a, b = (labels.select(F.col("doc_id").alias(n), F.col("comp").alias(c)) for n, c in (("a", "u"), ("b", "v")))
+        joined = components(jaccard(pairs, sets, least).join(a, "a").join(b, "b").select("u", "v"))
+        to = joined.select(F.col("node").alias("comp"), F.col("comp").alias("next"))
+        return cut(labels.join(to, "comp", "left").select("doc_id", F.coalesce("next", "comp").alias("comp")))
+
+    ordered = lambda x, y: (F.least(x, y).alias("a"), F.greatest(x, y).alias("b"))
+    for turn in range(LEADER_ROUNDS):
+        placed = members.join(labels, "doc_id")
+        order = F.col("doc_id") if turn == 0 else F.struct(F.xxhash64("doc_id", F.lit(turn)), F.col("doc_id"))
+        lead = placed.groupBy(key).agg(F.min_by("doc_id", order).alias("lead"), F.min_by("comp", order).alias("lead_comp"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi")
+        pairs = cut(placed.join(lead.drop("lo", "hi"), key).where("comp <> lead_comp").select(*ordered("lead", "doc_id")).distinct())
+        if pairs.isEmpty():
+            return labels
+        labels = merge(labels, pairs)
+    placed = members.join(labels, "doc_id")
+    open_keys = placed.groupBy(key).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select(*key)
+    rest = cut(placed.join(open_keys, key).join(sets.select("doc_id", F.size("s").alias("size")), "doc_id"))
+    other = rest.select(*key, F.col("doc_id").alias("other"), F.col("comp").alias("other_comp"), F.col("size").alias("other_size"))
+    able = F.least("size", "other_size") >= F.greatest("size", "other_size") * least - 1e-9
+    return merge(labels, cut(rest.join(other, key).where((F.col("comp") < F.col("other_comp")) & able).select(*ordered("doc_id", "other")).distinct()))
 
 
 def fuzzy_dedup(docs: DataFrame, k: int = 112, bands: int = 14, verify: float | None = 0.8, portable: bool = False, scope: Column | None = None) -> DataFrame:
     """doc_id, comp: components of the (verified) candidate pairs; documents without any are their own."""
-    pairs = cut(candidates(cut(minhash(docs, k, portable)), bands, k // bands, scope))
-    if verify is not None:
-        pairs = jaccard(pairs, docs).where(F.col("j") >= verify)
-    comp = components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")))
-    return docs.select("doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"))
+    sig = cut(minhash(docs, k, portable))
+    if verify is None:  # all that share a bucket are joined, which its star does
+        comp = components(cut(candidates(sig, bands, k // bands, scope)).select(F.col("a").alias("u"), F.col("b").alias("v"))).withColumnRenamed("node", "doc_id")
+    else:
+        comp = verified_components(docs, buckets(sig, bands, k // bands, scope), verify)
+    return docs.select("doc_id").join(comp, "doc_id", "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"))
 
 
 # -- the whole pipeline
