@@ -16,7 +16,6 @@ from webtext.operators.passes import row_pass
 
 Scorer = Callable[[list[Block]], list[tuple[float, float]]]
 BLOCK = "block_id int, tag string, path string, cls string, eid string, simplified string, raw_html string, n_chars int, truncated boolean"
-MAX_BYTES = 32 << 20
 
 
 def blocks(pages: DataFrame, cfg: Config = Config()) -> DataFrame:
@@ -32,12 +31,10 @@ def blocks(pages: DataFrame, cfg: Config = Config()) -> DataFrame:
 def core(pages: DataFrame, scorer: Scorer = lexicon, cfg: Config = Config(), mode: str = "fast") -> DataFrame:
     """page_id, n_blocks, wire, labels, n_missing, main_html, main_text, status, raw_chars, simplified_chars of each page.
 
-    status is ok, empty (null or no block) or skipped_large; no page is dropped.
+    status is ok or empty (null or no block); pages of any length are parsed.
     """
 
     def run(page_id, page):
-        if page is not None and len(page) > MAX_BYTES:
-            return page_id, 0, "{}", [], 0, "", "", "skipped_large", len(page), 0
         root, own, rows = block_rows(page, cfg)
         wire = decode(len(own), block_logits(scorer(own)), mode)
         labels, missing = labels_of(wire, len(own))
