@@ -123,19 +123,52 @@ def test_mixing(spark, odd_docs, no_docs):
     want = _filled(size)
     assert len(rows) == docs.count() and all(target[s] == pytest.approx(want[s]) and abs(taken[s] - want[s]) <= 130 for s in size)
     assert sorted(map(str, mixing.mix(docs.repartition(7))[0].collect())) == sorted(map(str, rows))
-    assert slots.groupBy("shard", "place").count().where("count > 1").count() == 0
     n = mixing.shard_counts(slots).agg(F.sum("n")).first()[0]
-    assert n == slots.count() and mixing.mixed_blocks(docs).count() == n
-    words = mixing.mixed_blocks(docs).agg(F.sum(F.size(F.split("words", " ")))).first()[0]
+    dealt = mixing.mixed_blocks(docs)
+    assert n == slots.count() == dealt.count() == dealt.select("shard", "place").distinct().count()
+    words = dealt.agg(F.sum(F.size(F.split("words", " ")))).first()[0]
     assert words == sum(taken.values())
     odd = mixing.mix(odd_docs)[0]
     assert odd.count() == odd_docs.count() and odd.where("taken > 2 * size").count() == 0 and mixing.mix(no_docs)[0].count() == 0
 
 
 def test_permutation(spark):
-    for n in (1, 2, 7, 1000):
-        x = spark.range(n).select(mixing.permuted(F.col("id"), F.lit(n), F.lit("s")).alias("p"))
-        assert sorted(r.p for r in x.collect()) == list(range(n))
+    for n in (1, 2, 3, 5, 7, 13, 97, 290, 1000, 4097):
+        x = mixing.permuted(spark.range(n), "p", F.col("id"), F.lit(n), F.lit("s"))
+        got = [r.p for r in x.orderBy("id").collect()]
+        assert sorted(got) == list(range(n)) and (n < 50 or got != list(range(n)))
+    n = (1 << 45) + 12345
+    far = mixing.permuted(spark.range(n - 20_000, n), "p", F.col("id"), F.lit(n), F.lit("s")).agg(F.count_distinct("p").alias("d"), F.min("p").alias("a"), F.max("p").alias("b"), F.avg("p").alias("m")).first()
+    assert far.d == 20_000 and 0 <= far.a and far.b < n and abs(far.m / n - 0.5) < 0.02
+
+
+def test_shards_are_multinomial_draws(spark):
+    """The counts of a source over the shards scatter as independent draws do: neither evenly dealt nor clumped."""
+    sources = spark.createDataFrame([("a", 1, 64 * 60_000, 64 * 60_000.0), ("b", 2, 64 * 30_000, 64 * 45_000.0)], "source string, k int, source_size long, target double")
+    n = mixing.shard_counts(mixing.slots(sources, 64, 500)).collect()
+    for k, total in ((1, 60_000), (2, 45_000)):
+        own = [r.n for r in n if r.k == k]
+        assert sum(own) == total and len(own) == 210
+        chi = sum((x - total / 210) ** 2 for x in own) / (total / 210)
+        assert 209 - 4 * (2 * 209) ** 0.5 < chi < 209 + 4 * (2 * 209) ** 0.5
+
+
+def test_taken_words_by_brute_force(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "source", "text")
+    rows, sources = mixing.streams(mixing.sized(docs))
+    out, slots = mixing.mix(docs)
+    placed, want = defaultdict(list), Counter()
+    for r in rows.collect():
+        placed[r.k].append((r.begin, r.begin + r.size, r.doc_id))
+    for k, own in placed.items():
+        own.sort()
+        assert own[0][0] == 0 and all(x[1] == y[0] for x, y in zip(own, own[1:], strict=False))
+    for s in slots.collect():
+        a, b = s.block_no * 64, s.block_no * 64 + s.words
+        for x, y, doc in placed[s.k]:
+            want[doc] += max(0, min(y, b) - max(x, a))
+    assert {r.doc_id: r.taken for r in out.collect()} == {r.doc_id: want[r.doc_id] for r in out.collect()}
+
 
 
 def test_archives(spark, tmp_path):
