@@ -8,10 +8,12 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from webtext.llm import audio, bagminhash, bpe, linefreq, ngram
+from webtext.llm.queries import QUERIES
 from webtext.llm.q09 import tokenised, tokenizer_path
 
 SF = "/root/testdata/sf0.001"
@@ -71,50 +73,58 @@ def test_audio_parts():
 
 
 def test_language_model(spark):
-    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", ngram.held_out("doc_id").alias("held_out"), "text")
-    t = ngram.train(docs.where(~F.col("held_out")).select("text"), min_pair=2)
-    one = {r.doc_id: r for r in ngram.score(docs, t).collect()}
-    two = {r.doc_id: r for r in ngram.score(docs, t, max_entries=0).collect()}
+    """The query against counters of tuples, on a whole table; and the same scores however the texts are cut into batches and parts."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", ngram.held_out("doc_id").alias("held_out"), (~ngram.held_out("doc_id")).alias("learn"), "text")
+    one = {r.doc_id: r for r in QUERIES["op5_lm_score"](spark, SF).collect()}
+    two = {r.doc_id: r for r in ngram.score(docs, "learn", batch_bytes=20_000, part_grams=5_000)[0].collect()}
     words = lambda s: re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), s or "")) + [None]
     rows = docs.collect()
     counts = Counter(w for r in rows if zlib.crc32(str(r.doc_id).encode()) % 7 != 2 for w in words(r.text))
     n, v = counts.total(), len(counts)
-    assert (t.total, t.distinct) == (n, v)
-    for r in rows:
-        ws = words(r.text)
-        assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 7 == 2)
-        assert (one[r.doc_id].n_tokens, one[r.doc_id].n_known) == (len(ws), sum(counts[w] > 0 for w in ws)) == (two[r.doc_id].n_tokens, two[r.doc_id].n_known)
+    want = ngram.plain_scores([r.text for r in rows], [r.learn for r in rows])
+    for r, score in zip(rows, want, strict=True):
+        ws, got = words(r.text), one[r.doc_id]
+        assert got.train_tokens == n and got.held_out == (zlib.crc32(str(r.doc_id).encode()) % 7 == 2)
+        assert (got.n_tokens, got.n_known) == (len(ws), sum(counts[w] > 0 for w in ws)) == (two[r.doc_id].n_tokens, two[r.doc_id].n_known)
         base = sum(math.log10((counts[w] + 1) / (n + v + 1)) for w in ws)
-        assert one[r.doc_id].base_score == pytest.approx(base) == two[r.doc_id].base_score
-        assert one[r.doc_id].score == pytest.approx(two[r.doc_id].score, rel=1e-6)
+        assert got.base_score == pytest.approx(base) == two[r.doc_id].base_score
+        assert got.score == pytest.approx(score) == two[r.doc_id].score
     held = [i for i, r in one.items() if r.held_out]
-    assert sum(one[i].score for i in held) > sum(one[i].base_score for i in held)
+    assert len(one) == len(rows) and sum(one[i].score for i in held) > sum(one[i].base_score for i in held)
 
 
-def test_language_model_is_a_distribution(spark):
-    """From each state the probabilities of all words and the unknown class sum to 1."""
+def test_language_model_is_a_distribution():
+    """From each state the probabilities of all words and the unknown class sum to 1, singletons included."""
     import numpy as np
 
-    texts = spark.createDataFrame([("a b a b a c",), ("a b c",), ("b a",)], "text string")
-    t = ngram.train(texts, min_pair=2)
-    m = ngram.Automaton(ngram._sorted(t.unigrams, "k", "n"), ngram._sorted(t.arcs, "k", "weight"), ngram._sorted(t.states, "h", "bow"), t.total, t.distinct)
     hashes = ngram.WordHashes()
-    vocabulary = [b"a", b"b", b"c", b"unknown"]
-    for state in (b"a", b"b", b"c", b"other"):
+    flat = lambda texts: ngram.tokenised(pa.chunked_array([pa.array(texts)]), hashes)
+    told = ngram.grams(*flat(["a b a b a c", "a b c", "b a"]))
+    counted = [np.unique(k, return_counts=True) for k in told]
+    vocabulary = [*(hashes[w] for w in (b"a", b"b", b"c", b"unknown")), ngram.END]
+    for before in ([], [b"a"], [b"a", b"b"], [b"b", b"a"], [b"c", b"x"], [b"x", b"a"]):
         p = 0.0
-        for w in [*vocabulary, None]:
-            second = np.array([ngram.END if w is None else hashes[w]], np.uint64)
-            pair = np.concatenate([np.array([hashes[state]], np.uint64), second])
-            p += 10 ** (m.score([pair])[3][0] - m.score([pair[:1]])[3][0])
-        assert p == pytest.approx(1, abs=1e-5)
+        for w in vocabulary:
+            asks = np.array([*(hashes[x] for x in before), w], np.uint64)
+            start = np.zeros(1, np.int64)
+            keys = [np.unique(np.concatenate([k, g])) for k, g in zip(told, ngram.grams(asks, start), strict=True)]
+            counts = []
+            for k, (own, n) in zip(keys, counted, strict=True):
+                counts.append(np.zeros(len(k), np.int64))
+                counts[-1][np.searchsorted(k, own)] = n
+            way = ngram.Automaton(keys, counts, int(counted[0][1].sum()), len(counted[0][0]), (3.0, 2.0)).run(asks, start)[2]
+            p += 10 ** way[-1]
+        assert p == pytest.approx(1)
 
 
 def test_language_model_edges(spark, odd_docs, no_docs):
-    docs = odd_docs.select("doc_id", "text")
-    t = ngram.train(docs.select("text"))
-    assert ngram.score(docs, t).count() == ngram.score(docs, t, max_entries=0).count() == odd_docs.count()
-    t = ngram.train(no_docs.select("text"))
-    assert ngram.score(docs, t).agg(F.sum("n_known")).first()[0] == 0 and ngram.score(no_docs.select("doc_id", "text"), t).count() == 0
+    docs = odd_docs.withColumns({"learn": F.lit(True), "batch": F.lit("x"), "part": F.lit(1)})
+    got = ngram.score(docs, "learn")[0]
+    assert got.count() == odd_docs.count() and set(docs.columns) - {"text"} <= set(got.columns)
+    same = {(r.n_tokens, r.score) for r in got.where("doc_id = 4").collect()}
+    assert len(same) == 1 and {r.n_tokens for r in got.where("doc_id in (1, 2, 9)").collect()} == {1}
+    assert ngram.score(docs.withColumn("learn", F.lit(None).cast("boolean")), "learn")[0].agg(F.sum("n_known")).first()[0] == 0
+    assert ngram.score(no_docs.withColumn("learn", F.lit(True)), "learn")[0].count() == 0
 
 
 def test_quality_measures(spark, odd_docs, no_docs):

@@ -1,45 +1,58 @@
-"""LM scoring with a weighted backoff automaton.
+"""LM scoring with a weighted backoff automaton of order 3.
 
-Training counts tokens (lower-cased words and one end per document) and adjacent pairs over all training documents.
-The unigram model adds one to each count and one class for unknown words. Pairs seen at least `min_pair` times
-get an arc out of the state of their first token, with an absolutely discounted weight; what the discount frees is the
-weight of the state's failure arc, which leads to the unigram state:
+The model: counts of all tokens, pairs and triples of the training texts (lower-cased words and one end per document; two starts
+stand before each text), none left out. A context is a state. In state s with count c(s) the word w has
 
-    p(w | h) = (c(hw) - D) / c(h) if the arc exists, else bow(h) * p(w) / (1 - sum of p over the arcs' words)
+    p(w | s) = (c(sw) + prior * p(w | s')) / (c(s) + prior)
 
-so that the probabilities of each state sum to 1 over the vocabulary and the unknown class. Scoring reads each text once from
-left to right. The state is the last token (or the root, if that token has no arcs); a token either follows its arc or
-takes the failure arc first; weights add up as log10.
+where s' is s without its first token and the root has (c(w) + 1) / (N + V + 1): Dirichlet smoothing, whose
+probabilities sum to 1 in each state over the vocabulary and one class of unknown words. As an automaton: an arc where c(sw) > 0, and a
+failure arc of weight prior / (c(s) + prior) to s', which is followed until a state has the arc; the root has all. The next state is the
+longest suffix of what was read that is a state. One pass from left to right carries the state and adds up log10 weights.
 
-The model grows with the corpus, so its size is counted first: up to `max_entries` unigrams and arcs together it is
-broadcast as sorted arrays, beyond that documents' tokens are joined to the count tables by key.
+The model grows with the corpus, and so no task, worker or driver holds it. Texts are taken in batches of some megabytes. Each
+batch asks for the counts of its distinct n-grams and tells its own: sorted 64-bit hashes go, compressed, to the part of the hash
+range that they fall in. A part adds up what the batches told and answers each with the sums. A batch that has its answers holds
+just the states and arcs that its texts can reach, builds that part of the automaton and runs its texts through. Shuffled
+are hashes and counts, some six bytes for each distinct n-gram of a batch, and texts once, compressed. A frequent word
+or pair costs one entry per batch, so there are no hot keys. `batch_bytes` bounds what a task holds when asking and scoring, `part_grams` what it
+holds when adding up.
+
+Rows are read twice and must come in the same order and split both times, as those of a file scan do; a digest in each answer tells
+if they did not, and the run ends with an error.
 
 Edge cases: null text counts as empty and scores its end token; null ids count as the empty string in the split into
 training and held-out rows; repeated rows are counted and scored each; empty training data give every token the weight of
-the unknown class.
+the unknown class; a text longer than a batch is a batch; an empty table gives no rows; other columns, whatever their names (but those
+of the result), are left as they are.
 """
 
 from __future__ import annotations
 
 import math
-import zlib
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import xxhash
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from webtext.llm.common import WordHashes, blobs, cut
 from webtext.session import ship
 
-#: Hashes of the end token and of the state before the first token.
+#: Hashes of the end token and of the start.
 END, START = 0x51ED270B7A2C4F11, 0x2545F4914F6CDD1D
-_FLUSH = 3_000_000
-#: Unigrams and arcs that are broadcast at most: about 200 MB in a worker.
-MAX_ENTRIES = 12_000_000
+ORDER = 3
+#: Weight of the shorter context in states of one and of two tokens; of seven settings tried on held-out rows the best at the larger size (3.38 against 4.19 a token at the root).
+PRIOR = (1000.0, 10.0)
+#: Bytes of text that a batch reaches, and n-grams of all batches that a part gets on average.
+BATCH_BYTES, PART_GRAMS = 12_000_000, 4_000_000
 _U = np.uint64
+_BLOCK = 1 << 20
 
 
 def held_out(id_col: Column | str) -> Column:
@@ -55,221 +68,245 @@ def tokens_of(text: bytes, hashes: WordHashes) -> np.ndarray:
     return out
 
 
-def pair_key(first: np.ndarray, second: np.ndarray) -> np.ndarray:
-    key = (first * _U(0x9E3779B97F4A7C15)) ^ (second + _U(0x632BE59BD9B4E019) + (first >> _U(7)))
+def longer(state: np.ndarray, token: np.ndarray) -> np.ndarray:
+    """The key of a state and the token behind it."""
+    key = (state * _U(0x9E3779B97F4A7C15)) ^ (token + _U(0x632BE59BD9B4E019) + (state >> _U(7)))
     key = (key ^ (key >> _U(32))) * _U(0xD6E8FEB86659FD93)
     return key ^ (key >> _U(32))
 
 
-def _signed(x: np.ndarray) -> pa.Array:
-    return pa.array(x.view(np.int64))
+def begun(x: np.ndarray, starts: np.ndarray, first) -> np.ndarray:
+    """x one place later in each text; a text begins with `first`."""
+    out = np.empty_like(x)
+    out[1:] = x[:-1]
+    out[starts] = first
+    return out
 
 
-def _counted(keys: list[np.ndarray]) -> pa.RecordBatch:
-    unique, n = np.unique(np.concatenate(keys), return_counts=True)
-    return pa.record_batch([_signed(unique), pa.array(n.astype(np.int64))], ["k", "n"])
+def grams(tokens: np.ndarray, starts: np.ndarray) -> list[np.ndarray]:
+    """The keys of the n-grams that end at each token, order by order; before a text stands START, of which there are as many as needed."""
+    out = [tokens]
+    for _ in range(ORDER - 1):
+        out.append(longer(begun(out[-1], starts, START), tokens))
+    return out
 
 
-def _count(texts: DataFrame, keys_of) -> DataFrame:
-    """k, n of the keys that keys_of(tokens of some texts, their starts) gives; sums of a few million tokens each are shuffled."""
+def pack(arrays: list[np.ndarray], steps: bool) -> bytes:
+    """64-bit numbers as compressed planes of bytes; steps: as differences, for sorted ones."""
+    planes = [np.ascontiguousarray((np.diff(x, prepend=_U(0)) if steps else x.astype(_U)).view(np.uint8).reshape(-1, 8).T).tobytes() for x in arrays]
+    return pa.Codec("zstd", compression_level=1).compress(b"".join(planes), asbytes=True)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, held, size = WordHashes(), [], 0
-        for batch in batches:
-            for text in blobs(batch.column("text")):
-                held.append(tokens_of(text or b"", hashes))
-                size += len(held[-1])
-                if size > _FLUSH:
-                    yield _counted([keys_of(held)])
-                    held, size = [], 0
-        if held:
-            yield _counted([keys_of(held)])
 
-    return texts.mapInArrow(run, "k long, n long").groupBy("k").agg(F.sum("n").alias("n"))
+def unpack(data: bytes, sizes: list[int], steps: bool) -> list[np.ndarray]:
+    raw, out, at = np.frombuffer(pa.Codec("zstd").decompress(data, 8 * sum(sizes), asbytes=True), np.uint8), [], 0
+    for n in sizes:
+        x = np.ascontiguousarray(raw[at : at + 8 * n].reshape(8, n).T).view(_U).reshape(n)
+        out.append(np.cumsum(x, dtype=_U) if steps else x)
+        at += 8 * n
+    return out
 
 
-def count_tokens(texts: DataFrame) -> DataFrame:
-    """k, n of each token of texts (text)."""
-    return _count(texts, np.concatenate)
+def stretches(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[int, pa.Table]]:
+    """(number, rows) of consecutive rows whose texts reach limit bytes; the same however the rows are batched."""
+    number, held, size = TaskContext.get().partitionId() << 32, [], 0
+    for batch in batches:
+        ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+        at, done = 0, 0
+        while at < batch.num_rows:
+            to = min(batch.num_rows, int(np.searchsorted(ends, done + limit - size)) + 1)
+            held.append(batch.slice(at, to - at))
+            size += int(ends[to - 1]) - done
+            at, done = to, int(ends[to - 1])
+            if size >= limit:
+                yield number, pa.Table.from_batches(held)
+                number, held, size = number + 1, [], 0
+    if held:
+        yield number, pa.Table.from_batches(held)
 
 
-def states_before(tokens: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """The state before each token, and the tokens."""
-    w = np.concatenate(tokens)
-    h = np.concatenate([np.array([START], _U), w[:-1]])
-    h[np.cumsum([0, *(len(t) for t in tokens[:-1])])] = START
-    return h, w
+def tokenised(texts: pa.ChunkedArray, hashes: WordHashes) -> tuple[np.ndarray, np.ndarray]:
+    """All tokens, and where each text begins."""
+    each = [tokens_of(t or b"", hashes) for chunk in texts.chunks for t in blobs(chunk)]
+    return np.concatenate(each), np.concatenate([[0], np.cumsum([len(t) for t in each[:-1]], dtype=np.int64)])
 
 
-def count_pairs(texts: DataFrame, unigrams: DataFrame, min_pair: int, max_entries: int) -> DataFrame:
-    """k, h, w, n of each adjacent pair that occurs min_pair times or more.
+def digest(keys: list[np.ndarray]) -> int:
+    return xxhash.xxh3_64_intdigest(b"".join(k.tobytes() for k in keys)) >> 1
 
-    Both tokens of such a pair occur as often themselves. While those tokens can be broadcast, a pair travels as two indices
-    in one key; beyond that as its two hashes.
-    """
-    often = unigrams.where(F.col("n") >= min_pair)
-    if often.count() <= max_entries:
-        keys = np.unique(np.append(often.select("k").toArrow().column(0).to_numpy().view(_U), [_U(START)]))
-        table = texts.sparkSession.sparkContext.broadcast(keys)
-
-        def indexed(tokens: list[np.ndarray]) -> np.ndarray:
-            h, w = (place(table.value, x) for x in states_before(tokens))
-            known = (h < len(table.value)) & (w < len(table.value))
-            return h[known].astype(_U) << _U(32) | w[known].astype(_U)
-
-        def back(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                k = batch.column("k").to_numpy().view(_U)
-                h, w = table.value[(k >> _U(32)).astype(np.int64)], table.value[(k & _U(0xFFFFFFFF)).astype(np.int64)]
-                yield pa.record_batch([_signed(pair_key(h, w)), _signed(h), _signed(w), batch.column("n")], ["k", "h", "w", "n"])
-
-        return _count(texts, indexed).where(F.col("n") >= min_pair).mapInArrow(back, "k long, h long, w long, n long")
-
-    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = WordHashes()
-        for batch in batches:
-            for text in blobs(batch.column("text")):
-                h, w = states_before([tokens_of(text or b"", hashes)])
-                k, at, n = np.unique(pair_key(h, w), return_index=True, return_counts=True)
-                yield pa.record_batch([_signed(k), _signed(h[at]), _signed(w[at]), pa.array(n)], ["k", "h", "w", "n"])
-
-    pairs = texts.mapInArrow(hashed, "k long, h long, w long, n long")
-    return pairs.groupBy("k", "h", "w").agg(F.sum("n").alias("n")).where(F.col("n") >= min_pair)
-
-
-def place(keys: np.ndarray, of: np.ndarray) -> np.ndarray:
-    """Index of each of `of` in the sorted keys, len(keys) if it is absent."""
-    unique, back = np.unique(of, return_inverse=True)
-    at = np.searchsorted(keys, unique)
-    inside = at < len(keys)
-    at[inside] = np.where(keys[at[inside]] == unique[inside], at[inside], len(keys))
-    return at[back]
-
-
-@dataclass
-class Tables:
-    """unigrams (k, n), arcs (k, h, w, n), totals, and states (h, n, bow)."""
-
-    unigrams: DataFrame
-    arcs: DataFrame
-    states: DataFrame
-    total: int
-    distinct: int
-    discount: float
-    n_arcs: int
-
-    @property
-    def entries(self) -> int:
-        return self.distinct + 2 * self.n_arcs
-
-
-def train(texts: DataFrame, min_pair: int = 4, discount: float = 0.75, max_entries: int = MAX_ENTRIES) -> Tables:
-    """Counts over all rows of texts (text); the tables lie in the shared folder, three numbers come to the driver."""
-    ship(texts.sparkSession)
-    unigrams = cut(count_tokens(texts))
-    total, distinct = unigrams.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    found = count_pairs(texts, unigrams, min_pair, max_entries)
-    # a history was seen as often as its token, but for the start, which every document has once (as it has one end)
-    histories = unigrams.select(F.when(F.col("k") == _s(END), F.lit(_s(START))).otherwise(F.col("k")).alias("h"), F.col("n").alias("hn"))
-    lower = unigrams.select(F.col("k").alias("w"), ((F.col("n") + 1) / F.lit(total + distinct + 1)).alias("low"))
-    arcs = cut(found.join(histories, "h").join(lower, "w").select("k", "h", "w", "n", "hn", "low"))
-    states = arcs.groupBy("h").agg(F.max("hn").alias("hn"), F.sum(F.col("n") - discount).alias("used"), F.sum("low").alias("covered"))
-    states = cut(states.select("h", "hn", (F.log10((F.col("hn") - F.col("used")) / F.col("hn")) - F.log10(1 - F.col("covered"))).cast("float").alias("bow")))
-    return Tables(unigrams, arcs.select("k", (F.log10((F.col("n") - discount) / F.col("hn"))).cast("float").alias("weight")), states, total, distinct, discount, arcs.count())
-
-
-def _s(x: int) -> int:
-    return x - (1 << 64) if x >= 1 << 63 else x
-
-
-def _sorted(df: DataFrame, *columns: str) -> tuple[np.ndarray, ...]:
-    """Columns of a table of checked size, sorted by the first."""
-    table = df.select(*columns).toArrow()
-    key = table.column(0).to_numpy().view(_U)
-    order = np.argsort(key)
-    return key[order], *(table.column(i).to_numpy()[order] for i in range(1, len(columns)))
 
+def bounds(keys: np.ndarray, bits: int) -> np.ndarray:
+    """Where in the sorted keys each of the 2 ** bits parts of the range begins (and the last ends)."""
+    edges = np.arange(1 << bits, dtype=_U) << _U(64 - bits) if bits else np.zeros(1, _U)
+    return np.append(np.searchsorted(keys, edges), len(keys))
 
-class Automaton:
-    """States and arcs as sorted arrays."""
 
-    def __init__(self, unigrams, arcs, states, total: int, distinct: int):
-        self.words, counts = unigrams
-        self.low = np.append(np.log10((counts + 1) / (total + distinct + 1)), math.log10(1 / (total + distinct + 1)))
-        self.arcs, self.weight = arcs[0], np.append(arcs[1], np.float32(0))
-        self.states, self.bow = states[0], np.append(states[1], np.float32(0))
+_ASKED = "part long, batch long, digest long, sizes array<long>, keys binary, counts binary"
 
-    def score(self, texts: list[np.ndarray]) -> tuple[np.ndarray, ...]:
-        """n_tokens, n_known, base_score and score of each token array."""
-        lengths = np.array([len(t) for t in texts])
-        starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-        state, w = states_before(texts)
-        unigram = place(self.words, w)
-        low = self.low[unigram]
-        arc = place(self.arcs, pair_key(state, w))
-        failed = arc == len(self.arcs)
-        step = np.where(failed, self.bow[place(self.states, state)].astype(float) + low, self.weight[arc].astype(float))
-        add = lambda x: np.add.reduceat(x, starts)
-        return lengths, add((unigram < len(self.words)).astype(np.int64)), add(low), add(step)
 
+def asked(docs: DataFrame, learn: str, bits: int, batch_bytes: int) -> DataFrame:
+    """What each batch of docs (learn, text) asks of each part: its distinct n-grams, and how often it holds them in rows to learn from."""
 
-_SCORED = "n_tokens long, n_known long, base_score double, score double"
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = WordHashes(200_000)
+        for number, rows in stretches(batches, batch_bytes):
+            tokens, starts = tokenised(rows.column("text"), hashes)
+            told = np.repeat(pc.fill_null(rows.column(learn), False).to_numpy().astype(bool), np.diff(np.append(starts, len(tokens))))
+            keys, counts = [], []
+            for k in grams(tokens, starts):
+                keys.append(np.unique(k))
+                own, n = np.unique(k[told], return_counts=True)
+                counts.append(np.zeros(len(keys[-1]), np.int64))
+                counts[-1][np.searchsorted(keys[-1], own)] = n
+            check, at = digest(keys), [bounds(k, bits) for k in keys]
+            out: dict[str, list] = {name: [] for name in ("part", "batch", "digest", "sizes", "keys", "counts")}
+            for part in range(1 << bits):
+                cuts = [slice(a[part], a[part + 1]) for a in at]
+                sizes = [c.stop - c.start for c in cuts]
+                if any(sizes):
+                    for name, value in zip(out, (part, number, check, sizes, pack([k[c] for k, c in zip(keys, cuts, strict=True)], True), pack([n[c] for n, c in zip(counts, cuts, strict=True)], False)), strict=True):
+                        out[name].append(value)
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary(), pa.binary())
+            yield pa.record_batch([pa.array(v, kind) for v, kind in zip(out.values(), kinds, strict=True)], list(out))
+
+    return docs.select(learn, "text").mapInArrow(run, _ASKED)
+
+
+_ANSWERED = "batch long, part long, digest long, sizes array<long>, counts binary, tokens long, distinct long"
+
+
+def answer(rows: pa.Table) -> pa.Table:
+    """One part: the sums of what was told, back to each batch that asked; tokens and distinct of the part are in its first row."""
+    sizes = rows.column("sizes").to_pylist()
+    keys = [unpack(k, s, True) for k, s in zip(rows.column("keys").to_pylist(), sizes, strict=True)]
+    told = [unpack(n, s, False) for n, s in zip(rows.column("counts").to_pylist(), sizes, strict=True)]
+    sums, tokens, distinct = [], 0, 0
+    for order in range(ORDER):
+        k = np.concatenate([x[order] for x in keys])
+        sequence = np.argsort(k, kind="stable")
+        k = k[sequence]
+        first = np.ones(len(k), bool)
+        first[1:] = k[1:] != k[:-1]
+        n = np.concatenate([x[order] for x in told]).astype(np.int64)
+        total = np.add.reduceat(n[sequence], np.flatnonzero(first)) if len(k) else n
+        if not order:
+            tokens, distinct = int(total.sum()), int((total > 0).sum())
+        back = np.empty_like(n)
+        back[sequence] = total[np.cumsum(first) - 1]
+        sums.append(np.split(back, np.cumsum([s[order] for s in sizes])[:-1]))
+    counts = pa.array([pack(list(x), False) for x in zip(*sums, strict=True)], pa.binary())
+    rest = np.zeros(len(sizes) - 1, np.int64)
+    return pa.table([rows.column("batch"), rows.column("part"), rows.column("digest"), rows.column("sizes"), counts, np.append(tokens, rest), np.append(distinct, rest)], ["batch", "part", "digest", "sizes", "counts", "tokens", "distinct"])
 
 
-def score_broadcast(docs: DataFrame, t: Tables) -> DataFrame:
-    """docs (id, text) with the scores; the model goes to every worker once."""
-    model = docs.sparkSession.sparkContext.broadcast((_sorted(t.unigrams, "k", "n"), _sorted(t.arcs, "k", "weight"), _sorted(t.states, "h", "bow"), t.total, t.distinct))
-    keep = [c for c in docs.columns if c != "text"]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields if f.name != "text")
+class Automaton:
+    """The states and arcs that the n-grams of some texts can reach.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        automaton, hashes = Automaton(*model.value), WordHashes()
-        for batch in batches:
-            texts = blobs(batch.column("text"))
-            out, held, size = [], [], 0
-            for k, text in enumerate(texts):
-                held.append(tokens_of(text or b"", hashes))
-                size += len(held[-1])
-                if size > 500_000 or k == len(texts) - 1:
-                    out.append(automaton.score(held))
-                    held, size = [], 0
-            if out:
-                columns = [np.concatenate(x) for x in zip(*out, strict=True)]
-                yield pa.record_batch([*(batch.column(c) for c in keep), *map(pa.array, columns)], [*keep, "n_tokens", "n_known", "base_score", "score"])
-
-    return docs.select(*keep, "text").mapInArrow(run, f"{schema}, {_SCORED}")
-
-
-def score_joined(docs: DataFrame, t: Tables) -> DataFrame:
-    """The same scores for a model beyond any executor's memory: tokens meet the tables by key.
-
-    Each document's distinct (state, token) pairs travel with their number; a document is known by a digest of its
-    text, so copies are scored once.
+    Arcs and states are numbered by the places of the n-grams among the distinct ones of their order, and known by their counts.
     """
-    digest = F.xxhash64(F.coalesce("text", F.lit(""))).alias("_th"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("_tc")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = WordHashes()
-        for batch in batches:
-            th, tc = batch.column("_th").to_pylist(), batch.column("_tc").to_pylist()
-            for k, text in enumerate(blobs(batch.column("text"))):
-                w = tokens_of(text or b"", hashes)
-                h, w = states_before([w])
-                key, at, n = np.unique(pair_key(h, w), return_index=True, return_counts=True)
-                size = len(key)
-                yield pa.record_batch([pa.array([th[k]] * size, pa.int64()), pa.array([tc[k]] * size, pa.int64()), _signed(key), _signed(h[at]), _signed(w[at]), pa.array(n)], ["_th", "_tc", "k", "h", "w", "m"])
-
-    texts = docs.select(F.coalesce("text", F.lit("")).alias("text"), *digest).dropDuplicates(["_th", "_tc"])
-    each = texts.mapInArrow(run, "_th long, _tc long, k long, h long, w long, m long")
-    none = math.log10(1 / (t.total + t.distinct + 1))
-    low = F.when(F.col("n").isNull(), F.lit(none)).otherwise(F.log10((F.col("n") + 1) / F.lit(t.total + t.distinct + 1)))
-    rows = each.join(t.unigrams.withColumnRenamed("k", "w"), "w", "left").join(t.arcs, "k", "left").join(t.states.select("h", "bow"), "h", "left").withColumn("low", low)
-    step = F.coalesce(F.col("weight").cast("double"), F.coalesce(F.col("bow").cast("double"), F.lit(0.0)) + F.col("low"))
-    m = F.col("m")
-    sums = rows.groupBy("_th", "_tc").agg(F.sum(m).alias("n_tokens"), F.sum(F.when(F.col("n").isNotNull(), m).otherwise(0)).alias("n_known"), F.sum(m * F.col("low")).alias("base_score"), F.sum(m * step).alias("score"))
-    return docs.withColumns({"_th": digest[0], "_tc": digest[1]}).drop("text").join(sums, ["_th", "_tc"]).drop("_th", "_tc")
-
-
-def score(docs: DataFrame, t: Tables, max_entries: int = MAX_ENTRIES) -> DataFrame:
-    """docs (..., text) with n_tokens, n_known, base_score and score."""
-    return score_broadcast(docs, t) if t.entries <= max_entries else score_joined(docs, t)
+    def __init__(self, keys: list[np.ndarray], counts: list[np.ndarray], tokens: int, distinct: int, prior: tuple[float, ...] = PRIOR):
+        self.keys, self.counts, self.prior = keys, counts, prior
+        self.classes = tokens + distinct + 1
+        at = np.searchsorted(keys[0], _U(END))
+        #: Texts learned from, each of which begins in the state of starts and has one end.
+        self.texts = int(counts[0][at]) if at < len(keys[0]) and keys[0][at] == END else 0
+
+    def run(self, tokens: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Count of each token, log10 of its weight at the root, and the weight of the way from the state before it."""
+        seen = [n[np.searchsorted(k, g)] for k, n, g in zip(self.keys, self.counts, grams(tokens, starts), strict=True)]
+        root = np.log10((seen[0] + 1) / self.classes)
+        way, todo = np.zeros(len(tokens)), np.ones(len(tokens), bool)
+        smooth, fails = [10**root], []
+        for order in range(1, ORDER):
+            state = begun(seen[order - 1], starts, self.texts)
+            prior = self.prior[order - 1]
+            smooth.append((seen[order] + prior * smooth[-1]) / (state + prior))
+            fails.append(np.log10(prior / (state + prior)))
+        for order in range(ORDER - 1, 0, -1):  # from the longest state down its failure arcs; a context never seen is no state and costs nothing
+            arc = todo & (seen[order] > 0)
+            way[arc] += np.log10(smooth[order][arc])
+            todo &= ~arc
+            way[todo] += fails[order - 1][todo]
+        way[todo] += root[todo]
+        return seen[0], root, way
+
+
+RESULT = "n_tokens long, n_known long, base_score double, score double"
+
+
+def score(docs: DataFrame, learn: str, prior: tuple[float, ...] = PRIOR, batch_bytes: int = BATCH_BYTES, part_grams: int = PART_GRAMS) -> tuple[DataFrame, int]:
+    """docs (..., learn, text) without text, with n_tokens, n_known, base_score and score; and the tokens learned from.
+
+    Rows whose `learn` is true are learned from, all are scored.
+    """
+    ship(docs.sparkSession)
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    bits = max(0, math.ceil(math.log2(max(1, size / 4 / part_grams))))  # an n-gram for some four bytes of text, of all orders
+    answers = asked(docs, learn, bits, batch_bytes).groupBy("part").applyInArrow(answer, _ANSWERED)
+    answers = cut(answers)
+    tokens, distinct = answers.agg(F.coalesce(F.sum("tokens"), F.lit(0)), F.coalesce(F.sum("distinct"), F.lit(0))).first()
+
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = pa.Codec("zstd", compression_level=1)
+        for number, rows in stretches(batches, batch_bytes):
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rows.schema) as out:
+                out.write_table(rows)
+            body = sink.getvalue()
+            yield pa.record_batch([pa.array([number], pa.int64()), pa.array([body.size], pa.int64()), pa.array([codec.compress(body, asbytes=True)], pa.binary())], ["batch", "size", "body"])
+
+    kept = StructType([f for f in docs.schema.fields if f.name != "text"])
+    names = [*kept.names, "n_tokens", "n_known", "base_score", "score"]
+
+    def scored(batch: pa.Table, answered: pa.Table) -> pa.Table:
+        codec = pa.Codec("zstd")
+        raw = codec.decompress(batch.column("body")[0].as_py(), batch.column("size")[0].as_py())
+        rows = pa.ipc.open_stream(raw).read_all()
+        words, starts = tokenised(rows.column("text"), WordHashes(200_000))
+        keys = [np.unique(k) for k in grams(words, starts)]
+        answered = answered.sort_by("part")
+        if set(answered.column("digest").to_pylist()) != {digest(keys)}:
+            raise ValueError("the rows of a batch were not the same when read again")
+        parts = [unpack(n, s, False) for n, s in zip(answered.column("counts").to_pylist(), answered.column("sizes").to_pylist(), strict=True)]
+        counts = [np.concatenate([p[order] for p in parts]).astype(np.int64) for order in range(ORDER)]
+        automaton, sums, n = Automaton(keys, counts, tokens, distinct, prior), [], np.diff(np.append(starts, len(words)))
+        edge = 0
+        while edge < len(n):  # a block of texts at a time
+            to = max(edge + 1, int(np.searchsorted(starts, starts[edge] + _BLOCK)))
+            own = starts[edge:to] - starts[edge]
+            seen, root, way = automaton.run(words[starts[edge] : starts[edge] + own[-1] + n[to - 1]], own)
+            sums.append([np.add.reduceat(x, own) for x in ((seen > 0).astype(np.int64), root, way)])
+            edge = to
+        known, base, total = (np.concatenate(x) for x in zip(*sums, strict=True))
+        return pa.table([*(rows.column(c) for c in kept.names), n, known, base, total], names)
+
+    bodies = docs.select(*kept.names, "text").mapInArrow(packed, "batch long, size long, body binary")
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.fields)
+    out = bodies.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(scored, f"{fields}, {RESULT}")
+    return out, tokens
+
+
+def plain_scores(texts: list[str | None], learn: list[bool], prior: tuple[float, ...] = PRIOR) -> list[float]:
+    """The scores again from counters of tuples; for tests."""
+    from collections import Counter
+
+    def tokens(text: str | None) -> list[str]:
+        return ["<s>", "<s>", *(w.decode("utf-8", "replace") for w in (text or "").encode().lower().split()), "</s>"]
+
+    grams, contexts = Counter(), Counter()
+    for text, use in zip(texts, learn, strict=True):
+        t = tokens(text)
+        for i in range(2, len(t)) if use else ():
+            for n in range(3):
+                grams[tuple(t[i - n : i + 1])] += 1
+                contexts[tuple(t[i - n : i])] += 1
+    single = [g for g in grams if len(g) == 1]
+    classes = contexts[()] + len(single) + 1
+
+    def p(word: str, state: tuple[str, ...]) -> float:
+        if not state:
+            return (grams[(word,)] + 1) / classes
+        k = prior[len(state) - 1]
+        return (grams[(*state, word)] + k * p(word, state[1:])) / (contexts[state] + k)
+
+    return [sum(math.log10(p(t[i], tuple(t[i - 2 : i]))) for i in range(2, len(t))) for t in map(tokens, texts)]

@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from webtext.llm.common import read
-from webtext.llm.ngram import held_out, score, train
+from webtext.llm.ngram import held_out, score
 
 
 def op5_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = read(spark, sf_dir, "documents").select("doc_id", held_out("doc_id").alias("held_out"), "text")
-    tables = train(docs.where(~F.col("held_out")).select("text"))
-    return score(docs, tables).withColumn("train_tokens", F.lit(tables.total).cast("long"))
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every document; null texts have their end token alone, repeated rows are rows."""
+    docs = read(spark, sf_dir, "documents").select("doc_id", held_out("doc_id").alias("held_out"), (~held_out("doc_id")).alias("learn"), "text")
+    scores, tokens = score(docs, "learn")
+    return scores.drop("learn").withColumn("train_tokens", F.lit(tokens).cast("long"))
