@@ -92,18 +92,21 @@ def grams(tokens: np.ndarray, starts: np.ndarray) -> list[np.ndarray]:
 
 
 def pack(arrays: list[np.ndarray], steps: bool) -> bytes:
-    """64-bit numbers as compressed planes of bytes; steps: as differences, for sorted ones."""
-    planes = [np.ascontiguousarray((np.diff(x, prepend=_U(0)) if steps else x.astype(_U)).view(np.uint8).reshape(-1, 8).T).tobytes() for x in arrays]
-    return pa.Codec("zstd", compression_level=1).compress(b"".join(planes), asbytes=True)
+    """64-bit numbers as eight planes of bytes, each compressed by itself: high ones are nearly all zero; steps: as differences, for sorted ones."""
+    flat = np.concatenate([np.diff(x, prepend=_U(0)) if steps else x.astype(_U) for x in arrays])
+    codec = pa.Codec("zstd", compression_level=1)
+    planes = [codec.compress(plane.tobytes(), asbytes=True) for plane in flat.view(np.uint8).reshape(-1, 8).T]
+    return np.array([len(x) for x in planes], np.int64).tobytes() + b"".join(planes)
 
 
 def unpack(data: bytes, sizes: list[int], steps: bool) -> list[np.ndarray]:
-    raw, out, at = np.frombuffer(pa.Codec("zstd").decompress(data, 8 * sum(sizes), asbytes=True), np.uint8), [], 0
-    for n in sizes:
-        x = np.ascontiguousarray(raw[at : at + 8 * n].reshape(8, n).T).view(_U).reshape(n)
-        out.append(np.cumsum(x, dtype=_U) if steps else x)
-        at += 8 * n
-    return out
+    codec, n, at = pa.Codec("zstd"), sum(sizes), 64
+    flat = np.empty((n, 8), np.uint8)
+    for k, size in enumerate(np.frombuffer(data, np.int64, 8).tolist()):
+        flat[:, k] = np.frombuffer(codec.decompress(data[at : at + size], n, asbytes=True), np.uint8)
+        at += size
+    parts = np.split(flat.view(_U).reshape(n), np.cumsum(sizes)[:-1])
+    return [np.cumsum(x, dtype=_U) for x in parts] if steps else parts
 
 
 def stretches(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[int, pa.Table]]:
