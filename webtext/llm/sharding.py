@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
@@ -27,10 +27,10 @@ def _prefix(depth):
     return F.shiftright("h", BITS - depth) if isinstance(depth, int) else F.expr(f"shiftright(h, cast({BITS} - {depth} as int))")
 
 
-def hashed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, h, n_bytes of each row."""
+def hashed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *more: Column) -> DataFrame:
+    """doc_id, h, n_bytes of each row, and more columns of it."""
     key = F.md5(F.coalesce(F.col(id_col).cast("string"), F.concat(F.lit("text:"), F.coalesce(F.col(text_col), F.lit("")))).cast("binary"))
-    return docs.select(F.col(id_col).alias("doc_id"), F.conv(F.substring(key, 1, 15), 16, 10).cast("long").alias("h"), F.octet_length(F.coalesce(F.col(text_col), F.lit(""))).cast("long").alias("n_bytes"))
+    return docs.select(F.col(id_col).alias("doc_id"), F.conv(F.substring(key, 1, 15), 16, 10).cast("long").alias("h"), F.octet_length(F.coalesce(F.col(text_col), F.lit(""))).cast("long").alias("n_bytes"), *more)
 
 
 def directory(rows: DataFrame, limit: int) -> tuple[DataFrame, list[int]]:
@@ -57,8 +57,14 @@ def directory(rows: DataFrame, limit: int) -> tuple[DataFrame, list[int]]:
 
 def assign(docs: DataFrame, limit: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, shard (the bits of its prefix, and `+page` for overflow), depth, n_bytes, shard_bytes, shard_rows, fits of each row."""
-    rows = hashed(docs, id_col, text_col)
-    found, depths = directory(rows, limit)
+    out = _dealt(hashed(docs, id_col, text_col), limit)
+    sizes = out.groupBy("shard").agg(F.sum("n_bytes").alias("shard_bytes"), F.count("*").alias("shard_rows"))
+    return out.join(sizes, "shard").select("doc_id", "shard", F.col("depth").cast("int").alias("depth"), "n_bytes", "shard_bytes", "shard_rows", (F.col("shard_bytes") <= limit).alias("fits"))
+
+
+def _dealt(rows: DataFrame, limit: int) -> DataFrame:
+    """rows (doc_id, h, n_bytes and others) with depth and shard; the directory is made of hashes and sizes alone."""
+    found, depths = directory(rows.select("h", "n_bytes"), limit)
     parts = []
     for d in depths:
         own = found.where(F.col("cell_depth") == d).select("cell", "depth")
@@ -72,12 +78,10 @@ def assign(docs: DataFrame, limit: int, id_col: str = "doc_id", text_col: str =
     over = out.where("depth < 0").withColumn("page", F.floor((nth - 1) / F.greatest(F.lit(1), F.floor(F.lit(limit) / F.greatest(largest, F.lit(1))))).cast("long")).withColumn("depth", F.lit(BITS))
     out = split.unionByName(over)
     bits = F.when(F.col("depth") == 0, "").otherwise(F.lpad(F.bin(F.expr(f"shiftright(h, cast({BITS} - depth as int))")), F.col("depth").cast("int"), F.lit("0")))
-    out = out.withColumn("shard", F.concat(bits, F.coalesce(F.concat(F.lit("+"), F.col("page").cast("string")), F.lit("")))).drop("h", "page")
-    sizes = out.groupBy("shard").agg(F.sum("n_bytes").alias("shard_bytes"), F.count("*").alias("shard_rows"))
-    return out.join(sizes, "shard").select("doc_id", "shard", F.col("depth").cast("int").alias("depth"), "n_bytes", "shard_bytes", "shard_rows", (F.col("shard_bytes") <= limit).alias("fits"))
+    return out.withColumn("shard", F.concat(bits, F.coalesce(F.concat(F.lit("+"), F.col("page").cast("string")), F.lit("")))).drop("h", "page")
 
 
 def write_shards(docs: DataFrame, path: str, limit: int, id_col: str = "doc_id", text_col: str = "text") -> None:
-    """Writes docs partitioned by shard, one task for each shard; rows of equal ids stay together."""
-    placed = assign(docs, limit, id_col, text_col).groupBy(F.col("doc_id").alias("__id")).agg(F.min("shard").alias("shard"))
-    docs.join(placed, F.col(id_col).eqNullSafe(F.col("__id"))).drop("__id").withColumn("shard", F.concat(F.lit("s"), "shard")).repartition("shard").write.partitionBy("shard").parquet(path)
+    """Writes docs partitioned by shard, one task for each shard; each row goes to the shard or overflow page that `assign` deals it."""
+    key = hashed(docs, id_col, text_col, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    _dealt(key, limit).select("row.*", F.concat(F.lit("s"), "shard").alias("shard")).repartition("shard").write.partitionBy("shard").parquet(path)
