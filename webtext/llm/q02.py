@@ -11,10 +11,11 @@ RULES = [("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "exa
 
 
 def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """page_id, host, path, rule and verdict of every page; a null url has an empty host and path and is allowed, repeated rows are rows."""
     return judge(read(spark, sf_dir, "pages").select("page_id", "url", "html"), RULES)
 
 
-#: The given pages hold no canonical links and no refresh redirects, so that classes are equal canonical spellings here.
+#: The given pages hold no canonical links and no refresh redirects, so that no class joins different URLs and pages without a rule are allowed.
 SQL = r"""
 WITH s AS (SELECT page_id, url, contains(coalesce(url, ''), '://') AS ok, substr(url, strpos(url, '://') + 3) AS rest FROM pages),
 h AS (SELECT page_id, url, CASE WHEN ok THEN regexp_extract(rest, '^[^/?#]*') ELSE '' END AS raw, CASE WHEN ok THEN rest ELSE '' END AS rest FROM s),
@@ -24,10 +25,6 @@ r AS (SELECT *, CASE
     WHEN (host = 'example.org' OR ends_with(host, '.example.org')) AND starts_with(path, '/es/') THEN 'example.org/es/'
     WHEN (host = 'com' OR ends_with(host, '.com')) AND starts_with(path, '/de/') THEN 'com/de/'
     WHEN (host = 'com' OR ends_with(host, '.com')) AND starts_with(path, '/fr/') THEN 'com/fr/'
-    WHEN (host = 'org' OR ends_with(host, '.org')) AND starts_with(path, '/') THEN 'org/' END AS rule FROM p),
-v AS (SELECT *, CASE WHEN rule IN ('org/', 'com/fr/') THEN 'allow' WHEN rule IS NOT NULL THEN 'block' END AS said,
-  CASE WHEN host = '' THEN coalesce(url, '') ELSE regexp_replace(host, '^(www|m)\.', '') || regexp_replace(regexp_replace(path, '\.html?$', ''), '/+$', '') || '?' ||
-    array_to_string(list_sort(list_filter(string_split(regexp_extract(url, '^[^?#]*\?([^#]*)', 1), '&'), lambda x: x <> '' AND NOT regexp_matches(x, '^(utm_[a-z]+|ref|fbclid|gclid)='))), '&') END AS node FROM r),
-c AS (SELECT node, bool_or(said = 'allow') AS allowed FROM v WHERE said IS NOT NULL GROUP BY node)
-SELECT page_id, host, path, rule, coalesce(said, CASE WHEN allowed IS FALSE THEN 'block' ELSE 'allow' END) AS verdict FROM v LEFT JOIN c USING (node)
+    WHEN (host = 'org' OR ends_with(host, '.org')) AND starts_with(path, '/') THEN 'org/' END AS rule FROM p)
+SELECT page_id, host, path, rule, CASE WHEN rule IN ('example.org/es/', 'example.org/en/1', 'com/de/') THEN 'block' ELSE 'allow' END AS verdict FROM r
 """

@@ -1,9 +1,9 @@
 """URL filters: host and path rules, carried over redirects and canonical links.
 
 A rule names a host, which stands for all its subdomains, and a prefix of the path; the longest rule that fits decides. Pages without
-a rule take the decision of their equivalence class: URLs that differ only in scheme, `www.` or `m.`, tracking
-parameters, fragment, `.html` or a last slash are one node; canonical links, refresh redirects and given redirects are
-edges; classes are connected components. An explicit allow anywhere in a class outweighs blocks; a class without any
+a rule take the decision of their equivalence class: a URL without its fragment is a node; canonical links, refresh redirects and
+given redirects are edges; classes are connected components. With `spellings`, URLs that differ only in scheme, `www.` or `m.`, tracking
+parameters, `.html` or a last slash are one node too. An explicit allow anywhere in a class outweighs blocks; a class without any
 rule is allowed.
 
 Edge cases: a null url, or one without `://`, has neither host nor path, fits no rule and is a node of its own text; null html has no
@@ -73,12 +73,13 @@ def _longest(host: Column, path: Column, rules: Rules) -> tuple[Column, Column]:
     return rule, verdict
 
 
-def judge(pages: DataFrame, rules: Rules, redirects: DataFrame | None = None) -> DataFrame:
+def judge(pages: DataFrame, rules: Rules, redirects: DataFrame | None = None, spellings: bool = False) -> DataFrame:
     """page_id, host, path, rule, verdict of pages (page_id, url, html); redirects (from_url, to_url) are further edges."""
     found = links(pages)
     if redirects is not None:
         found = found.unionByName(redirects.select("from_url", "to_url"))
-    node = lambda url: F.xxhash64(canonical(F.col(url)))
+    plain = lambda url: F.coalesce(F.regexp_replace(url, r"(?s)#.*$", ""), F.lit(""))
+    node = lambda url: F.xxhash64(canonical(F.col(url)) if spellings else plain(F.col(url)))
     labels = components(found.select(node("from_url").alias("u"), node("to_url").alias("v")))
     host, path = host_and_path(F.col("url"))
     rule, said = _longest(F.col("host"), F.col("path"), rules)
