@@ -92,8 +92,8 @@ def records_of(page_id: int | None, url: str | None, payload: bytes, refers_to:
         yield _record(fields + (common if k == 1 else []), piece)
 
 
-def write_archives(pages: DataFrame, path: str, min_revisit_bytes: int = 100, chunk_bytes: int = 4096, segment_bytes: int = 65536, records_per_file: int = 20_000) -> None:
-    """Writes the records of pages (page_id, url, html) as gzip archives below path.
+def write_archives(pages: DataFrame, path: str, min_revisit_bytes: int = 100, chunk_bytes: int = 4096, segment_bytes: int = 65536, file_bytes: int = 64 << 20) -> None:
+    """Writes the records of pages (page_id, url, html) as gzip archives of at most about file_bytes (uncompressed) below path.
 
     The html is moved only if the list of revisits is too long to be broadcast; then by page_id, which is even.
     """
@@ -103,18 +103,25 @@ def write_archives(pages: DataFrame, path: str, min_revisit_bytes: int = 100, ch
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, urls, refs = (batch.column(n).to_pylist() for n in ("page_id", "url", "refers_to"))
-            html, out, size = batch.column("html"), [], 0
+            html, out, held, size = batch.column("html"), [], [], 0
             for k in range(batch.num_rows):
                 payload = (html[k].as_py() or "").encode()
                 for record in records_of(ids[k], urls[k], payload, refs[k], chunk_bytes, segment_bytes):
-                    out.append(record)
+                    held.append(record)
                     size += len(record)
-                if size > 16 << 20:
+                    if size >= segment_bytes:
+                        out.append(END.encode().join(held))
+                        held, size = [], 0
+                if len(out) * segment_bytes > 16 << 20:
                     yield pa.record_batch([pa.array(out, pa.binary()).cast(pa.string())], ["value"])
-                    out, size = [], 0
+                    out = []
+            if held:
+                out.append(END.encode().join(held))
             yield pa.record_batch([pa.array(out, pa.binary()).cast(pa.string())], ["value"])
 
-    (joined.mapInArrow(emit, "value string").write.option("lineSep", END).option("maxRecordsPerFile", records_per_file).option("compression", "gzip").text(path))
+    # a row is some records of segment_bytes or more, and less than twice that and a head, so rows bound a file's bytes
+    rows = max(1, file_bytes // (2 * segment_bytes))
+    (joined.mapInArrow(emit, "value string").write.option("lineSep", END).option("maxRecordsPerFile", rows).option("compression", "gzip").text(path))
 
 
 def parse_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
