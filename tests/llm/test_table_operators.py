@@ -59,13 +59,16 @@ def test_url_rules(spark):
         (10, None, None), (11, "no scheme", "<p>"), (12, "http://notexample.org.evil.net/es/", ""), (13, "http://z.org/x", ""), (4, "http://bad.net/b", None),
     ]
     df = spark.createDataFrame([(*p, "h") for p in pages], "page_id long, url string, html string, host string")
-    got = {r.page_id: r for r in urlrules.judge(df, rules).collect()}
+    got = {r.page_id: r for r in urlrules.judge(df, rules, spellings=True).collect()}
     assert (got[1].host, got[1].path, got[1].rule, got[1].verdict) == ("www.example.org", "/es/x", "example.org/es/", "block")
     assert [got[i].verdict for i in (2, 3, 4, 5, 6, 7, 8, 9, 12, 13)] == ["allow", "block", "block", "block", "block", "allow", "allow", "allow", "allow", "allow"]
     assert (got[10].host, got[10].path, got[10].rule) == ("", "", None) and got[11].verdict == "allow" and got[12].rule is None
     assert urlrules.judge(df, rules).count() == len(pages) and urlrules.judge(df.limit(0), rules).count() == 0
     moved = spark.createDataFrame([("http://notexample.org.evil.net/es/", "http://bad.net/b")], "from_url string, to_url string")
     assert {r.page_id: r.verdict for r in urlrules.judge(df, rules, moved).collect()}[12] == "block"
+    # edges alone: 3 names 4 as it is written there, 5 and 6 name pages that are written otherwise
+    edges = {r.page_id: r.verdict for r in urlrules.judge(df, rules).collect()}
+    assert [edges[i] for i in (2, 3, 4, 5, 6, 7, 8, 9)] == ["allow", "block", "block", "allow", "allow", "allow", "allow", "allow"]
 
 
 def test_components_of_chain_and_star(spark):
@@ -109,6 +112,15 @@ def _filled(sizes):
         full |= {s: 2.0 * sizes[s] for s in over}
 
 
+def test_written_shards_fit_for_repeated_ids(spark, tmp_path):
+    docs = spark.createDataFrame([(7, "x" * 400, k) for k in range(20)] + [(i, "y" * 90, 0) for i in range(100, 160)], "doc_id long, text string, h int")
+    path = str(tmp_path / "shards")
+    sharding.write_shards(docs, path, 1000)
+    back = spark.read.parquet(path)
+    assert back.count() == 80 and set(docs.columns) <= set(back.columns) and back.select("doc_id", "h").distinct().count() == 80
+    assert back.groupBy("shard").agg(F.sum(F.length("text")).alias("n")).where("n > 1000").count() == 0
+
+
 def test_mixing(spark, odd_docs, no_docs):
     docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "source", "text")
     docs = docs.withColumn("source", F.when(F.col("source") == "src3", None).otherwise(F.col("source")))
@@ -176,7 +188,7 @@ def test_archives(spark, tmp_path):
     pages = [(1, "http://a/ b", big), (2, "http://a/2", big), (3, None, None), (4, "u", ""), (5, "u5", "short"), (6, "u6", "short"), (7, "u7", "WARC/1.1\r\n\r\n0\r\n\r\n" * 20), (8, "u8", "x" * 100), (9, "u9", "x" * 100), (1, "http://a/ b", big), (None, "n", "x" * 100)]
     df = spark.createDataFrame([(*p, 1) for p in pages], "page_id long, url string, html string, payload int")
     path = str(tmp_path / "archives")
-    warc.write_archives(df, path, chunk_bytes=1000, segment_bytes=3000, records_per_file=7)
+    warc.write_archives(df, path, chunk_bytes=1000, segment_bytes=3000, file_bytes=42_000)
     assert warc.read_segments(spark, path).where("segment is not null").count() > 20
     rows = warc.read_payloads(spark, path).collect()
     assert len(rows) == len(pages) and all(r.status == "ok" for r in rows)
