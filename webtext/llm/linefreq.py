@@ -1,17 +1,16 @@
 """Quality rules: measures of each document and cross-document line frequency.
 
 A line is normalised (lower case, digits to 0, white space to single blanks) and hashed. For each host the distinct
-documents that hold a line are counted. Copies are not distinct: documents are told apart by their near-duplicate class
-(`bagminhash`, texts with digits as 0), found among the documents that hold a line which enough rows of their host hold.
-A line is boilerplate if documents of more than `max_docs` classes hold it, and of more than `max_share` of the host's
-documents. Documents that differ in their own text stay distinct however many lines they share, unless what they share is
-nearly all of both.
-Boilerplate lines are removed; a document is rejected that is left with less than `min_words` words and less than
-`min_left` of its own. Base rules reject very short and very repetitive documents.
-
-Edge cases: null text has no words; a null host is a host of its own; repeated rows are copies (one class); rows with
-null or repeated ids are told apart by their text and each keeps its own row; one-line documents never make a line
-frequent among themselves (they are copies); ties do not arise as every limit is a strict comparison.
+documents that hold a line are counted. Copies are not distinct: documents with the same set of normalised lines count once, whatever
+else they share counts as often as it is held. A line is boilerplate if more than `max_docs` distinct documents hold it, and more than
+`max_share` of the host's documents: the first limit alone would take common short lines of very large hosts for boilerplate, the second alone
+any line of a small one.
+Boilerplate lines are removed; a document is rejected that lost lines and is left with less than `min_left` of its
+words. Base rules reject very short and very repetitive documents.
+
+Edge cases: null text has no words; a null host is a host of its own; repeated rows are copies; rows with
+null or repeated ids are told apart by their text and each keeps its own row; ties do not arise as every limit is a strict
+comparison; an empty table gives no rows; other columns are left as they are, but those named as a result are replaced.
 """
 
 from __future__ import annotations
@@ -26,7 +25,6 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from webtext.llm.bagminhash import placed_nodes
 from webtext.llm.common import WordHashes, blobs, cut, row_key, same_key
 from webtext.session import ship
 
@@ -51,6 +49,11 @@ def line_hash(line: bytes) -> int:
     return h - (1 << 64) if h >= 1 << 63 else h
 
 
+def line_set(lines: list[tuple[int, int]]) -> int:
+    """One hash for all documents of the same normalised lines."""
+    return xxhash.xxh3_64_intdigest(np.unique(np.array([h for h, _ in lines], np.int64)).tobytes()) - (1 << 63)
+
+
 def repeat_words(words: list[bytes], hashes: WordHashes, window: int = WINDOW) -> int:
     """Words in windows of `window` words that occur twice or more."""
     n = len(words) - window + 1
@@ -90,7 +93,7 @@ def measures(text: bytes, hashes: WordHashes) -> tuple[int, int, int, int, int,
     return len(words), len(kept.decode("utf-8", "replace")), len(kept) - len(kept.translate(None, _SYMBOLS)), dup, repeat_words(words, hashes), lines
 
 
-_MEASURED = "_id long, _th long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, lines array<struct<h: long, w: int>>"
+_MEASURED = "_id long, _th long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, line_set long, lines array<struct<h: long, w: int>>"
 
 
 def measure(docs: DataFrame) -> DataFrame:
@@ -106,56 +109,29 @@ def measure(docs: DataFrame) -> DataFrame:
             h, w = (pa.array([x[k] for x in flat], t) for k, t in ((0, pa.int64()), (1, pa.int32())))
             lines = pa.ListArray.from_arrays(pa.array(offsets), pa.StructArray.from_arrays([h, w], fields=list(kind.value_type)))
             out = [batch.column(n) for n in ("_id", "_th", "host")] + [pa.array([r[k] for r in rows], pa.int64()) for k in range(5)]
-            yield pa.record_batch([*out, lines], ["_id", "_th", "host", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "lines"])
+            sets = pa.array([line_set(r[5]) for r in rows], pa.int64())
+            yield pa.record_batch([*out, sets, lines], ["_id", "_th", "host", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "line_set", "lines"])
 
     return docs.mapInArrow(run, _MEASURED)
 
 
-def held_lines(measured: DataFrame, limits: Limits) -> DataFrame:
-    """_id, _th, host, h, w (words in all), host_docs of the lines of each row that enough rows of its host hold, copies or not."""
-    own = F.array_distinct(F.transform("lines", lambda x: x["h"]))
-    rows = measured.select("host", F.explode(own).alias("h")).groupBy("host", "h").agg(F.count("*").alias("n_rows")).where(F.col("n_rows") > limits.max_docs)
-    hosts = measured.groupBy("host").agg(F.count("*").alias("host_docs"))
-    often = rows.join(hosts, rows["host"].eqNullSafe(hosts["host"])).where(F.col("n_rows") > limits.max_share * F.col("host_docs")).select(rows["host"], "h", "host_docs")
-    one = measured.select("_id", "_th", "host", F.explode("lines").alias("line")).select("_id", "_th", "host", "line.h", "line.w")
-    return cut(one.join(often, one["host"].eqNullSafe(often["host"]) & (one["h"] == often["h"])).select("_id", "_th", one["host"], one["h"], "w", "host_docs"))
-
-
-def copy_classes(held: DataFrame, docs: DataFrame) -> DataFrame:
-    """_id, _th, comp: the near-duplicate class of each document (_id, _th, text) that held names."""
-    wanted = cut(held.select(F.col("_id").alias("w_id"), F.col("_th").alias("w_th")).distinct())
-    if wanted.count() <= 1_000_000:  # 16 bytes each
-        wanted = F.broadcast(wanted)
-    own = docs.join(wanted, F.col("_id").eqNullSafe(F.col("w_id")) & (F.col("_th") == F.col("w_th")), "left_semi")
-    rows, placed = placed_nodes(own.withColumn("text", F.translate("text", "123456789", "000000000")))
-    return rows.select("_id", "_th", "node").distinct().join(placed.select("node", "comp"), "node").select("_id", "_th", "comp")
-
-
-def frequent_lines(held: DataFrame, docs: DataFrame | None, limits: Limits) -> DataFrame:
+def frequent_lines(measured: DataFrame, limits: Limits) -> DataFrame:
     """host, h, n_docs of the boilerplate lines of each host."""
-    classes = held.select("_id", "_th", F.col("_th").alias("comp")).distinct() if docs is None else copy_classes(held, docs)
-    classes = classes.withColumnsRenamed({"_id": "c_id", "_th": "c_th"})
-    rows = held.select("_id", "_th", "host", "h", "host_docs").distinct()
-    each = rows.join(classes, F.col("_id").eqNullSafe(F.col("c_id")) & (F.col("_th") == F.col("c_th"))).select("host", "h", "host_docs", "comp").distinct()
-    lines = each.groupBy("host", "h", "host_docs").agg(F.count("*").alias("n_docs"))
-    return lines.where((F.col("n_docs") > limits.max_docs) & (F.col("n_docs") > limits.max_share * F.col("host_docs"))).select("host", "h", "n_docs")
+    own = F.array_distinct(F.transform("lines", lambda x: x["h"]))
+    each = measured.select("host", "line_set", F.explode(own).alias("h")).distinct()
+    lines = each.groupBy("host", "h").agg(F.count("*").alias("n_docs")).where(F.col("n_docs") > limits.max_docs)
+    hosts = measured.groupBy(F.col("host").alias("host_name")).agg(F.count("*").alias("host_docs"))
+    return lines.join(hosts, F.col("host").eqNullSafe(F.col("host_name"))).where(F.col("n_docs") > limits.max_share * F.col("host_docs")).select("host", "h", "n_docs")
 
 
 def judge(docs: DataFrame, limits: Limits = Limits(), host: str = "source", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with the measures, base_failed, removed (hashes of its boilerplate lines), words_left and kept.
 
-    Text is measured once; only hashes and counts are shuffled. The texts of documents that hold often repeated lines are read
-    again to tell copies. Documents meet their verdict by key.
+    Text is measured once; only hashes and counts are shuffled. Documents meet their verdict by key.
     """
     return _with_verdict(docs, measured_once(docs, host, id_col, text_col), limits, id_col, text_col)
 
 
-def keyed_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """_id, _th (see row_key) and text."""
-    key = row_key(id_col, text_col)
-    return docs.select(key[0].cast("long").alias("_id"), key[1], F.col(text_col).cast("string").alias("text"))
-
-
 def measured_once(docs: DataFrame, host: str = "source", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Measures of each row, kept in the shared folder as two passes follow."""
     ship(docs.sparkSession)
@@ -163,27 +139,24 @@ def measured_once(docs: DataFrame, host: str = "source", id_col: str = "doc_id",
     return cut(measure(docs.select(key[0].cast("long").alias("_id"), key[1], F.col(host).cast("string").alias("host"), F.col(text_col).cast("string").alias("text"))))
 
 
-def verdicts(measured: DataFrame, limits: Limits, docs: DataFrame | None = None) -> DataFrame:
-    """measured without its lines, with base_failed, removed, words_left and kept.
-
-    docs (keyed_texts) are the texts in which near copies are found; without them only rows of equal text are copies.
-    """
-    held = held_lines(measured, limits)
-    frequent = frequent_lines(held, docs, limits).select(F.col("host").alias("f_host"), F.col("h").alias("f_h"))
-    hits = held.join(frequent, F.col("host").eqNullSafe(F.col("f_host")) & (F.col("h") == F.col("f_h"))).select("_id", "_th", "host", "h", "w")
+def verdicts(measured: DataFrame, limits: Limits) -> DataFrame:
+    """measured without its lines, with base_failed, removed, words_left and kept."""
+    frequent = cut(frequent_lines(measured, limits).select(F.col("host").alias("f_host"), F.col("h").alias("f_h")))
+    lines = measured.select("_id", "_th", "host", F.explode("lines").alias("line")).select("_id", "_th", "host", "line.h", "line.w")
+    hits = lines.join(frequent, F.col("host").eqNullSafe(F.col("f_host")) & (F.col("h") == F.col("f_h"))).select("_id", "_th", "host", "h", "w")
     # repeated rows are summed together here, and shared out again by their number
     gone = hits.groupBy("_id", "_th", "host").agg(F.collect_set("h").alias("removed"), F.sum("w").alias("words_removed"))
     same = measured.groupBy("_id", "_th", "host").agg(F.count("*").alias("times"))
     gone = gone.join(same, same_key(gone, same) & gone["host"].eqNullSafe(same["host"])).select(gone["_id"].alias("g_id"), gone["_th"].alias("g_th"), gone["host"].alias("g_host"), "removed", (F.col("words_removed") / F.col("times")).cast("long").alias("words_removed"))
-    out = measured.drop("lines").join(gone, F.col("_id").eqNullSafe(F.col("g_id")) & (F.col("_th") == F.col("g_th")) & F.col("host").eqNullSafe(F.col("g_host")), "left")
+    out = measured.drop("lines", "line_set").join(gone, F.col("_id").eqNullSafe(F.col("g_id")) & (F.col("_th") == F.col("g_th")) & F.col("host").eqNullSafe(F.col("g_host")), "left")
     out = out.withColumn("base_failed", (F.col("n_words") < limits.min_words) | (100 * F.col("n_repeat_words") > limits.max_repeat_percent * F.col("n_words")))
     out = out.withColumn("words_left", F.col("n_words") - F.coalesce("words_removed", F.lit(0)))
-    depleted = (F.col("words_left") < limits.min_words) & (F.col("words_left") < limits.min_left * F.col("n_words"))
+    depleted = F.col("removed").isNotNull() & (F.col("words_left") < limits.min_left * F.col("n_words"))
     return out.withColumn("kept", ~F.col("base_failed") & ~depleted).drop("g_id", "g_th", "g_host", "words_removed")
 
 
 def _with_verdict(docs: DataFrame, measured: DataFrame, limits: Limits, id_col: str, text_col: str) -> DataFrame:
-    found = verdicts(measured, limits, keyed_texts(docs, id_col, text_col)).drop("host").dropDuplicates(["_id", "_th"]).withColumnsRenamed({"_id": "v_id", "_th": "v_th"})
+    found = verdicts(measured, limits).drop("host").dropDuplicates(["_id", "_th"]).withColumnsRenamed({"_id": "v_id", "_th": "v_th"})
     key = row_key(id_col, text_col)
     own = docs.withColumns({"__k0": key[0].cast("long"), "__k1": key[1]})
     return own.join(found, F.col("__k0").eqNullSafe(F.col("v_id")) & (F.col("__k1") == F.col("v_th")), "left").drop("__k0", "__k1", "v_id", "v_th")
