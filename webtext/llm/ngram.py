@@ -250,7 +250,7 @@ def score(docs: DataFrame, learn: str, prior: tuple[float, ...] = PRIOR, batch_b
     tokens, distinct = answers.agg(F.coalesce(F.sum("tokens"), F.lit(0)), F.coalesce(F.sum("distinct"), F.lit(0))).first()
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = pa.Codec("zstd", compression_level=1)
+        codec = pa.Codec("zstd", compression_level=4)
         for number, rows in stretches(batches, batch_bytes):
             sink = pa.BufferOutputStream()
             with pa.ipc.new_stream(sink, rows.schema) as out:
