@@ -151,18 +151,39 @@ def test_frequent_lines_go_and_depleted_documents_are_rejected(spark):
     assert linefreq.line_hash(b" A  1 b") == linefreq.line_hash(b"a 2 B")
 
 
-def test_boilerplate_of_several_lines_goes_and_near_copies_stay(spark):
-    """Documents that share a header and a footer are distinct by their own text; lightly edited copies of one text are not."""
+def test_many_shared_lines_are_boilerplate(spark):
+    """Twenty navigation lines of a host go however many they are; copies and a host of its own for null do not count them up."""
     rng = random.Random(3)
     say = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(5)) for _ in range(n))
-    head, foot, notice = say(12), say(9), say(10)
-    rows = [(i, f"{head}\n{say(60)}\n{notice}\n{foot}", "h1") for i in range(120)]
-    copy = [say(30) for _ in range(4)]
-    rows += [(200 + i, "\n".join(f"{x} {say(1)}" if k == i % 4 else x for k, x in enumerate(copy)), "h1") for i in range(90)]
-    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
-    got = {r.doc_id: r for r in linefreq.judge(docs, linefreq.Limits(max_repeat_percent=100)).collect()}
-    assert all(got[i].kept and got[i].words_left == 60 for i in range(120))
-    assert all(got[200 + i].kept and got[200 + i].words_left == 121 for i in range(90))
+    shared, notice, copy = [say(4) for _ in range(20)], say(10), "\n".join(say(30) for _ in range(4))
+    rows = [(i, "\n".join([*shared, say(60), say(60)]), "h1") for i in range(120)]  # 80 of 200 words are shared
+    rows += [(200 + i, f"{notice}\n{say(40)}", None) for i in range(70)] + [(300 + i, f"{notice}\n{say(40)}", "h2") for i in range(40)]
+    rows += [(400 + i, copy, "h2") for i in range(90)] + [(500, "\n".join([*shared, say(25)]), "h1"), (501, "\n".join([*shared, say(25)]), "h2")]
+    got = {r.doc_id: r for r in linefreq.judge(spark.createDataFrame(rows, "doc_id long, text string, source string"), linefreq.Limits(max_repeat_percent=100)).collect()}
+    assert all(got[i].kept and got[i].words_left == 120 and len(got[i].removed) == 20 for i in range(120))
+    assert all(got[200 + i].words_left == 40 for i in range(70)) and all(got[300 + i].words_left == 50 for i in range(40))
+    assert all(got[400 + i].kept and got[400 + i].words_left == 120 for i in range(90))
+    assert not got[500].kept and got[500].words_left == 25 and not got[500].base_failed and got[501].kept
+
+
+def test_quality_query_by_brute_force(spark):
+    """Every verdict on a whole table, with limits low enough that lines are removed and documents rejected."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text", "source").union(spark.createDataFrame([(9000 + k, f"shared line of this host\none more {chr(97 + k)}", "src1") for k in range(9)] + [(9100, "shared line of this host\nyes", "src1")], "doc_id long, text string, source string"))
+    limits = linefreq.Limits(min_words=1, max_docs=3, max_share=0.02, min_left=0.4, max_repeat_percent=100)
+    normal = lambda line: " ".join(re.sub("[0-9]", "0", re.sub("[A-Z]", lambda m: m[0].lower(), line)).split(" "))
+    words = lambda x: re.findall(r"[^\x20\x09-\x0D]+", x or "")
+    rows = [(r.doc_id, r.source, [(" ".join(words(normal(x))), len(words(x))) for x in (r.text or "").split("\n") if words(x)], len(words(r.text))) for r in docs.collect()]
+    hosts, holders = Counter(r[1] for r in rows), {}
+    for _, host, lines, _ in rows:
+        for x in {x for x, _ in lines}:
+            holders.setdefault((host, x), set()).add(frozenset(y for y, _ in lines))
+    gone = {k for k, sets in holders.items() if len(sets) > 3 and len(sets) > 0.02 * hosts[k[0]]}
+    want = {}
+    for i, host, lines, n in rows:
+        lost = sum(w for x, w in lines if (host, x) in gone)
+        want[i] = (n - lost, n >= 1 and not (lost and n - lost < 0.4 * n))
+    got = {r._id: (r.words_left, r.kept) for r in linefreq.verdicts(linefreq.measured_once(docs), limits).collect()}
+    assert got == want and not want[9100][1] and sum(not k for _, k in want.values()) > 5
 
 
 def test_weighted_similarity_is_unbiased():
