@@ -16,38 +16,53 @@ from webtext.llm.q09 import tokenised
 from webtext.session import ship
 
 
+def packed(docs: DataFrame, *names: str) -> DataFrame:
+    """The named columns, and all columns of each row as `row`, so that no other name can clash with a stage's own."""
+    return docs.select(*names, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that pass the rules, without their boilerplate lines."""
+    """Documents that pass the rules, without their boilerplate lines; n_chars follows the text where lines went.
+
+    A null text has no words and is rejected; a null source is a host; repeated rows are one; no rows give no rows.
+    """
     ship(spark)
-    names = docs.columns
-    kept = judge(docs).where("kept").withColumn("text", clean_text("text", "removed"))
-    return kept.withColumn("n_chars", F.when(F.col("removed").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long"))).select(*names)
+    kept = judge(packed(docs, "doc_id", "source", "text")).where("kept").withColumn("cleaned", clean_text("text", "removed"))
+    row = F.col("row").withField("text", F.col("cleaned"))
+    if "n_chars" in docs.columns:
+        row = F.when(F.col("removed").isNull(), F.col("row")).otherwise(row.withField("n_chars", F.length("cleaned").cast(docs.schema["n_chars"].dataType)))
+    return kept.select(row.alias("row")).select("row.*")
 
 
 def near_duplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class: the one with the smallest id (of several such, the least by hash of its text)."""
+    """One document of each class: the one with the smallest id (of several such, the least by hash of its text).
+
+    Null ids come last; texts without words are one class; no rows give no rows.
+    """
     ship(spark)
-    names = docs.columns
-    found = near_duplicates(docs)
+    found = near_duplicates(docs.select("doc_id", "text"))
     order = F.struct(F.col("_id").isNull(), "_id", "_th")
     first = cut(found.groupBy(F.coalesce("class_id", "node").alias("c"), F.col("class_id").isNull().alias("nameless")).agg(F.min(order).alias("one"), F.count("*").alias("n")).select("one._id", "one._th"))
-    own = docs.withColumns({"__id": row_key()[0].cast("long"), "__th": row_key()[1]})
-    kept = own.join(first, F.col("__id").eqNullSafe(F.col("_id")) & (F.col("__th") == F.col("_th")), "left_semi")
+    own = packed(docs, row_key()[0].cast("long").alias("own_id"), row_key()[1].alias("own_th"))
+    kept = own.join(first, F.col("own_id").eqNullSafe(F.col("_id")) & (F.col("own_th") == F.col("_th")), "left_semi")
     repeated = not found.groupBy("_id", "_th").count().where("count > 1").isEmpty()
-    return (kept.dropDuplicates(["__id", "__th"]) if repeated else kept).select(*names)
+    return (kept.dropDuplicates(["own_id", "own_th"]) if repeated else kept).select("row.*")
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them: a document whose words are taken n times over is n rows."""
+    """Documents as often as the mix takes them: a document whose words are taken n times over is n rows.
+
+    Documents without words are not taken; a null source is the last source; rows that share id and source are taken alike.
+    """
     ship(spark)
-    names = docs.columns
     asked = mix(docs.select("doc_id", "source", "text"))[0].groupBy("doc_id", "source").agg(F.sum("size").alias("size"), F.sum("taken").alias("taken"))
     asked = asked.select(F.col("doc_id").alias("m_id"), F.col("source").alias("m_source"), repeats(F.col("size"), F.col("taken"), F.col("doc_id")).alias("times")).where("times > 0")
-    out = docs.join(asked, F.col("doc_id").eqNullSafe(F.col("m_id")) & F.col("source").eqNullSafe(F.col("m_source")))
-    return out.withColumn("__nth", F.explode(F.sequence(F.lit(1), F.col("times")))).select(*names)
+    out = packed(docs, "doc_id", "source").join(asked, F.col("doc_id").eqNullSafe(F.col("m_id")) & F.col("source").eqNullSafe(F.col("m_source")))
+    return out.select("row", F.explode(F.sequence(F.lit(1), F.col("times"))).alias("nth")).select("row.*")
 
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of each row; a null text is an empty one."""
     ship(spark)
     return tokenised(docs)
 
