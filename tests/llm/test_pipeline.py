@@ -35,9 +35,17 @@ def test_run(spark):
 
 
 def test_odd_and_empty_input(spark, odd_docs, no_docs):
-    docs = odd_docs.select("doc_id", "text", "source", F.length("text").cast("long").alias("n_chars"), F.lit("en").alias("lang"))
-    for start in (docs, no_docs):
-        x = start
-        for _, stage in corpus_pipeline.STAGES:
-            x = stage(spark, x, SF)
-        assert x.count() >= 0
+    """Every stage on rows of null, empty, long and repeated texts, with columns named as the stages name their own."""
+    clash = {c: F.lit(1) for c in ("removed", "kept", "m_id", "times", "nth", "own_id", "_id", "h", "size", "words_left")}
+    docs = odd_docs.select("doc_id", "text", "source", F.length("text").cast("long").alias("n_chars"), F.lit("en").alias("lang")).withColumns(clash)
+    kept = corpus_pipeline.quality(spark, docs, SF)
+    # 3 and 4 are too short, 5 repeats itself, as do the words of the null id
+    assert kept.columns == docs.columns and sorted(r.doc_id for r in kept.collect()) == [7, 8]
+    left = corpus_pipeline.near_duplicate(spark, docs, SF)
+    got = [r.doc_id for r in left.collect()]
+    assert left.columns == docs.columns and sorted(got, key=str) == [1, 3, 5, 6, 7, None]
+    mixed = corpus_pipeline.mixing(spark, docs, SF)
+    assert mixed.columns == docs.columns and mixed.where("doc_id in (1, 2, 9)").isEmpty()
+    assert corpus_pipeline.encoding(spark, docs, SF).count() == docs.count()
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, no_docs.withColumn("n_chars", F.lit(0).cast("long")), SF).count() == 0
