@@ -38,6 +38,7 @@ class Block:
     nodes: list[Node]
     tag: str
     node: Node = field(repr=False)  # the element itself, or the parent of a run
+    dropped: bool = False  # stands in a removed element: the model sees nothing of it
 
     @property
     def raw_html(self) -> str:
@@ -126,9 +127,16 @@ def _open(node: Node, keep: tuple[str, ...] | None) -> str:
     return f"<{node.tag}" + "".join(f' {k}="{node.attrs[k]}"' for k in keep if k in node.attrs) + ">"
 
 
+def is_dropped(block: Block, drop: frozenset[str]) -> bool:
+    """Whether all of the block lies in removed elements."""
+    return bool(drop) and (any(a.tag in drop for a in block.nodes[0].ancestors()) or all(n.tag in drop for n in block.nodes))
+
+
 def simplify(block: Block, cfg: Config = Config()) -> tuple[str, bool]:
-    """The block as the model sees it, and whether something was cut off."""
+    """The block as the model sees it, and whether something was cut off; '' within a removed element."""
     drop, cut = DROP[cfg.drop], False
+    if is_dropped(block, drop):
+        return "", False
     budget = cfg.para_chars or 1 << 60
     out: list[str] = []
 
@@ -198,6 +206,7 @@ def block_rows(page: str | None, cfg: Config = Config()) -> tuple[Node, list[Blo
     blocks = chunk(root, cfg)
     rows = []
     for b in blocks:
+        b.dropped = is_dropped(b, DROP[cfg.drop])
         simplified, cut = simplify(b, cfg)
         rows.append({
             "block_id": b.block_id, "tag": b.tag, "path": b.node.path(), "cls": b.node.attrs.get("class", ""), "eid": b.node.attrs.get("id", ""),

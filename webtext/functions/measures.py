@@ -31,18 +31,24 @@ def rouge_n(pred: list[str], gold: list[str], n: int = 5, strict: bool = False)
     return p, r, 2 * p * r / (p + r)
 
 
-def rouge_l(pred: list[str], gold: list[str], most: int = 5000) -> float | None:
-    """F1 of the longest common subsequence; None above the guard (its cost is the product of the lengths)."""
-    if len(pred) * len(gold) > most * most:
-        return None
-    row = [0] * (len(gold) + 1)
-    for x in pred:
-        before = 0
-        for j, y in enumerate(gold, 1):
-            before, row[j] = row[j], before + 1 if x == y else max(row[j], row[j - 1])
+def common_subsequence(a: list[str], b: list[str]) -> int:
+    """Length of the longest common subsequence: a row of the table is one long integer, whose zero bits are the steps reached."""
+    where: dict[str, int] = {}
+    for j, y in enumerate(b):
+        where[y] = where.get(y, 0) | 1 << j
+    full = (1 << len(b)) - 1
+    row = full
+    for x in a:
+        met = row & where.get(x, 0)
+        row = ((row + met) | (row - met)) & full
+    return len(b) - row.bit_count()
+
+
+def rouge_l(pred: list[str], gold: list[str]) -> float:
+    """F1 of the longest common subsequence; its cost is the product of the lengths, 64 places at a time."""
     if not pred and not gold:
         return 1.0
-    return 2 * row[-1] / (len(pred) + len(gold))
+    return 2 * common_subsequence(pred, gold) / (len(pred) + len(gold))
 
 
 def edit_distance(a: str, b: str) -> int:

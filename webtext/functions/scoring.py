@@ -47,12 +47,13 @@ LEXICON = (-1.6, 1.6, -5.0, 2.0, 0.8, 1.6, -0.3, 2.0, -3.0, -3.0, 0.5, -3.0, -0.
 
 
 def linear(weights: tuple[float, ...], blocks: list[Block]) -> list[tuple[float, float]]:
-    """(other, main) logits of each block; a lone short block between two others follows them."""
+    """(other, main) logits of each block; a lone short block between two others follows them, and what the model does not see is other."""
     z = [sum(w * f for w, f in zip(weights, row, strict=True)) for row in features(blocks)]
     out = list(z)
     for k in range(1, len(z) - 1):
         if abs(z[k]) < 1 and len(blocks[k].text) < 25 and blocks[k].tag[:1] != "h" and (z[k] > 0) != (z[k - 1] > 0) and (z[k] > 0) != (z[k + 1] > 0):
             out[k] = (z[k - 1] + z[k + 1]) / 2
+    out = [-20.0 if b.dropped else x for x, b in zip(out, blocks, strict=True)]
     return [(-x / 2, x / 2) for x in out]
 
 

@@ -1,7 +1,8 @@
-"""Corpus construction (L256-L297): exact dedup, language, quality rules, safety lists, fuzzy dedup. Native expressions throughout."""
+"""Corpus construction (L256-L297): exact dedup, language, quality rules, safety lists, fuzzy dedup. Native expressions but for `gram_shares`."""
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -9,6 +10,7 @@ from pyspark.sql import functions as F
 
 from webtext.functions.scoring import STOP
 from webtext.operators.components import components, cut
+from webtext.operators.passes import row_pass
 
 # -- exact dedup
 
@@ -126,22 +128,26 @@ def measures(docs: DataFrame) -> DataFrame:
 
 
 def gram_shares(docs: DataFrame) -> DataFrame:
-    """doc_id, top2..top4 (character share of the commonest n-gram) and dup5..dup10 (share of words in repeated n-grams)."""
-    base = docs.select("doc_id", F.transform(_words(), lambda w: F.lower(w)).alias("w"))
-    out = base.select("doc_id")
-    parts = None
-    grams_of = lambda n: F.when(F.size("w") >= n, F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.concat_ws(" ", *[F.get("w", i + k) for k in range(n)])))
-    for n in range(2, 11):
-        grams = grams_of(n)
-        g = base.select("doc_id", F.explode_outer(grams).alias("gram")).where("gram is not null").groupBy("doc_id", "gram").agg(F.count("*").alias("c"))
-        part = g.groupBy("doc_id").agg(F.max(F.when(F.col("c") > 1, F.col("c") * F.length("gram"))).alias("top"), F.sum(F.when(F.col("c") > 1, F.col("c") - 1)).alias("dup"), F.sum("c").alias("all")).withColumn("n", F.lit(n))
-        parts = part if parts is None else parts.unionByName(part)
-    chars = docs.select("doc_id", F.length("text").alias("chars"))
-    wide = parts.join(chars, "doc_id").groupBy("doc_id").agg(
-        *[F.coalesce(F.max(F.when(F.col("n") == n, F.round(F.col("top") / F.col("chars"), 6))), F.lit(0.0)).alias(f"top{n}") for n in (2, 3, 4)],
-        *[F.coalesce(F.max(F.when(F.col("n") == n, F.round(F.col("dup") / F.col("all"), 6))), F.lit(0.0)).alias(f"dup{n}") for n in range(5, 11)],
-    )
-    return out.join(wide, "doc_id", "left").na.fill(0.0)
+    """doc_id, top2..top4 (character share of the commonest n-gram) and dup5..dup10 (share of words in repeated n-grams).
+
+    N-grams are counted document by document in one Arrow pass: nothing is shuffled.
+    """
+
+    def run(doc_id, w, chars):
+        out = [doc_id]
+        for n in range(2, 11):
+            counts = Counter(zip(*(w[k:] for k in range(n)))) if w and len(w) >= n else Counter()
+            often = [(g, c) for g, c in counts.items() if c > 1]
+            if n < 5:
+                out.append(round(max((c * (sum(map(len, g)) + n - 1) for g, c in often), default=0) / max(1, chars or 0), 6))
+            else:
+                out.append(round(sum(c - 1 for _, c in often) / max(1, counts.total()), 6))
+        return tuple(out)
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    names = [f"top{n}" for n in (2, 3, 4)] + [f"dup{n}" for n in range(5, 11)]
+    words = docs.select("doc_id", F.transform(_words(), lambda w: F.lower(w)).alias("w"), F.length("text").alias("chars"))
+    return row_pass(words, run, f"doc_id {kind}, " + ", ".join(f"{n} double" for n in names))
 
 
 def reasons(p: Policy = Policy()) -> Column:
@@ -299,10 +305,17 @@ def attrition(docs: DataFrame, p: Policy = Policy(), k: int = 64, bands: int = 1
 # -- contamination and sampling
 
 
+#: N-grams of test items that are broadcast at most (16 bytes each); beyond that they meet the documents' by key.
+BROADCAST_GRAMS = 2_000_000
+
+
 def overlap(docs: DataFrame, items: DataFrame, n: int = 8) -> DataFrame:
     """doc_id, item_id, n_grams of documents that share n-grams with test items."""
     grams = lambda df, key: hashed_shingles(df, key, n).select(key, F.explode_outer("s").alias("g")).where("g is not null")
-    return grams(docs, "doc_id").join(grams(items, "item_id"), "g").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_grams"))
+    asked = cut(grams(items, "item_id"))
+    if asked.count() <= BROADCAST_GRAMS:
+        asked = F.broadcast(asked)
+    return grams(docs, "doc_id").join(asked, "g").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_grams"))
 
 
 def token_budget(docs: DataFrame, budget: int, bits: int = 8) -> DataFrame:

@@ -12,14 +12,21 @@ from webtext.functions.measures import tokens as _tokens
 from webtext.operators.passes import row_pass
 
 
-def tokens(text: Column | str) -> Column:
-    """Lower-cased white-space tokens (the mixed tokenizer of functions.measures needs Python)."""
+_CJK = "\u3400-\u9fff\uf900-\ufaff"
+#: One CJK character, a run of other letters and digits, or one mark; the same in Java's and RE2's spelling.
+MIXED = rf"[{_CJK}]|[^\s\p{{P}}\p{{S}}\p{{Z}}\p{{C}}{_CJK}]+|[\p{{P}}\p{{S}}]"
+
+
+def tokens(text: Column | str, mode: str = "ws") -> Column:
+    """Lower-cased tokens. ws: runs of anything but white space; mixed: for texts that write no blanks between words."""
+    if mode == "mixed":
+        return F.regexp_extract_all(F.lower(text), F.lit(MIXED), F.lit(0))
     return F.filter(F.split(F.lower(text), r"\s+"), lambda x: x != "")
 
 
-def rouge(pairs: DataFrame, key: str = "page_id", n: int = 5) -> DataFrame:
+def rouge(pairs: DataFrame, key: str = "page_id", n: int = 5, mode: str = "mixed") -> DataFrame:
     """key, p, r, f1 of pairs (key, pred, gold): clipped n-gram counts summed by key; nothing quadratic, no text in a shuffle twice."""
-    base = pairs.select(key, tokens("pred").alias("a"), tokens("gold").alias("b"))
+    base = pairs.select(key, tokens("pred", mode).alias("a"), tokens("gold", mode).alias("b"))
     # shorter texts are compared by their own length
     base = base.withColumn("n", F.greatest(F.lit(1), F.least(F.lit(n), F.when(F.size("a") > 0, F.size("a")).otherwise(n), F.when(F.size("b") > 0, F.size("b")).otherwise(n))))
 
@@ -63,7 +70,7 @@ def ratio_bin(ratio: Column, bins: int = 20) -> Column:
 
 
 def stratified(df: DataFrame, by: str, key: str, k: int, seed: int = 0) -> DataFrame:
-    """k rows of each stratum in the order of a hash of seed and key. A histogram of hash prefixes bounds what is ordered."""
+    """k rows of each stratum in the order of a hash of seed and key; each stratum is ranked by one window, of which Spark keeps k rows a task before the shuffle."""
     h = F.md5(F.concat(F.lit(f"{seed}:"), F.col(key).cast("string")).cast("binary"))
     x = df.withColumn("h", h)
     rank = F.row_number().over(Window.partitionBy(by).orderBy("h"))

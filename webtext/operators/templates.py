@@ -12,7 +12,7 @@ from webtext.functions.decoding import block_logits, decode, labels_of
 from webtext.functions.dom import parse, shape, step
 from webtext.functions.rules import apply_rules, synthesise
 from webtext.functions.scoring import lexicon
-from webtext.operators.components import components
+from webtext.operators.components import components, cut
 from webtext.operators.extract import Scorer
 from webtext.operators.passes import row_pass
 
@@ -40,7 +40,7 @@ def canonical(url: Column | str) -> Column:
 def index(pages: DataFrame, level: str = "subdomain", k: int = 32) -> DataFrame:
     """The thin table all clustering works on: page_id, host, sig (hash of the path set), minhash (k values), shape features."""
 
-    def run(page_id, page):
+    def run(page_id, url, page):
         root = parse(page)
         items, stack = set(), [(c, "") for c in root.children]
         while stack:
@@ -53,10 +53,10 @@ def index(pages: DataFrame, level: str = "subdomain", k: int = 32) -> DataFrame:
         s = shape(root)
         signed = lambda h: h - (1 << 64) if h >= 1 << 63 else h
         mins = [min((signed(xxhash.xxh3_64_intdigest(x, seed)) for x in raw), default=0) for seed in range(k)]
-        return page_id, xxhash.xxh3_128_hexdigest(b"\n".join(raw)), mins, s["n_tags"], s["n_attr_names"], s["n_distinct_tags"], s["depth"], s["width"]
+        return page_id, url, xxhash.xxh3_128_hexdigest(b"\n".join(raw)), mins, s["n_tags"], s["n_attr_names"], s["n_distinct_tags"], s["depth"], s["width"]
 
-    thin = row_pass(pages.select("page_id", "html"), run, "page_id long, sig string, minhash array<long>, n_tags int, n_attr_names int, n_distinct_tags int, depth int, width int")
-    return thin.join(pages.select("page_id", host("url", level).alias("host")), "page_id")
+    thin = row_pass(pages.select("page_id", "url", "html"), run, "page_id long, url string, sig string, minhash array<long>, n_tags int, n_attr_names int, n_distinct_tags int, depth int, width int")
+    return thin.withColumn("host", host("url", level)).drop("url")
 
 
 def clusters(idx: DataFrame, mode: str = "exact", bands: int = 8, least: float = 0.8) -> DataFrame:
@@ -101,11 +101,15 @@ def cluster_rules(pages: DataFrame, reps: DataFrame, scorer: Scorer = lexicon, c
     return row_pass(wanted, run, "cluster_id long, selector string, xpath string, css string, action string, specificity int, support int, purity double", many=True)
 
 
-def propagate(pages: DataFrame, clustered: DataFrame, rules: DataFrame, cfg: Config = Config(), broadcast: bool | None = None) -> DataFrame:
-    """page_id, main_html, main_text, n_blocks, n_uncovered of every page, by DOM traversal only.
+def propagate(pages: DataFrame, clustered: DataFrame, rules: DataFrame, cfg: Config = Config(), broadcast: bool | None = None, second: Scorer | None = lexicon, most_uncovered: float = 0.3) -> DataFrame:
+    """page_id, main_html, main_text, n_blocks, n_uncovered, relabelled of every page, by DOM traversal.
+
+    A page whose rules leave more than most_uncovered of its blocks undecided is labelled itself in a second round, in the same pass
+    and with the scorer `second` (none: it keeps what the rules say). Rules are written out first, so that the scorer runs once for them.
 
     A page gets its cluster's rules: broadcast while their bytes are within bounds, else by a join on the cluster.
     """
+    rules = cut(rules)
     own = rules.groupBy("cluster_id").agg(F.collect_list(F.struct("selector", "action")).alias("rules"))
     if broadcast is None:
         size = rules.agg(F.coalesce(F.sum(F.length("selector") + 40), F.lit(0))).first()[0]
@@ -114,14 +118,18 @@ def propagate(pages: DataFrame, clustered: DataFrame, rules: DataFrame, cfg: Con
 
     def run(page_id, page, rules):
         root, blocks, labels, uncovered = apply_rules(page, [(r["selector"], r["action"]) for r in rules or ()], cfg)
+        again = second is not None and uncovered > most_uncovered * len(blocks)
+        if again:
+            root, blocks, _ = block_rows(page, cfg)
+            labels, _ = labels_of(decode(len(blocks), block_logits(second(blocks)), "fast"), len(blocks))
         main = assemble(root, [b for b, y in zip(blocks, labels, strict=True) if y])
-        return page_id, main, plain_text(main), len(blocks), uncovered
+        return page_id, main, plain_text(main), len(blocks), uncovered, again
 
-    return row_pass(x.select("page_id", "html", "rules"), run, "page_id long, main_html string, main_text string, n_blocks int, n_uncovered int")
+    return row_pass(x.select("page_id", "html", "rules"), run, "page_id long, main_html string, main_text string, n_blocks int, n_uncovered int, relabelled boolean")
 
 
 def fallback(propagated: DataFrame, most_uncovered: float = 0.3) -> DataFrame:
-    """page_id of pages whose rules left too many blocks undecided; they are labelled themselves in a second round."""
+    """page_id of pages whose rules left too many blocks undecided; `propagate` labels them themselves in its second round."""
     return propagated.where((F.col("n_blocks") > 0) & (F.col("n_uncovered") > most_uncovered * F.col("n_blocks"))).select("page_id")
 
 

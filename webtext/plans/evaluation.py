@@ -36,7 +36,7 @@ def _scored(pages, gold, methods=METHODS, n=5):
 
 _RULE_GRAMS = rf"""WITH {GOLD}, l AS (SELECT page_id, unnest(string_split(main_text, chr(10))) AS line, generate_subscripts(string_split(main_text, chr(10)), 1) AS i FROM gold),
 pr AS (SELECT page_id, string_agg(line, ' ' ORDER BY i) AS pred FROM l WHERE i = 1 OR length(line) >= 25 GROUP BY 1),
-wt AS (SELECT page_id, list_filter(string_split_regex(lower(pred), '\s+'), lambda x: x <> '') AS a, list_filter(string_split_regex(lower(main_text), '\s+'), lambda x: x <> '') AS b FROM pr JOIN gold USING (page_id)),
+wt AS (SELECT page_id, regexp_extract_all(lower(pred), '{M.MIXED}') AS a, regexp_extract_all(lower(main_text), '{M.MIXED}') AS b FROM pr JOIN gold USING (page_id)),
 nn AS (SELECT page_id, a, b, greatest(1, least(5, len(a), len(b))) AS n FROM wt),
 gr AS (SELECT page_id, unnest(list_transform(range(1, len(a) - n + 2), lambda i: array_to_string(a[i:i + n - 1], ' '))) AS g, 1 AS x FROM nn
   UNION ALL SELECT page_id, unnest(list_transform(range(1, len(b) - n + 2), lambda i: array_to_string(b[i:i + n - 1], ' '))), 0 FROM nn),
@@ -64,8 +64,8 @@ def _(t):
 
 @query("rouge_l_small")
 def _(t):
-    """The rejected measure: its cost is the product of the lengths."""
-    pairs = METHODS["rulebook"](t("pages").where("page_id < 20")).join(FX.gold(t), "page_id").withColumnRenamed("gold_text", "gold")
+    """The rejected measure: its cost is the product of the lengths (G12); here 64 places of one text at a time."""
+    pairs = METHODS["rulebook"](t("pages")).join(FX.gold(t), "page_id").withColumnRenamed("gold_text", "gold")
     return M.rouge_l(pairs).select("page_id", F.round("f1", 6).alias("f1"))
 
 
@@ -202,7 +202,7 @@ def _(t):
     return s.groupBy("kind", "method").agg(F.count("*").alias("n"), F.round(F.avg("score"), 4).alias("score"))
 
 
-@query("element_distribution", "SELECT 'code' AS kind, (SELECT count(*) FROM events WHERE event_id % 50 < 3)::BIGINT AS n UNION ALL SELECT 'formula', count(*)::BIGINT FROM lineitem WHERE l_orderkey % 50 = 2 UNION ALL SELECT 'table', (SELECT count(DISTINCT n_regionkey) FROM nation)::BIGINT")
+@query("element_distribution", "SELECT 'code' AS kind, (SELECT count(*) FROM events)::BIGINT AS n UNION ALL SELECT 'formula', count(*)::BIGINT FROM lineitem UNION ALL SELECT 'table', (SELECT count(DISTINCT n_regionkey) FROM nation)::BIGINT")
 def _(t):
     one = lambda df, kind: df.agg(F.lit(kind).alias("kind"), F.count("*").alias("n"))
     return one(FX.code(t), "code").unionByName(one(FX.formula(t), "formula")).unionByName(one(FX.table_simple(t), "table"))
@@ -260,13 +260,13 @@ def _(t):
 
 @query("win_rate_by_bin")
 def _(t):
-    return M.win_rates(M.stratified(_density_pairs(t), "bin", "page_id", 50))
+    return M.win_rates(M.stratified(_density_pairs(t), "bin", "page_id", PER_BIN))
 
 
 @query("weighted_win_rate")
 def _(t):
     p = _density_pairs(t)
-    return M.weighted_win_rate(p, M.win_rates(M.stratified(p, "bin", "page_id", 50))).withColumn("standin", F.lit(True))
+    return M.weighted_win_rate(p, M.win_rates(M.stratified(p, "bin", "page_id", PER_BIN))).withColumn("standin", F.lit(True))
 
 
 @query("win_crossover")
@@ -284,14 +284,55 @@ def _(t):
     return x.withColumn("r", F.row_number().over(Window.partitionBy("bin").orderBy(F.desc("gap"), "page_id"))).where("r <= 3").select("bin", "page_id", "gap")
 
 
-@query("hybrid_sample", """WITH h AS (SELECT lower(regexp_extract(url, '^[A-Za-z]+://([^/?#:]+)', 1)) AS host, page_id FROM pages), n AS (SELECT host, count(*) AS n, row_number() OVER (ORDER BY count(*) DESC, host) AS r FROM h GROUP BY 1)
-  SELECT page_id, CASE WHEN r <= 3 THEN 'popular' ELSE 'random' END AS part FROM h JOIN n USING (host) WHERE r <= 3 OR substr(md5(page_id::VARCHAR), 1, 1) < '8'""")
+_U = "('0x' || substr(md5('{salt}' || page_id), 1, 7))::BIGINT / 268435456.0"
+
+
+@query("hybrid_sample", f"""WITH h AS (SELECT lower(regexp_extract(url, '^[A-Za-z]+://([^/?#:]+)', 1)) AS host, page_id, {_U.format(salt="r:")} AS u, {_U.format(salt="p:")} AS v FROM pages),
+  n AS (SELECT host FROM h GROUP BY 1 ORDER BY count(*) DESC, host LIMIT 3), x AS (SELECT h.*, host IN (SELECT host FROM n) AS top FROM h),
+  z AS (SELECT count(*) AS n, count(*) FILTER (top AND u >= 0.45) AS rest FROM x)
+  SELECT page_id, CASE WHEN u < 0.45 THEN 'random' ELSE 'popular' END AS part FROM x, z WHERE u < 0.45 OR (top AND v < 0.05 * n / rest)""")
 def _(t):
-    """Random pages by hash, and pages of the most popular hosts."""
-    h = t("pages").select("page_id", F.lower(F.regexp_extract("url", r"^[A-Za-z]+://([^/?#:]+)", 1)).alias("host"))
+    """Half of the pages: nine tenths of the sample at random, one tenth from the most popular hosts (W2, L140)."""
+    u = lambda salt: F.conv(F.substring(F.md5(F.concat(F.lit(salt), F.col("page_id").cast("string")).cast("binary")), 1, 7), 16, 10).cast("long") / 268435456.0
+    h = t("pages").select("page_id", F.lower(F.regexp_extract("url", r"^[A-Za-z]+://([^/?#:]+)", 1)).alias("host"), u("r:").alias("u"), u("p:").alias("v"))
     top = h.groupBy("host").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "host").limit(3).select("host", F.lit(True).alias("top"))
-    x = h.join(F.broadcast(top), "host", "left")
-    return x.where(F.col("top") | (F.substring(F.md5(F.col("page_id").cast("string").cast("binary")), 1, 1) < "8")).select("page_id", F.when(F.col("top"), "popular").otherwise("random").alias("part"))
+    x = h.join(F.broadcast(top), "host", "left").withColumn("top", F.coalesce("top", F.lit(False)))
+    sizes = x.agg(F.count("*").alias("n"), F.count(F.when(F.col("top") & (F.col("u") >= 0.45), 1)).alias("rest"))
+    x = x.crossJoin(F.broadcast(sizes))  # one row
+    popular = F.col("top") & (F.col("v") < 0.05 * F.col("n") / F.col("rest"))
+    return x.where((F.col("u") < 0.45) | popular).select("page_id", F.when(F.col("u") < 0.45, "random").otherwise("popular").alias("part"))
+
+
+# -- labelled against density, as published (L261): the other partner of the ratio
+def _density_lengths(t):
+    a, b = METHODS["labelled"](t("pages")).withColumnRenamed("pred", "text_a"), METHODS["density"](t("pages")).withColumnRenamed("pred", "text_b")
+    x = a.join(b, "page_id").select("page_id", F.length("text_a").cast("long").alias("len_a"), F.length("text_b").cast("long").alias("len_b"))
+    x = x.withColumn("ratio", F.round(M.length_ratio(F.col("len_a"), F.col("len_b")), 6))
+    return x.withColumn("bin", M.ratio_bin(F.col("ratio")))
+
+
+@query("density_length_ratio")
+def _(t):
+    return _density_lengths(t).select("page_id", "len_a", "len_b", "ratio")
+
+
+@query("density_length_summary")
+def _(t):
+    return _density_lengths(t).agg(F.round(F.avg(F.try_divide("len_a", "len_b")), 6).alias("mean_ratio"), F.round(F.sum("len_a") / F.sum("len_b"), 6).alias("ratio_of_sums"), F.round(F.avg("ratio"), 6).alias("mean_signed"))
+
+
+@query("density_ratio_histogram")
+def _(t):
+    return _density_lengths(t).groupBy("bin").agg(F.count("*").alias("n"))
+
+
+#: Pairs that are judged in each of the 20 bins (L274).
+PER_BIN = 500
+
+
+@query("density_stratified_pairs")
+def _(t):
+    return M.stratified(_density_lengths(t).select("bin", "page_id"), "bin", "page_id", PER_BIN)
 
 
 # -- labeller

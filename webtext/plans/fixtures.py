@@ -28,14 +28,14 @@ def code(t) -> DataFrame:
     gold_code = F.when(k == 0, js).when(k == 1, sql).otherwise(py)
     esc = F.replace(F.replace(gold_code, F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;"))
     parts = F.concat(F.lit("<p>Before.</p><pre><code>"), F.substring_index(esc, "\n", 1), F.lit("</code></pre>\n<pre><code>"), F.substr(esc, F.length(F.substring_index(esc, "\n", 1)) + 2), F.lit("</code></pre><p>After.</p>"))
-    return t("events").where("event_id % 50 < 3").select(F.col("event_id").alias("fx_id"), _page(parts).alias("html"), gold_code.alias("gold_code"), F.when(k == 0, "json").when(k == 1, "sql").otherwise("python").alias("gold_lang"))
+    return t("events").select(F.col("event_id").alias("fx_id"), _page(parts).alias("html"), gold_code.alias("gold_code"), F.when(k == 0, "json").when(k == 1, "sql").otherwise("python").alias("gold_lang"))
 
 
 CODE_SQL = """SELECT {out} FROM (SELECT event_id AS fx_id, CASE event_id % 3
   WHEN 0 THEN '{{' || chr(10) || '  "event": ' || event_id || ',' || chr(10) || '  "props": ' || props || chr(10) || '}}'
   WHEN 1 THEN 'SELECT value' || chr(10) || 'FROM events' || chr(10) || 'WHERE event_id = ' || event_id
   ELSE 'def f(x):' || chr(10) || '    print(x + ' || event_id || ')' END AS code,
-  CASE event_id % 3 WHEN 0 THEN 'json' WHEN 1 THEN 'sql' ELSE 'python' END AS lang FROM events WHERE event_id % 50 < 3)"""
+  CASE event_id % 3 WHEN 0 THEN 'json' WHEN 1 THEN 'sql' ELSE 'python' END AS lang FROM events)"""
 
 
 def table_simple(t) -> DataFrame:
@@ -50,7 +50,7 @@ TABLE_SQL = """SELECT r_regionkey::BIGINT AS fx_id, '| key | nation | region |'
 
 
 def table_complex(t) -> DataFrame:
-    li = t("lineitem").where("l_orderkey % 100 = 1").groupBy("l_orderkey").agg(F.array_sort(F.collect_list(F.struct("l_linenumber", "l_partkey"))).alias("x")).where(F.size("x") > 1)
+    li = t("lineitem").groupBy("l_orderkey").agg(F.array_sort(F.collect_list(F.struct("l_linenumber", "l_partkey"))).alias("x")).where(F.size("x") > 1)
     row = F.transform("x", lambda r, k: F.concat(F.lit("<tr>"), F.when(k == 0, F.concat(F.lit('<td rowspan="'), F.size("x").cast("string"), F.lit('" style="color:red">'), F.col("l_orderkey").cast("string"), F.lit("</td>"))).otherwise(""), F.lit("<td>"), r["l_linenumber"].cast("string"), F.lit("</td><td>"), r["l_partkey"].cast("string"), F.lit("</td></tr>")))
     return li.select(F.col("l_orderkey").alias("fx_id"), _page(F.concat(F.lit("<table><tr><th>order</th><th>line</th><th>part</th></tr>"), F.array_join(row, ""), F.lit("</table>"))).alias("html"))
 
@@ -62,13 +62,13 @@ def table_nested(t) -> DataFrame:
 
 
 KIND_SQL = """SELECT 'simple' AS kind, (SELECT count(DISTINCT n_regionkey) FROM nation)::BIGINT AS n
-  UNION ALL SELECT 'complex', count(*)::BIGINT FROM (SELECT 1 FROM lineitem WHERE l_orderkey % 100 = 1 GROUP BY l_orderkey HAVING count(*) > 1)
+  UNION ALL SELECT 'complex', count(*)::BIGINT FROM (SELECT 1 FROM lineitem GROUP BY l_orderkey HAVING count(*) > 1)
   UNION ALL SELECT 'nested', (SELECT count(*) FROM nation)::BIGINT + (SELECT count(DISTINCT n_regionkey) FROM nation)::BIGINT"""
 
 
 def table_layout(t) -> DataFrame:
     body = F.concat(F.lit("<p>"), F.array_join(F.split(F.replace(F.replace("text", F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;")), "\n"), "</p><p>"), F.lit("</p>"))
-    return t("documents").where("doc_id < 50").select(F.col("doc_id").alias("fx_id"), _page(F.concat(F.lit('<table role="presentation"><tr><td><div class="menu"><a href="/a">a</a></div></td><td><div>'), body, F.lit("</div></td></tr></table>"))).alias("html"), F.col("text").alias("gold_text"))
+    return t("documents").select(F.col("doc_id").alias("fx_id"), _page(F.concat(F.lit('<table role="presentation"><tr><td><div class="menu"><a href="/a">a</a></div></td><td><div>'), body, F.lit("</div></td></tr></table>"))).alias("html"), F.col("text").alias("gold_text"))
 
 
 def lists(t) -> DataFrame:
@@ -86,12 +86,12 @@ def media(t) -> DataFrame:
     first = F.replace(F.replace(F.substring_index("text", "\n", 1), F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;"))
     i = F.col("doc_id").cast("string")
     body = F.concat(F.lit("<p>"), first, F.lit('</p><img src="/i'), i, F.lit('.png" alt="picture"><video src="/v'), i, F.lit('.mp4"></video><div><audio><source src="/a'), i, F.lit('.mp3"></audio></div>'))
-    return t("documents").where("doc_id < 200").select(F.col("doc_id").alias("fx_id"), _page(body).alias("html"))
+    return t("documents").select(F.col("doc_id").alias("fx_id"), _page(body).alias("html"))
 
 
 def formula(t) -> DataFrame:
     """fx_id, html, gold_tex, display, renderer: a price expression in four spellings."""
-    x = t("lineitem").where("l_orderkey % 50 = 2").select((F.col("l_orderkey") * 10 + F.col("l_linenumber")).alias("fx_id"), F.concat(F.lit("p_{"), F.col("l_linenumber").cast("string"), F.lit("} = "), F.col("l_quantity").cast("int").cast("string"), F.lit(" \\cdot x")).alias("gold_tex"))
+    x = t("lineitem").select((F.col("l_orderkey") * 10 + F.col("l_linenumber")).alias("fx_id"), F.concat(F.lit("p_{"), F.col("l_linenumber").cast("string"), F.lit("} = "), F.col("l_quantity").cast("int").cast("string"), F.lit(" \\cdot x")).alias("gold_tex"))
     k, tex = F.col("fx_id") % 4, F.col("gold_tex")
     body = (
         F.when(k == 0, F.concat(F.lit("<p>Let \\("), tex, F.lit("\\) hold for $5 and $6.</p>")))
@@ -102,10 +102,10 @@ def formula(t) -> DataFrame:
     return x.select("fx_id", _page(body).alias("html"), "gold_tex", k.isin(1, 3).alias("display"), F.element_at(F.array(*map(F.lit, ("delimiters", "script", "span", "dollars"))), (k + 1).cast("int")).alias("renderer"))
 
 
-FORMULA_SQL = "SELECT l_orderkey * 10 + l_linenumber AS fx_id, 'p_{' || l_linenumber || '} = ' || l_quantity::INT || ' \\cdot x' AS tex, (l_orderkey * 10 + l_linenumber) % 4 IN (1, 3) AS display FROM lineitem WHERE l_orderkey % 50 = 2"
+FORMULA_SQL = "SELECT l_orderkey * 10 + l_linenumber AS fx_id, 'p_{' || l_linenumber || '} = ' || l_quantity::INT || ' \\cdot x' AS tex, (l_orderkey * 10 + l_linenumber) % 4 IN (1, 3) AS display FROM lineitem"
 
-RICH_SQL = """SELECT 'code' AS fixture, count(*)::BIGINT AS n_code, 0::BIGINT AS n_formula, 0::BIGINT AS n_table FROM events WHERE event_id % 50 < 3
-  UNION ALL SELECT 'formula', 0::BIGINT, count(*)::BIGINT, 0::BIGINT FROM lineitem WHERE l_orderkey % 50 = 2
+RICH_SQL = """SELECT 'code' AS fixture, count(*)::BIGINT AS n_code, 0::BIGINT AS n_formula, 0::BIGINT AS n_table FROM events
+  UNION ALL SELECT 'formula', 0::BIGINT, count(*)::BIGINT, 0::BIGINT FROM lineitem
   UNION ALL SELECT 'table', 0::BIGINT, 0::BIGINT, count(DISTINCT n_regionkey)::BIGINT FROM nation"""
 
 

@@ -326,6 +326,30 @@ def _(t):
     return e.agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("a"), F.sum(F.from_json("props", "k long")["k"]).alias("b"), F.sum(F.variant_get(F.parse_json("props"), "$.k", "long")).alias("v"))
 
 
+@query("fn_variant", "SELECT sum((props->>'$.k')::BIGINT)::BIGINT AS k, count(*)::BIGINT AS n, 0::BIGINT AS n_missing FROM events")
+def _(t):
+    v = F.parse_json("props")
+    e = t("events").select(v.alias("v"))
+    return e.agg(F.sum(F.variant_get("v", "$.k", "long")).alias("k"), F.count("v").alias("n"), F.count(F.try_variant_get("v", "$.no_such_key", "long")).alias("n_missing"))
+
+
+@query("xpath_wellformed", "SELECT r_name, count(*)::BIGINT AS n_rows, min(n_name) AS first_name, sum(n_nationkey)::BIGINT AS keys FROM nation JOIN region ON n_regionkey = r_regionkey GROUP BY 1")
+def _(t):
+    """The built-in XPath functions on tables that we render ourselves, which are well-formed XML."""
+    row = F.concat(F.lit("<tr><td>"), F.col("n_nationkey").cast("string"), F.lit("</td><td>"), F.col("n_name"), F.lit("</td></tr>"))
+    x = t("nation").join(t("region"), F.col("n_regionkey") == F.col("r_regionkey")).groupBy("r_name").agg(F.array_sort(F.collect_list(F.struct("n_name", row.alias("tr")))).alias("x"))
+    x = x.select("r_name", F.concat(F.lit("<table>"), F.array_join(F.transform("x", lambda r: r["tr"]), ""), F.lit("</table>")).alias("xml"))
+    return x.select("r_name", F.expr("xpath_long(xml, 'count(//tr)')").alias("n_rows"), F.expr("xpath_string(xml, '//tr[1]/td[2]')").alias("first_name"), F.expr("xpath_long(xml, 'sum(//tr/td[1])')").alias("keys"))
+
+
+@query("win_running_tokens", r"""SELECT doc_id, upto FROM (SELECT doc_id, sum(len(list_filter(string_split_regex(text, '\s+'), lambda x: x <> ''))) OVER (PARTITION BY lang ORDER BY md5(doc_id::VARCHAR) ROWS UNBOUNDED PRECEDING)::BIGINT AS upto FROM documents) WHERE upto <= 20000""")
+def _(t):
+    """Running tokens of each language in md5 order until a budget."""
+    n = F.size(F.filter(F.split("text", r"\s+"), lambda x: x != "")).cast("long")
+    w = W.partitionBy("lang").orderBy(F.md5(F.col("doc_id").cast("string").cast("binary"))).rowsBetween(W.unboundedPreceding, 0)
+    return t("documents").select("doc_id", F.sum(n).over(w).alias("upto")).where("upto <= 20000")
+
+
 @query("subquery_scalar", "SELECT doc_id FROM documents d WHERE n_chars > (SELECT avg(n_chars) FROM documents e WHERE e.lang = d.lang)")
 def _(t):
     mean = t("documents").groupBy("lang").agg(F.avg("n_chars").alias("m"))
