@@ -83,12 +83,6 @@ def test_ratio_against_the_density_corpus_by_hand(spark):
     assert {r.bin: r.n for r in CATALOGUE["density_ratio_histogram"].run(spark, SF).collect()} == dict(bins)
 
 
-def test_mllib_pairs_are_true_pairs(spark):
-    rows = {r.doc_id: {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for r in spark.read.parquet(f"{SF}/documents.parquet").collect() if (w := r.text.lower().split())}
-    got = CATALOGUE["mllib_minhash"].run(spark, SF).collect()
-    assert got and all(len(rows[r.a] & rows[r.b]) / len(rows[r.a] | rows[r.b]) >= 0.8 - 1e-9 for r in got)
-
-
 def test_characters_of_blocks_are_weighed(spark):
     r = CATALOGUE["char_confusion"].run(spark, SF).first()
     assert r.tp > 0 and r.tn > 0 and r.f1 == pytest.approx(2 * r.p * r.r / (r.p + r.r), abs=1e-5) and C.gram_shares(spark.createDataFrame([], "doc_id long, text string")).count() == 0

@@ -222,19 +222,6 @@ def _(t):
     return out
 
 
-@query("mllib_minhash")
-def _(t):
-    """Spark ML's own MinHash as a cross-check: its hashes banded (8 of 5), a star per bucket, verified; its self-join would emit every pair of a group."""
-    from pyspark.ml.feature import HashingTF, MinHashLSH
-    from pyspark.ml.functions import vector_to_array
-
-    sets = C.hashed_shingles(t("documents")).withColumn("s", F.col("s").cast("array<string>"))
-    x = HashingTF(inputCol="s", outputCol="v", numFeatures=1 << 18, binary=True).transform(sets.where(F.size("s") > 0))
-    m = MinHashLSH(inputCol="v", outputCol="h", numHashTables=40, seed=1).fit(x)
-    sig = m.transform(x.select("doc_id", "v")).select("doc_id", F.array(*[vector_to_array(F.col("h")[i])[0].cast("long") for i in range(40)]).alias("sig"))
-    return C.jaccard(C.candidates(C.cut(sig), 8, 5), sets, 0.8).select("a", "b")
-
-
 _TOKENS = f"len({_WS.format(c='text')})"
 ATTRITION = f"""{_VERIFIED}, {MEASURES}, v AS ({_vote_sql()}),
 f AS (SELECT d.doc_id, {_TOKENS} AS tokens, d.doc_id IN (SELECT min(doc_id) FROM documents GROUP BY text) AS e, lang_pred <> 'und' AS l, len({_REASONS}) = 0 AS q, NOT {_TOXIC} AS s
