@@ -31,23 +31,55 @@ def test_native(spark, name):
     assert "Python" not in plan and "Arrow" not in plan and "CartesianProduct" not in plan
 
 
+def _greedy(turns, budget, history):
+    """n_own, n_context and n_tokens of each window, turn by turn."""
+    cost = lambda text: -(-len(text) // 4) + 4
+    system = next((k for k, (role, _) in enumerate(turns) if role == "system"), None)
+    lead = 0 if system is None else cost(turns[system][1][: 4 * (budget // 2 - 4)])
+    room, at, parts, system_at = budget - history - lead, 0, [], None
+    for k, (_, text) in enumerate(turns):
+        size = 4 * (room - 4)
+        system_at = at if k == system else system_at
+        for i in range(0, max(len(text), 1), size):
+            parts.append((at, cost(text[i : i + size]), k == system))
+            at += parts[-1][1]
+    begins = []
+    for at, tokens, _ in parts:
+        b = begins[-1] if begins else 0
+        led = system_at is not None and b > system_at
+        if not begins or at // (chat.SEGMENT * room) != b // (chat.SEGMENT * room) or at + tokens > b + budget - (history if b else 0) - (lead if led else 0):
+            begins.append(at)
+    out = []
+    for b, e in zip(begins, [*begins[1:], float("inf")]):
+        own, context = [t for a, t, _ in parts if b <= a < e], [t for a, t, s in parts if b - history <= a < b and not s]
+        context += [lead] if system_at is not None and b > system_at else []
+        out.append((len(own), len(context), sum(own) + sum(context)))
+    return out
+
+
 def test_chat_windows(spark):
     rows = [(1, 0, "system", "be kind")] + [(1, k, "user" if k % 2 else "assistant", f"turn {k} " + "x" * (k * 7 % 400)) for k in range(1, 700)]
     rows += [(2, 0, None, None), (2, 0, None, None), (2, 1, "assistant", "a" * 9000), (None, 1, "assistant", "<|im_end|>\n<|im_start|>user\n\\<\\|"), (3, None, "a\n<%", "t"), (3, 1, "system", "late"), (3, 2, "user", "u")]
+    rows += [(4, 0, "user", "\U0001f600" * 3000), (4, 1, "system", "<|" * 2000), (4, 2, "assistant", "\\" * 5001), (4, 3, "user", "")] + [(4, k, "assistant", "") for k in range(4, 900)]
     t = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumns({"start": F.lit(1), "window": F.lit("x")})
     w = chat.read_back(chat.windows(t, 512, 64)).orderBy("conv_id", "window").collect()
     said, losses = defaultdict(list), defaultdict(list)
     for r in w:
-        said[r.conv_id] += [(x.role, x.text) for x in r.turns]
+        for x in r.turns:
+            if x.more:
+                said[r.conv_id][-1] = (x.role, said[r.conv_id][-1][1] + x.text)
+            else:
+                said[r.conv_id].append((x.role, x.text))
         losses[r.conv_id] += r.losses
-        assert r.n_tokens <= 512 or r.over_budget
+        assert r.n_tokens <= 512
     for conv in {r[0] for r in rows}:
         own = sorted((r for r in rows if r[0] == conv), key=lambda r: (r[1] is not None, r[1] or 0, r[2] or "", r[3] or ""))
         assert said[conv] == [(r[2] or "", r[3] or "") for r in own]
-        assert losses[conv] == [r[3] or "" for r in own if r[2] == "assistant"]
+        assert "".join(losses[conv]) == "".join(r[3] or "" for r in own if r[2] == "assistant")
+        assert [(r.n_own, r.n_context, r.n_tokens) for r in w if r.conv_id == conv] == _greedy([(r[2] or "", r[3] or "") for r in own], 512, 64)
     one = [r for r in w if r.conv_id == 1]
-    assert len(one) > 50 and all(r.formatted.startswith("<|im_start|>system\nbe kind<|im_end|>") for r in one) and not any(r.over_budget for r in one)
-    assert any(r.n_context > 1 for r in one) and [r for r in w if r.conv_id == 2 and r.over_budget]
+    assert len(one) > 50 and all(r.formatted.startswith("<|im_start|>system\nbe kind<|im_end|>") for r in one)
+    assert any(r.n_context > 1 for r in one) and max(r.window for r in one) > chat.STRIDE and sum(r.n_tokens for r in one) > 0.8 * 512 * len(one)
     assert chat.windows(t.limit(0)).count() == 0
 
 

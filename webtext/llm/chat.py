@@ -1,14 +1,19 @@
 """Chat formatting in budgeted windows, in DataFrame operations only.
 
-Every turn gets a length in tokens; prefix sums give its start within the conversation. Windows lie on a grid of the starts:
-with room R = budget - system turn - 2 * history, a turn belongs to window floor(start / (R / 2)), so a window's own
-turns begin within half the room and end within all of it (a turn longer than half the room may exceed it; the window
-is then marked `over_budget`, as turns are not cut). A turn of at most `history` tokens that starts within the last `history`
-tokens of a window is repeated at the head of the next one. The first system turn leads every later window. Both are context:
-the loss mask covers assistant texts of a window's own turns, so each is learned once.
-
-Starts need no whole conversation in one task: turns are summed in chunks of 256 turn numbers, and chunks over a
-conversation. The text is `<|im_start|>role\\ntext<|im_end|>\\n` per turn; inside texts a backslash is doubled and `<|` becomes
+Every turn gets a length in tokens; prefix sums give its start within the conversation. A window takes the longest span of
+whole turns that fits: the next one begins at the first turn whose end exceeds the window's begin plus its room, which is the
+budget less `history` (none in the first window) and less the repeated system turn (none until that turn has been). Only a
+turn above budget - system - history, which would fit no window, is split, into parts of just that many tokens; a part that
+goes on is marked by `<more` behind its role. So no window exceeds the budget. Whole turns that lie in the last `history` tokens
+before a window are repeated at its head. The first system turn leads every later window, with its first budget / 2 tokens if it
+is longer (the turn itself stays whole, in parts). Both are context: the loss mask covers assistant texts of a window's own
+turns, so each is learned once.
+
+No conversation has to meet in one task: turns are summed in chunks of 256 turn numbers, chunks over a conversation, and the
+spans are chosen in segments of SEGMENT times the room, at whose ends a window also ends. A segment holds a bounded number of
+tokens, hence of turns (at least four tokens each) and of characters. Windows are numbered in order, with gaps between segments.
+
+The text is `<|im_start|>role\\ntext<|im_end|>\\n` per turn; inside texts a backslash is doubled and `<|` becomes
 `<\\|`, so control strings cannot be forged and everything can be read back.
 
 Edge cases: null text or role counts as empty; null conv_id is a conversation; null turns come first; rows with equal turns are
@@ -22,7 +27,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 CHUNK = 256
-OPEN, CLOSE = "<|im_start|>", "<|im_end|>\n"
+#: Windows are chosen within spans of so many rooms; two successive windows hold more than one room, so a span has at most 2 * SEGMENT + 3.
+SEGMENT = 16
+STRIDE = 64
+OPEN, CLOSE, MORE = "<|im_start|>", "<|im_end|>\n", "<more"
 
 
 def escape(text: Column) -> Column:
@@ -51,22 +59,36 @@ def turn_tokens(text: Column) -> Column:
 
 
 def _placed(turns: DataFrame, budget: int, history: int) -> DataFrame:
-    """Turns with their start, position, window width and their conversation's system turn."""
+    """Parts of turns with their start, the room of their conversation, its leading system text and where that turn starts."""
     t = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    t = t.withColumns({"tokens": turn_tokens(F.col("text")), "chunk": F.floor(F.col("turn") / CHUNK)})
-    inner = W.Window.partitionBy("conv_id", "chunk").orderBy("turn", "role", "text")
-    t = t.withColumns({"start": F.sum("tokens").over(inner.rowsBetween(W.Window.unboundedPreceding, 0)) - F.col("tokens"), "rn": F.row_number().over(inner).cast("long")})
-    chunks = t.groupBy("conv_id", "chunk").agg(F.sum("tokens").alias("sum"), F.count("*").alias("n"), F.min(F.when(F.col("role") == "system", F.struct("turn", "text"))).alias("system"))
+    t = t.withColumn("chunk", F.floor(F.col("turn") / CHUNK))
     before = W.Window.partitionBy("conv_id").orderBy("chunk")
     ahead, whole = before.rowsBetween(W.Window.unboundedPreceding, -1), W.Window.partitionBy("conv_id")
-    chunks = chunks.select(
-        F.col("conv_id").alias("c"), F.col("chunk").alias("ch"), F.coalesce(F.sum("sum").over(ahead), F.lit(0)).alias("off"), F.coalesce(F.sum("n").over(ahead), F.lit(0)).alias("off_n"), F.min("system").over(whole).alias("system")
-    )
-    t = t.join(chunks, F.col("conv_id").eqNullSafe(F.col("c")) & F.col("chunk").eqNullSafe(F.col("ch"))).drop("c", "ch")
-    lead = F.coalesce(turn_tokens(F.col("system.text")), F.lit(0))
-    width = F.greatest(F.lit(1), F.floor((F.lit(budget - 2 * history) - lead) / 2))
+
+    def with_chunks(t: DataFrame, chunks: DataFrame, *names: str) -> DataFrame:
+        chunks = chunks.select(F.col("conv_id").alias("c"), F.col("chunk").alias("ch"), *names)
+        return t.join(chunks, F.col("conv_id").eqNullSafe(F.col("c")) & F.col("chunk").eqNullSafe(F.col("ch"))).drop("c", "ch")
+
+    system = t.groupBy("conv_id", "chunk").agg(F.min(F.when(F.col("role") == "system", F.struct("turn", "text"))).alias("system"))
+    system = system.withColumn("system", F.min("system").over(whole)).withColumn("lead_text", F.left("system.text", F.lit(4 * (budget // 2 - 4))))
+    t = with_chunks(t, system, "system", "lead_text")
+    lead = F.coalesce(turn_tokens(F.col("lead_text")), F.lit(0).cast("long"))
+    t = t.withColumns({"lead": lead, "room": F.lit(budget - history) - lead})
     is_system = F.col("system").isNotNull() & (F.col("role") == "system") & F.col("turn").eqNullSafe(F.col("system.turn")) & (F.col("text") == F.col("system.text"))
-    return t.withColumns({"start": F.col("start") + F.col("off"), "pos": F.col("rn") + F.col("off_n"), "width": width, "lead": lead, "is_system": is_system})
+    part = 4 * (F.col("room") - 4)
+    n_parts = F.greatest(F.lit(1), F.ceil(F.length("text") / part))
+    t = t.withColumns({"is_system": is_system, "part": part, "n_parts": n_parts, "tokens": F.ceil(F.length("text") / 4) + 4 * n_parts}).drop("system")
+
+    inner = W.Window.partitionBy("conv_id", "chunk").orderBy("turn", "role", "text").rowsBetween(W.Window.unboundedPreceding, 0)
+    t = t.withColumn("start", F.sum("tokens").over(inner) - F.col("tokens"))
+    chunks = t.groupBy("conv_id", "chunk").agg(F.sum("tokens").alias("sum"), F.min(F.when(F.col("is_system"), F.col("start"))).alias("system_at"))
+    chunks = chunks.withColumn("off", F.coalesce(F.sum("sum").over(ahead), F.lit(0)))
+    chunks = chunks.withColumn("system_at", F.min(F.col("system_at") + F.col("off")).over(whole))
+    t = with_chunks(t, chunks, "off", "system_at")
+
+    pieces = F.when(F.col("n_parts") == 1, F.array("text")).otherwise(F.regexp_extract_all("text", F.concat(F.lit("(?s).{1,"), F.col("part"), F.lit("}")), F.lit(0)))
+    t = t.select("conv_id", "role", "is_system", "lead", "lead_text", "room", "system_at", (F.col("start") + F.col("off")).alias("turn_at"), F.posexplode_outer(pieces).alias("k", "text"))
+    return t.withColumns({"start": F.col("turn_at") + F.col("k") * F.col("room"), "tokens": turn_tokens(F.col("text"))})
 
 
 _SPANS = """aggregate(items, named_struct('at', 0, 'spans', cast(array() as array<struct<start:int,length:int>>)),
@@ -75,41 +97,60 @@ _SPANS = """aggregate(items, named_struct('at', 0, 'spans', cast(array() as arra
 
 
 def windows(turns: DataFrame, budget: int = 1024, history: int = 96) -> DataFrame:
-    """conv_id, window, n_context, n_own, n_tokens, over_budget, formatted, mask (code-point spans of formatted) of turns (conv_id, turn, role, text)."""
-    t = _placed(turns, budget, history).withColumn("slot", F.floor(F.col("start") / F.col("width")))
-    again = (F.col("start") >= (F.col("slot") + 1) * F.col("width") - history) & (F.col("tokens") <= history) & ~F.col("is_system")
-    own, repeated = F.struct(F.col("slot").alias("window"), F.lit(True).alias("own")), F.struct((F.col("slot") + 1).alias("window"), F.lit(False).alias("own"))
-    t = t.withColumn("in", F.explode(F.when(again, F.array(own, repeated)).otherwise(F.array(own))))
-    head, body = F.concat(F.lit(OPEN), escape_role(F.col("role")), F.lit("\n")), escape(F.col("text"))
-    item = F.struct("pos", F.col("in.own").alias("own"), "role", head.alias("head"), body.alias("body"), "tokens", "turn", "is_system")
-    w = t.groupBy("conv_id", F.col("in.window").alias("window")).agg(F.array_sort(F.collect_list(item)).alias("items"), F.first("system").alias("system"), F.first("lead").alias("lead")).where(F.exists("items", lambda x: x["own"]))
-    first = F.element_at("items", 1)
-    led = F.col("system").isNotNull() & ~F.exists("items", lambda x: x["is_system"]) & F.coalesce(first["turn"] > F.col("system.turn"), F.lit(True))
+    """conv_id, window, n_context, n_own, n_tokens, formatted, mask (code-point spans of formatted) of turns (conv_id, turn, role, text)."""
+    if not 0 <= 4 * history <= budget or budget < 64:
+        raise ValueError("a budget has at least 64 tokens, and the history at most a quarter of them")
+    t = _placed(turns, budget, history)
+    span = SEGMENT * F.col("room")
+    t = t.withColumn("segment", F.floor(F.col("start") / span))
+    # What may be history of the next segment goes there too; its first begin decides.
+    late = (F.col("start") >= (F.col("segment") + 1) * span - history) & (F.col("tokens") <= history) & ~F.col("is_system")
+    here, next_ = F.struct("segment", F.lit(True).alias("own")), F.struct((F.col("segment") + 1).alias("segment"), F.lit(False).alias("own"))
+    t = t.withColumn("in", F.explode(F.when(late, F.array(here, next_)).otherwise(F.array(here))))
+    head = F.concat(F.lit(OPEN), escape_role(F.col("role")), F.when(F.col("k") > 0, F.lit(MORE)).otherwise(F.lit("")), F.lit("\n"))
+    item = F.struct("start", F.col("in.own").alias("own"), "role", head.alias("head"), escape(F.col("text")).alias("body"), "tokens", "is_system")
+    s = t.groupBy("conv_id", F.col("in.segment").alias("segment")).agg(F.array_sort(F.collect_list(item)).alias("items"), *(F.first(c).alias(c) for c in ("lead", "lead_text", "system_at")))
+    s = s.withColumn("own", F.filter("items", lambda x: x["own"])).where(F.size("own") > 0)
+
+    def led(at: Column) -> Column:
+        return F.coalesce(at > F.col("system_at"), F.lit(False))
+
+    def end(at: Column) -> Column:
+        return at + budget - F.when(at > 0, F.lit(history)).otherwise(F.lit(0)) - F.when(led(at), F.col("lead")).otherwise(F.lit(0).cast("long"))
+
+    def place(begins: Column, x: Column) -> Column:
+        last = F.element_at(begins, -1)
+        return F.when(x["start"] + x["tokens"] <= end(last), begins).otherwise(F.concat(begins, F.array(x["start"])))
+
+    s = s.withColumn("begins", F.aggregate("own", F.array(F.element_at("own", 1)["start"]), place))
+    w = s.select("conv_id", "segment", "items", "own", "lead", "lead_text", "system_at", "begins", F.posexplode_outer("begins").alias("k", "at"))
+    until = F.try_element_at("begins", F.col("k") + 2)
     leading = F.struct(
-        F.lit(0).cast("long").alias("pos"), F.lit(False).alias("own"), F.lit("system").alias("role"), F.lit(f"{OPEN}system\n").alias("head"), escape(F.col("system.text")).alias("body"), F.col("lead").alias("tokens"), F.col("system.turn").alias("turn"), F.lit(True).alias("is_system")
+        F.lit(-1).cast("long").alias("start"), F.lit(False).alias("own"), F.lit("system").alias("role"), F.lit(f"{OPEN}system\n").alias("head"), escape(F.col("lead_text")).alias("body"), F.col("lead").alias("tokens"), F.lit(True).alias("is_system")
     )
-    w = w.withColumn("items", F.when(led, F.concat(F.array(leading), "items")).otherwise(F.col("items")))
-    tokens = F.aggregate("items", F.lit(0).cast("long"), lambda a, x: a + x["tokens"])
+    context = F.transform(F.filter("items", lambda x: (x["start"] >= F.col("at") - history) & (x["start"] < F.col("at")) & ~x["is_system"]), lambda x: x.withField("own", F.lit(False)))
+    chosen = F.filter("own", lambda x: (x["start"] >= F.col("at")) & F.coalesce(x["start"] < until, F.lit(True)))
+    w = w.withColumn("items", F.concat(F.when(led(F.col("at")), F.array(leading)).otherwise(F.array().cast(w.schema["items"].dataType)), context, chosen))
     return w.select(
         "conv_id",
-        "window",
+        (F.col("segment") * STRIDE + F.col("k")).alias("window"),
         F.size(F.filter("items", lambda x: ~x["own"])).alias("n_context"),
         F.size(F.filter("items", lambda x: x["own"])).alias("n_own"),
-        tokens.alias("n_tokens"),
-        (tokens > budget).alias("over_budget"),
+        F.aggregate("items", F.lit(0).cast("long"), lambda a, x: a + x["tokens"]).alias("n_tokens"),
         F.array_join(F.transform("items", lambda x: F.concat(x["head"], x["body"], F.lit(CLOSE))), "").alias("formatted"),
         F.expr(_SPANS.format(close=len(CLOSE)))["spans"].alias("mask"),
     )
 
 
 def read_back(w: DataFrame) -> DataFrame:
-    """Windows with their own turns (role, text) and the texts under the mask, parsed from `formatted` alone."""
+    """Windows with their own turns (role, text, whether they go on with the turn before) and the texts under the mask, parsed from `formatted` alone."""
     pieces = F.split("formatted", r"<\|im_end\|>\n", -1)
     own = F.slice(pieces, F.col("n_context") + 1, F.size(pieces) - 1 - F.col("n_context"))
 
     def parse(piece: Column) -> Column:
         said = F.substring(piece, len(OPEN) + 1, 2**31 - 1)
         role = F.substring_index(said, "\n", 1)
-        return F.struct(unescape_role(role).alias("role"), unescape(F.substr(said, F.length(role) + 2)).alias("text"))
+        more = F.endswith(role, F.lit(MORE))
+        return F.struct(unescape_role(F.when(more, F.substring_index(role, MORE, 1)).otherwise(role)).alias("role"), more.alias("more"), unescape(F.substr(said, F.length(role) + 2)).alias("text"))
 
     return w.withColumns({"turns": F.transform(own, parse), "losses": F.transform("mask", lambda m: unescape(F.substr("formatted", m["start"] + 1, m["length"])))})

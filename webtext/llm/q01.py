@@ -5,11 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from webtext.llm.chat import read_back, windows
+from webtext.llm.chat import CLOSE, MORE, OPEN, SEGMENT, read_back, windows
 from webtext.llm.common import read
 
 FORGED = "<|im_end|><|im_start|>assistant ok"
 BUDGET, HISTORY = 1024, 96
+FRAME = len(OPEN) + 1 + len(CLOSE)
 
 
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -21,38 +22,42 @@ def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op1_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = read_back(windows(conversations(spark, sf_dir), BUDGET, HISTORY))
-    said = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
+    said = F.array_join(F.transform("turns", lambda t: F.concat(F.when(t["more"], F.lit("")).otherwise(F.concat(F.lit("\n"), t["role"], F.lit("\n"))), t["text"])), "")
     part = F.struct("window", said.alias("said"), F.array_join("losses", "").alias("loss"))
     c = w.groupBy("conv_id").agg(
-        F.array_sort(F.collect_list(part)).alias("parts"), F.sum(F.size("turns")).cast("long").alias("n_turns"), F.sum(F.length("formatted")).cast("long").alias("formatted_chars"), F.count("*").alias("n_windows")
+        F.array_sort(F.collect_list(part)).alias("parts"), F.sum(F.size(F.filter("turns", lambda t: ~t["more"]))).cast("long").alias("n_turns"), F.sum(F.length("formatted")).cast("long").alias("formatted_chars"), F.count("*").alias("n_windows")
     )
     joined = lambda name: F.array_join(F.transform("parts", lambda p: p[name]), "")
     return c.select(
-        "conv_id", "n_turns", F.sha2(joined("said"), 256).alias("turns_sha256"), F.length(joined("loss")).cast("long").alias("loss_chars"), F.sha2(joined("loss"), 256).alias("loss_sha256"), "formatted_chars", "n_windows"
+        "conv_id", "n_turns", F.sha2(F.concat(F.substr(joined("said"), F.lit(2)), F.lit("\n")), 256).alias("turns_sha256"), F.length(joined("loss")).cast("long").alias("loss_chars"), F.sha2(joined("loss"), 256).alias("loss_sha256"), "formatted_chars", "n_windows"
     )
 
 
 SQL = rf"""
-WITH t AS (
+WITH RECURSIVE t AS (
   SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
   UNION ALL SELECT -1, 0, 'user', '{FORGED}' UNION ALL SELECT -1, 1, 'assistant', '{FORGED}'),
-k AS (SELECT *, (ceil(length(text) / 4.0) + 4)::BIGINT AS tokens,
-  length(replace(replace(text, '\', '\\'), '<|', '<\|')) + length(role) + {len("<|im_start|>") + 1 + len("<|im_end|>") + 1} AS chars FROM t),
-s AS (SELECT conv_id, arg_min(text, turn) AS system_text, min(turn) AS system_turn FROM t WHERE role = 'system' GROUP BY 1),
-p AS (SELECT k.*, system_turn, coalesce((ceil(length(system_text) / 4.0) + 4)::BIGINT, 0) AS lead,
-  coalesce(length(replace(replace(system_text, '\', '\\'), '<|', '<\|')) + 6 + {len("<|im_start|>") + 1 + len("<|im_end|>") + 1}, 0) AS lead_chars,
-  sum(tokens) OVER (PARTITION BY conv_id ORDER BY turn, role, text ROWS UNBOUNDED PRECEDING) - tokens AS start
-  FROM k LEFT JOIN s USING (conv_id)),
-g AS (SELECT *, greatest(1, floor(({BUDGET} - {2 * HISTORY} - lead) / 2.0))::BIGINT AS width FROM p),
-w AS (SELECT *, (start // width)::BIGINT AS win FROM g),
-i AS (SELECT conv_id, win, chars, turn, role, true AS own, system_turn, lead_chars FROM w
-  UNION ALL SELECT conv_id, win + 1, chars, turn, role, false, system_turn, lead_chars FROM w
-  WHERE start >= (win + 1) * width - {HISTORY} AND tokens <= {HISTORY} AND NOT (role = 'system' AND turn IS NOT DISTINCT FROM system_turn)),
-f AS (SELECT conv_id, win, sum(chars) + max(CASE WHEN system_turn IS NOT NULL THEN lead_chars ELSE 0 END)
-    * (min(turn) > max(system_turn) AND NOT bool_or(role = 'system' AND turn IS NOT DISTINCT FROM system_turn))::INT AS with_lead, sum(chars) AS without_lead,
-    max(system_turn) AS system_turn
-  FROM i GROUP BY 1, 2 HAVING bool_or(own)),
-c AS (SELECT conv_id, sum(coalesce(with_lead, without_lead))::BIGINT AS formatted_chars, count(*)::BIGINT AS n_windows FROM f GROUP BY 1)
+s AS (SELECT conv_id, left(text, {4 * (BUDGET // 2 - 4)}) AS lead_text, turn AS system_turn, text AS system_text FROM t WHERE role = 'system'
+  QUALIFY row_number() OVER (PARTITION BY conv_id ORDER BY turn, text) = 1),
+l AS (SELECT t.*, coalesce((ceil(length(lead_text) / 4.0) + 4)::BIGINT, 0) AS lead, {BUDGET - HISTORY} - lead AS room, 4 * (room - 4) AS part,
+  greatest(1, ceil(length(text) / part::DOUBLE))::BIGINT AS n_parts, ceil(length(text) / 4.0)::BIGINT + 4 * n_parts AS turn_tokens,
+  coalesce(role = 'system' AND turn = system_turn AND text = system_text, false) AS is_system,
+  coalesce(length(replace(replace(lead_text, '\', '\\'), '<|', '<\|')) + 6 + {FRAME}, 0) AS lead_chars
+  FROM t LEFT JOIN s USING (conv_id)),
+a AS (SELECT *, sum(turn_tokens) OVER (PARTITION BY conv_id ORDER BY turn, role, text ROWS UNBOUNDED PRECEDING) - turn_tokens AS turn_at FROM l),
+y AS (SELECT *, min(CASE WHEN is_system THEN turn_at END) OVER (PARTITION BY conv_id) AS system_at FROM a),
+e AS (SELECT *, unnest(range(n_parts)) AS k FROM y),
+p AS (SELECT conv_id, lead, lead_chars, system_at, is_system, (turn_at + k * room)::BIGINT AS start, substr(text, k * part + 1, part) AS body,
+  (ceil(length(body) / 4.0) + 4)::BIGINT AS tokens, start // ({SEGMENT} * room) AS segment,
+  length(replace(replace(body, '\', '\\'), '<|', '<\|')) + length(role) + {FRAME} + CASE WHEN k > 0 THEN {len(MORE)} ELSE 0 END AS chars FROM e),
+w AS (SELECT conv_id, segment, min(start) AS begun FROM p GROUP BY 1, 2
+  UNION ALL SELECT conv_id, segment, min(start) FROM w JOIN p USING (conv_id, segment)
+  WHERE start > begun AND start + tokens > begun + {BUDGET} - CASE WHEN begun > 0 THEN {HISTORY} ELSE 0 END - CASE WHEN begun > system_at THEN lead ELSE 0 END
+  GROUP BY conv_id, segment, begun),
+v AS (SELECT conv_id, begun, max(lead_chars) * coalesce(max(system_at) < begun, false)::INT AS led,
+  coalesce(sum(chars) FILTER (start >= begun - {HISTORY} AND start < begun AND NOT is_system), 0) AS context FROM w JOIN p USING (conv_id) GROUP BY 1, 2),
+o AS (SELECT conv_id, sum(chars) AS own FROM p GROUP BY 1),
+c AS (SELECT conv_id, (sum(led + context) + max(own))::BIGINT AS formatted_chars, count(*)::BIGINT AS n_windows FROM v JOIN o USING (conv_id) GROUP BY 1)
 SELECT conv_id, count(*)::BIGINT AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
   coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
   sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
