@@ -111,6 +111,29 @@ def test_tables():
     assert markdown(units("<table><tr><th>a|b</th><th>c</th></tr><tr><td>1</td></tr></table>")) == "| a\\|b | c |\n| --- | --- |\n| 1 |  |"
 
 
+RICH = r"""<p>First $$a+b$$ second <code>x</code>.</p><ul><li>use <code>f(x)</code> and \(a^2\)<ul><li>in $$y=1$$</li></ul></li></ul>
+<table><tr><td><code>k</code></td><td>a<br>b</td></tr><tr><td>1</td><td>$x_1$<img src="i.png"></td></tr></table>
+<p>so <math><msup><mi>x</mi><mn>2</mn></msup><mo>=</mo><mfrac><mrow><mi>a</mi><mo>+</mo><mn>1</mn></mrow><msqrt><mi>π</mi></msqrt></mfrac></math></p>
+<math display="block"><munderover><mo>∑</mo><mrow><mi>i</mi><mo>=</mo><mn>1</mn></mrow><mi>n</mi></munderover><msup><mrow><mo>(</mo><mi>a</mi><mo>)</mo></mrow><mn>2</mn></msup></math>"""
+
+
+def test_spans_within_units():
+    md = markdown(units(RICH))
+    assert md.startswith("First\n\n$$\na+b\n$$\n\nsecond `x`.\n\n- use `f(x)` and $a^2$\n  - in $$y=1$$\n\n| `k` | a b |\n| --- | --- |\n| 1 | $x_1$ |\n\n![](i.png)")
+    assert md.endswith("so $x^{2}=\\frac{a+1}{\\sqrt{\\pi}}$\n\n$$\n\\sum_{i=1}^{n}{(a)}^{2}\n$$")
+    assert [u["text"] for u in units(RICH) if u["type"] == "display_formula" and u["alt"] == "embedded"] == ["y=1"]
+    assert plain_text(RICH).count("y=1") == 1
+
+
+def test_native_renderer_has_no_span_twice(spark):
+    from webtext.operators.formatting import render
+    from webtext.plans import extraction as E
+
+    page = spark.createDataFrame([(1, RICH)], "page_id long, html string")
+    c = E.M.content_list(page, "page_id", "html").select(render("units").alias("md"), render("units", "text").alias("text"), render("units", "html").alias("html")).first()
+    assert c.md == markdown(units(RICH)) and c.text.count("y=1") == c.html.count("y=1") == 1
+
+
 def test_formulas():
     assert formulas_in("it costs $5 and $6, or $$$ junk $$$") == []
     assert [(x[2], x[3]) for x in formulas_in("$x^2$ and $$y=1$$ and \\[z\\]")] == [("x^2", False), ("y=1", True), ("z", True)]

@@ -61,6 +61,53 @@ def formulas_in(text: str) -> list[tuple[int, int, str, bool]]:
     return out
 
 
+#: TeX of operators and letters that MathML spells as characters; others stay as they are. Fixed values.
+_SYMBOLS = {
+    "∑": r"\sum", "∏": r"\prod", "∫": r"\int", "∞": r"\infty", "≤": r"\le", "≥": r"\ge", "≠": r"\ne", "≈": r"\approx", "×": r"\times", "·": r"\cdot", "±": r"\pm", "→": r"\to", "∂": r"\partial", "∈": r"\in",
+    "α": r"\alpha", "β": r"\beta", "γ": r"\gamma", "δ": r"\delta", "ε": r"\epsilon", "θ": r"\theta", "λ": r"\lambda", "μ": r"\mu", "π": r"\pi", "σ": r"\sigma", "φ": r"\phi", "ω": r"\omega", "−": "-", "\u2061": "", "\u2062": "",
+}
+
+
+def mathml_tex(node: Node) -> str:
+    """TeX of presentation MathML."""
+    parts = [c for c in node.children if c.tag and not c.tag.startswith("annotation")]
+    tex = [mathml_tex(c) for c in parts]
+    match node.tag:
+        case "mi" | "mn" | "mo" | "ms":
+            text = code_text(node).strip()
+            if text in _SYMBOLS:
+                return _SYMBOLS[text] + (" " if _SYMBOLS[text].startswith("\\") else "")
+            return rf"\mathrm{{{text}}}" if node.tag == "mi" and len(text) > 1 else text
+        case "mtext":
+            return rf"\text{{{code_text(node).strip()}}}"
+        case "msqrt":
+            return rf"\sqrt{{{''.join(tex).strip()}}}"
+        case "mfenced":
+            return node.attrs.get("open", "(") + ",".join(tex) + node.attrs.get("close", ")")
+        case "mtable":
+            return r"\begin{matrix}" + r" \\ ".join(tex) + r"\end{matrix}"
+        case "mtr":
+            return " & ".join(tex)
+    a, b, c = ([x.strip() for x in tex] + [""] * 3)[:3]
+    match node.tag, len(tex):
+        case "mfrac", 2:
+            return rf"\frac{{{a}}}{{{b}}}"
+        case "mroot", 2:
+            return rf"\sqrt[{b}]{{{a}}}"
+        case ("msup" | "mover"), 2:
+            return f"{_base(a)}^{{{b}}}"
+        case ("msub" | "munder"), 2:
+            return f"{_base(a)}_{{{b}}}"
+        case ("msubsup" | "munderover"), 3:
+            return f"{_base(a)}_{{{b}}}^{{{c}}}"
+    return "".join(tex)
+
+
+def _base(tex: str) -> str:
+    """tex as the base of a script: in braces if it is more than one symbol."""
+    return tex if re.fullmatch(r"\\?\w+|\W", tex) and (tex[:1] == "\\" or len(tex) == 1 or tex.isdigit()) else f"{{{tex}}}"
+
+
 def formula_of(node: Node) -> tuple[str, bool] | None:
     """TeX and mode of an element that some renderer has left."""
     a = node.attrs if node.raw_attrs else {}
@@ -73,6 +120,8 @@ def formula_of(node: Node) -> tuple[str, bool] | None:
                 return code_text(x).strip(), display
         if node.tag == "math" and "alttext" in a:
             return a["alttext"].strip(), a.get("display") == "block"
+        if node.tag == "math" and (tex := mathml_tex(node).strip()):
+            return tex, a.get("display") == "block"
     if node.tag == "img" and re.search(r"\b(tex|math|latex|formula)\b", a.get("class", "")) and a.get("alt"):
         return a["alt"].strip("$ "), "display" in a.get("class", "")
     return None
@@ -133,17 +182,16 @@ def linearised(table: Node) -> list[str]:
 
 
 # -- lists
-def list_items(node: Node, depth: int = 0) -> list[dict]:
+def list_items(node: Node, found: list[dict], depth: int = 0) -> list[dict]:
+    """Items with code and formulas as spans; these and media also go to found."""
     out = []
     for li in node.children:
         if li.tag not in ("li", "dt", "dd"):
             continue
         inner = [c for c in li.walk() if c.tag in ("ul", "ol", "dl") and next((a for a in c.ancestors() if a.tag in ("li", "dd", "dt")), None) is li]
-        below = {id(n) for x in inner for n in x.walk()}
-        text = " ".join("".join(n.text if n.tag == "" else " " for n in li.walk() if n.tag in ("", "br") and id(n) not in below).split())
-        out.append({"depth": depth, "ordered": node.tag == "ol", "text": text})
+        out.append({"depth": depth, "ordered": node.tag == "ol", "text": spanned(li, found, {id(x) for x in inner})})
         for x in inner:
-            out.extend(list_items(x, depth + 1))
+            out.extend(list_items(x, found, depth + 1))
     return out
 
 
@@ -151,29 +199,32 @@ def _unit(type_: str, **more) -> dict:
     return dict.fromkeys(UNIT) | {"type": type_} | more
 
 
-def inline_text(nodes: list[Node], found: list[dict]) -> str:
-    """Text of inline nodes with code and formulas as spans; media and display formulas go to found."""
+def inline_parts(nodes: list[Node], found: list[dict], skip: frozenset | set = frozenset()) -> list[str | dict]:
+    """Texts of inline nodes with code and formulas as spans, and their display formulas in between; media and the spans go to found."""
+    parts: list[str | dict] = []
     out: list[str] = []
 
+    def formula(tex: str, display: bool) -> None:
+        if display:
+            parts.extend([" ".join("".join(out).split()), _unit("display_formula", text=tex, display=True)])
+            out.clear()
+        else:
+            out.append(f"${tex}$")
+            found.append(_unit("inline_formula", text=tex, display=False))
+
     def walk(n: Node) -> None:
+        if id(n) in skip:
+            return
         if n.tag == "":
             text, at = n.text, 0
             for start, end, tex, display in formulas_in(text):
                 out.append(text[at:start])
                 at = end
-                if display:
-                    found.append(_unit("display_formula", text=tex, display=True))
-                else:
-                    out.append(f"${tex}$")
-                    found.append(_unit("inline_formula", text=tex, display=False))
+                formula(tex, display)
             out.append(text[at:])
             return
-        formula = formula_of(n)
-        if formula is not None:
-            tex, display = formula
-            found.append(_unit("display_formula" if display else "inline_formula", text=tex, display=display))
-            if not display:
-                out.append(f"${tex}$")
+        if (written := formula_of(n)) is not None:
+            formula(*written)
         elif n.tag in ("script", "style", "noscript", "template"):
             return
         elif n.tag == "br":
@@ -193,7 +244,14 @@ def inline_text(nodes: list[Node], found: list[dict]) -> str:
 
     for n in nodes:
         walk(n)
-    return " ".join("".join(out).split())
+    return [p for p in [*parts, " ".join("".join(out).split())] if p]
+
+
+def spanned(node: Node, found: list[dict], skip: frozenset | set = frozenset()) -> str:
+    """One line of a list item or table cell, its display formulas between double dollars."""
+    parts = inline_parts(node.children, found, skip)
+    found.extend(p | {"alt": "embedded"} for p in parts if isinstance(p, dict))
+    return " ".join(p if isinstance(p, str) else f"$${p['text']}$$" for p in parts)
 
 
 def units(main: str | None) -> list[dict]:
@@ -203,15 +261,15 @@ def units(main: str | None) -> list[dict]:
     out: list[dict] = []
     run: list[Node] = []
 
+    def close(found: list[dict]) -> None:
+        out.extend(f for f in found if f["type"] in ("image", "video", "audio"))
+        out.extend(f | {"alt": "embedded"} for f in found if f["type"] not in ("image", "video", "audio"))
+
     def flush() -> None:
         found: list[dict] = []
-        text = inline_text(run, found)
+        out.extend(_unit("paragraph", text=p) if isinstance(p, str) else p for p in inline_parts(run, found))
         run.clear()
-        shown = [f for f in found if f["type"] in ("display_formula", "image", "video", "audio")]
-        if text:
-            out.append(_unit("paragraph", text=text))
-        out.extend(shown)
-        out.extend(f | {"alt": "embedded"} for f in found if f["type"] in ("inline_formula", "inline_code"))
+        close(found)
 
     def code_block(nodes: list[Node]) -> None:
         text = "\n".join(x.strip("\n") for x in map(code_text, nodes) if x.strip())
@@ -241,12 +299,17 @@ def units(main: str | None) -> list[dict]:
                 if kind == "nested":
                     out.extend(_unit("paragraph", text=t) for t in linearised(n))
                 elif own_rows(n):
-                    out.append(_unit("table", rows=[[visible_text(c) for c in r] for r in own_rows(n)] if kind == "simple" else None, html=table_html(n) if kind == "complex" else None))
+                    found: list[dict] = []
+                    rows = [[spanned(c, found) for c in r] for r in own_rows(n)] if kind == "simple" else None
+                    out.append(_unit("table", rows=rows, html=table_html(n) if kind == "complex" else None))
+                    close(found)
             elif n.tag in ("ul", "ol", "dl"):
                 flush()
-                items = [i for i in list_items(n) if i["text"]]
+                found = []
+                items = [i for i in list_items(n, found) if i["text"]]
                 if items:
                     out.append(_unit("list", items=items))
+                close(found)
             elif n.tag in _HEAD:
                 flush()
                 text = visible_text(n)
@@ -277,7 +340,7 @@ def unit_markdown(u: dict) -> str:
             return f"{'#' * u['level']} {u['text']}"
         case "paragraph":
             return u["text"]
-        case "display_formula":
+        case "display_formula" if u["alt"] != "embedded":
             return f"$$\n{u['text']}\n$$"
         case "code":
             fence = "`" * max(3, 1 + max(map(len, re.findall(r"`+", u["text"])), default=0))
@@ -305,7 +368,7 @@ def plain_text(main: str | None) -> str:
     """One line per unit that has text."""
     lines = []
     for u in units(main):
-        if u["type"] in ("title", "paragraph", "code", "display_formula"):
+        if u["type"] in ("title", "paragraph", "code") or (u["type"] == "display_formula" and u["alt"] != "embedded"):
             lines.append(u["text"])
         elif u["type"] == "list":
             lines.extend(i["text"] for i in u["items"])

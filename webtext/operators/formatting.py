@@ -59,8 +59,13 @@ def _cell(c: Column) -> Column:
     return F.replace(F.replace(c, F.lit("|"), F.lit("\\|")), F.lit("\n"), F.lit(" "))
 
 
+def _embedded(u: Column) -> Column:
+    """Whether a formula stands within a list item or table cell, whose text has it already."""
+    return F.coalesce(u["alt"] == "embedded", F.lit(False))
+
+
 def unit_markdown(u: Column) -> Column:
-    """Markdown of one unit in Catalyst expressions; null for spans that are embedded in a paragraph."""
+    """Markdown of one unit in Catalyst expressions; null for spans that are embedded in another unit."""
     wide = F.array_max(F.transform(u["rows"], lambda r: F.size(r)))
     line = lambda r: F.concat(F.lit("| "), F.array_join(F.concat(F.transform(r, _cell), F.array_repeat(F.lit(""), wide - F.size(r))), " | "), F.lit(" |"))
     rule = F.concat(F.lit("|"), F.repeat(F.lit(" --- |"), wide))
@@ -70,7 +75,7 @@ def unit_markdown(u: Column) -> Column:
     return (
         F.when(u["type"] == "title", F.concat(F.repeat(F.lit("#"), u["level"]), F.lit(" "), u["text"]))
         .when(u["type"] == "paragraph", u["text"])
-        .when(u["type"] == "display_formula", F.concat(F.lit("$$\n"), u["text"], F.lit("\n$$")))
+        .when((u["type"] == "display_formula") & ~_embedded(u), F.concat(F.lit("$$\n"), u["text"], F.lit("\n$$")))
         .when(u["type"] == "code", F.concat(fence, F.coalesce(u["lang"], F.lit("")), F.lit("\n"), u["text"], F.lit("\n"), fence))
         .when(u["type"] == "table", F.when(u["rows"].isNotNull(), table).otherwise(u["html"]))
         .when(u["type"] == "list", F.array_join(F.transform(u["items"], item), "\n"))
@@ -86,7 +91,7 @@ def render(units: Column | str, target: str = "md") -> Column:
         return F.array_join(F.transform(units, unit_markdown), "\n\n")
     if target == "jsonl":
         return F.array_join(F.transform(units, lambda u: F.to_json(u)), "\n")
-    shown = F.filter(units, lambda u: ~u["type"].isin("inline_formula", "inline_code"))
+    shown = F.filter(units, lambda u: ~u["type"].isin("inline_formula", "inline_code") & ~((u["type"] == "display_formula") & _embedded(u)))
     if target == "text":
         return F.array_join(F.transform(shown, lambda u: F.coalesce(u["text"], F.array_join(F.transform(u["items"], lambda i: i["text"]), "\n"), F.array_join(F.transform(u["rows"], lambda r: F.array_join(r, " ")), "\n"), F.regexp_replace(u["html"], "<[^>]*>", " "))), "\n")
     esc = lambda c: F.replace(F.replace(F.replace(c, F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;")), F.lit(">"), F.lit("&gt;"))
