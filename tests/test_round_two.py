@@ -86,3 +86,29 @@ def test_ratio_against_the_density_corpus_by_hand(spark):
 def test_characters_of_blocks_are_weighed(spark):
     r = CATALOGUE["char_confusion"].run(spark, SF).first()
     assert r.tp > 0 and r.tn > 0 and r.f1 == pytest.approx(2 * r.p * r.r / (r.p + r.r), abs=1e-5) and C.gram_shares(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+@pytest.mark.parametrize("rounds", [0, 1])
+def test_template_clusters_lose_no_link(spark, monkeypatch, rounds):
+    """Against all pairs: signatures that drift apart step by step, in one band of one host."""
+    import random
+
+    from webtext.operators import templates
+
+    monkeypatch.setattr(templates, "LEADER_ROUNDS", rounds)
+    rng, rows = random.Random(5), []
+    for family in range(3):
+        sig = [rng.randrange(1000) for _ in range(16)]
+        for step in range(7):
+            sig = sig[:2] + [rng.randrange(1000) if rng.random() < 0.15 else x for x in sig[2:]]
+            rows.append((len(rows), "h" if family else "g", f"s{len(rows)}", list(sig)))
+    idx = spark.createDataFrame(rows, "page_id long, host string, sig string, minhash array<long>")
+    got = {r.page_id: r.cluster_id for r in templates.clusters(idx, "lsh").collect()}
+    comp = {r[0]: r[0] for r in rows}
+    for a in rows:
+        for b in rows:
+            same = [x == y for x, y in zip(a[3], b[3])]
+            if a[1] == b[1] and sum(same) >= 0.8 * 16 and any(same[k] and same[k + 1] for k in range(0, 16, 2)):
+                lo, hi = sorted((comp[a[0]], comp[b[0]]))
+                comp = {k: lo if v == hi else v for k, v in comp.items()}
+    assert len(set(comp.values())) > 3 and len(set(got.values())) == len(set(comp.values())) == len(set(zip(got.values(), (comp[k] for k in got))))

@@ -59,20 +59,51 @@ def index(pages: DataFrame, level: str = "subdomain", k: int = 32) -> DataFrame:
     return thin.withColumn("host", host("url", level)).drop("url")
 
 
+#: Rounds in which a band's signatures are compared with one leader each, before all pairs that are still apart are.
+LEADER_ROUNDS = 3
+
+
+def linked(sigs: DataFrame, spread: DataFrame, least: float) -> DataFrame:
+    """node, comp of distinct signatures (node, minhash): components of all pairs that share a band (node, host, band) and agree enough.
+
+    Leaders join most of a band at a cost linear in its size; only pairs of one band that still lie in different components
+    after that are compared one by one, so no link is lost.
+    """
+    key = ["host", "band"]
+    shared = spread.join(spread.groupBy(key).agg(F.count("*").alias("n")).where("n > 1").drop("n"), key)
+    shared = cut(shared.select("node", *key))
+    labels = cut(shared.select("node").distinct().withColumn("comp", F.col("node")))
+    agree = F.size(F.filter(F.zip_with("x", "y", lambda p, q: p == q), lambda same: same)) / F.size("x")
+
+    def merge(labels: DataFrame, pairs: DataFrame) -> DataFrame:
+        near = pairs.join(sigs.select(F.col("node").alias("a"), F.col("minhash").alias("x")), "a").join(sigs.select(F.col("node").alias("b"), F.col("minhash").alias("y")), "b").where(agree >= least)
+        ends = [labels.select(F.col("node").alias(n), F.col("comp").alias(c)) for n, c in (("a", "u"), ("b", "v"))]
+        joined = components(near.select("a", "b").join(ends[0], "a").join(ends[1], "b").select("u", "v"))
+        to = joined.select(F.col("node").alias("comp"), F.col("comp").alias("next"))
+        return cut(labels.join(to, "comp", "left").select("node", F.coalesce("next", "comp").alias("comp")))
+
+    for turn in range(LEADER_ROUNDS):
+        placed = shared.join(labels, "node")
+        order = F.struct(F.xxhash64("node", F.lit(turn)), F.col("node"))
+        lead = placed.groupBy(key).agg(F.min_by("node", order).alias("a"), F.min_by("comp", order).alias("lead_comp"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi")
+        pairs = cut(placed.join(lead, key).where("comp <> lead_comp").select("a", F.col("node").alias("b")).distinct())
+        if pairs.isEmpty():
+            return labels
+        labels = merge(labels, pairs)
+    placed = shared.join(labels, "node")
+    other = placed.select(*key, F.col("node").alias("b"), F.col("comp").alias("other"))
+    return merge(labels, cut(placed.withColumnRenamed("node", "a").join(other, key).where("comp < other").select("a", "b").distinct()))
+
+
 def clusters(idx: DataFrame, mode: str = "exact", bands: int = 8, least: float = 0.8) -> DataFrame:
     """idx with cluster_id. exact: equal signatures; lsh: distinct signatures of a host that share a band and agree enough are linked."""
     named = lambda key: F.conv(F.substring(F.md5(F.concat_ws("|", "host", key).cast("binary")), 1, 15), 16, 10).cast("long")
     if mode == "exact":
         return idx.withColumn("cluster_id", named("sig"))
-    sigs = idx.groupBy("host", "sig").agg(F.any_value("minhash").alias("minhash")).withColumn("node", named("sig"))
+    sigs = cut(idx.groupBy("host", "sig").agg(F.any_value("minhash").alias("minhash")).withColumn("node", named("sig")))
     rows = F.size("minhash") / bands
     band = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(b, F.array_join(F.slice("minhash", (b * rows + 1).cast("int"), rows.cast("int")).cast("array<string>"), ",")))
-    spread = sigs.select("host", "node", "minhash", F.explode(band).alias("band"))
-    lead = spread.groupBy("host", "band").agg(F.min(F.struct("node", "minhash")).alias("lead"), F.count("*").alias("n")).where("n > 1")
-    pairs = spread.join(lead, ["host", "band"]).where("node <> lead.node")
-    agree = F.size(F.filter(F.zip_with("minhash", "lead.minhash", lambda a, b: a == b), lambda x: x)) / F.size("minhash")
-    edges = pairs.where(agree >= least).select(F.col("lead.node").alias("u"), F.col("node").alias("v")).distinct()
-    to = sigs.select("host", "sig", "node").join(components(edges), "node", "left")
+    to = sigs.join(linked(sigs, sigs.select("host", "node", F.explode(band).alias("band")), least), "node", "left")
     return idx.join(to.select("host", "sig", F.coalesce("comp", "node").alias("cluster_id")), ["host", "sig"])
 
 
