@@ -60,18 +60,14 @@ def turn_tokens(text: Column) -> Column:
 
 def _placed(turns: DataFrame, budget: int, history: int) -> DataFrame:
     """Parts of turns with their start, the room of their conversation, its leading system text and where that turn starts."""
-    t = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    t = t.withColumn("chunk", F.floor(F.col("turn") / CHUNK))
-    before = W.Window.partitionBy("conv_id").orderBy("chunk")
-    ahead, whole = before.rowsBetween(W.Window.unboundedPreceding, -1), W.Window.partitionBy("conv_id")
-
-    def with_chunks(t: DataFrame, chunks: DataFrame, *names: str) -> DataFrame:
-        chunks = chunks.select(F.col("conv_id").alias("c"), F.col("chunk").alias("ch"), *names)
-        return t.join(chunks, F.col("conv_id").eqNullSafe(F.col("c")) & F.col("chunk").eqNullSafe(F.col("ch"))).drop("c", "ch")
-
-    system = t.groupBy("conv_id", "chunk").agg(F.min(F.when(F.col("role") == "system", F.struct("turn", "text"))).alias("system"))
+    # One struct as key: equal also where its fields are null, so that joins and windows share one shuffle of the texts.
+    key = F.struct("conv_id", F.floor(F.col("turn") / CHUNK).alias("chunk")).alias("key")
+    t = turns.select(key, "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
+    before = W.Window.partitionBy("key.conv_id").orderBy("key.chunk")
+    ahead, whole = before.rowsBetween(W.Window.unboundedPreceding, -1), W.Window.partitionBy("key.conv_id")
+    system = t.groupBy("key").agg(F.min(F.when(F.col("role") == "system", F.struct("turn", "text"))).alias("system"))
     system = system.withColumn("system", F.min("system").over(whole)).withColumn("lead_text", F.left("system.text", F.lit(4 * (budget // 2 - 4))))
-    t = with_chunks(t, system, "system", "lead_text")
+    t = t.join(system, "key")
     lead = F.coalesce(turn_tokens(F.col("lead_text")), F.lit(0).cast("long"))
     t = t.withColumns({"lead": lead, "room": F.lit(budget - history) - lead})
     is_system = F.col("system").isNotNull() & (F.col("role") == "system") & F.col("turn").eqNullSafe(F.col("system.turn")) & (F.col("text") == F.col("system.text"))
@@ -79,15 +75,15 @@ def _placed(turns: DataFrame, budget: int, history: int) -> DataFrame:
     n_parts = F.greatest(F.lit(1), F.ceil(F.length("text") / part))
     t = t.withColumns({"is_system": is_system, "part": part, "n_parts": n_parts, "tokens": F.ceil(F.length("text") / 4) + 4 * n_parts}).drop("system")
 
-    inner = W.Window.partitionBy("conv_id", "chunk").orderBy("turn", "role", "text").rowsBetween(W.Window.unboundedPreceding, 0)
+    inner = W.Window.partitionBy("key").orderBy("turn", "role", "text").rowsBetween(W.Window.unboundedPreceding, 0)
     t = t.withColumn("start", F.sum("tokens").over(inner) - F.col("tokens"))
-    chunks = t.groupBy("conv_id", "chunk").agg(F.sum("tokens").alias("sum"), F.min(F.when(F.col("is_system"), F.col("start"))).alias("system_at"))
+    chunks = t.groupBy("key").agg(F.sum("tokens").alias("sum"), F.min(F.when(F.col("is_system"), F.col("start"))).alias("system_at"))
     chunks = chunks.withColumn("off", F.coalesce(F.sum("sum").over(ahead), F.lit(0)))
     chunks = chunks.withColumn("system_at", F.min(F.col("system_at") + F.col("off")).over(whole))
-    t = with_chunks(t, chunks, "off", "system_at")
+    t = t.join(chunks.select("key", "off", "system_at"), "key")
 
     pieces = F.when(F.col("n_parts") == 1, F.array("text")).otherwise(F.regexp_extract_all("text", F.concat(F.lit("(?s).{1,"), F.col("part"), F.lit("}")), F.lit(0)))
-    t = t.select("conv_id", "role", "is_system", "lead", "lead_text", "room", "system_at", (F.col("start") + F.col("off")).alias("turn_at"), F.posexplode_outer(pieces).alias("k", "text"))
+    t = t.select("key.conv_id", "role", "is_system", "lead", "lead_text", "room", "system_at", (F.col("start") + F.col("off")).alias("turn_at"), F.posexplode_outer(pieces).alias("k", "text"))
     return t.withColumns({"start": F.col("turn_at") + F.col("k") * F.col("room"), "tokens": turn_tokens(F.col("text"))})
 
 
