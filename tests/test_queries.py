@@ -12,7 +12,7 @@ SF = "/root/testdata/sf0.001"
 SAMPLE = [
     "extract_core", "page_blocks", "fsm_output_valid", "tag_inventory", "canonical_url", "inference_share", "propagated_main", "markdown", "html_render", "code_blocks", "code_language", "table_markdown", "list_markdown",
     "formula_modes", "thread_extract", "rulebook_main", "strip_all_text", "exact_dedup", "lang_vote", "q_reasons", "q_gram_repetition", "fuzzy_dedup", "attrition_rows", "benchmark_overlap", "token_budget", "rouge5_rulebook",
-    "ratio_histogram", "stratified_pairs", "teds_tables", "lm_cross_entropy", "join_interval", "join_asof", "join_salted", "track_cube", "win_range_frame", "set_except_all", "fn_json", "stream_session", "stream_join", "warc_roundtrip", "udtf_blocks",
+    "ratio_histogram", "stratified_pairs", "teds_tables", "lm_cross_entropy", "budget_curve", "join_interval", "join_asof", "join_salted", "track_cube", "win_range_frame", "set_except_all", "fn_json", "stream_session", "stream_join", "warc_roundtrip", "udtf_blocks",
 ]
 
 

@@ -112,3 +112,85 @@ def test_template_clusters_lose_no_link(spark, monkeypatch, rounds):
                 lo, hi = sorted((comp[a[0]], comp[b[0]]))
                 comp = {k: lo if v == hi else v for k, v in comp.items()}
     assert len(set(comp.values())) > 3 and len(set(got.values())) == len(set(comp.values())) == len(set(zip(got.values(), (comp[k] for k in got))))
+
+
+def test_rouge_of_rows_by_hand(spark):
+    rng = random.Random(9)
+    rows = [(k, *(" ".join(rng.choice("ab.") for _ in range(rng.randint(0, 30))) for _ in range(2))) for k in range(80)] + [(80, None, "a b"), (81, None, None), (82, "汉字", "汉字 x"), (80, "a", "a")]
+    df = spark.createDataFrame(rows, "page_id long, pred string, gold string")
+    got = Counter((r.page_id, r.p, r.r, r.f1) for r in M.rouge(df, n=3).collect())
+    want = Counter((k, *(round(v, 6) for v in PM.rouge_n(PM.tokens(a), PM.tokens(b), 3))) for k, a, b in rows)
+    assert got == want
+    plan = M.rouge(df)._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
+    assert "Exchange" not in plan
+
+
+def test_edit_distance_by_table():
+    rng = random.Random(2)
+    for _ in range(300):
+        a, b = ("".join(rng.choice("abc") for _ in range(rng.randint(0, 12))) for _ in range(2))
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        assert PM.edit_distance(a, b) == row[-1]
+
+
+def test_elements_meet_their_best_partner():
+    assert PM.aligned([], []) == 1.0 and PM.aligned(["x"], []) == 0.0 and PM.aligned([], ["x"]) == 0.0
+    assert PM.aligned(["b", "a"], ["a", "b"]) == 1.0  # order does not matter
+    assert PM.aligned(["abcd"], ["abcd", "abcd"]) == 0.5  # a partner serves once
+    assert PM.aligned(["abcx", "zz"], ["abcd", "zz", "q"]) == pytest.approx((0.75 + 1) / 3)
+
+
+def test_a_win_by_place_is_a_tie():
+    assert PM.judged("x", "y", lambda a, b: "first") == ("tie", False)
+    longer = lambda a, b: "tie" if len(a) == len(b) else "first" if len(a) > len(b) else "second"
+    assert [PM.judged(a, b, longer) for a, b in (("xx", "y"), ("x", "yy"), ("x", "y"))] == [("a", True), ("b", True), ("tie", True)]
+    stop = frozenset(("the", "of"))
+    assert PM.blind_score("The end of the long story\nHome About", stop) == 4 and PM.blind_score(None, stop) == 0
+
+
+def test_ngram_model_by_counting(spark):
+    import math
+
+    rng = random.Random(5)
+    train, held = ([" ".join(rng.choice("abcd") for _ in range(rng.randint(0, 12))) for _ in range(n)] for n in (30, 8))
+    frames = [spark.createDataFrame([(x,) for x in xs] + [(None,)], "text string") for xs in (train, held)]
+    words = [x.split() for x in train]
+    uni = Counter(w for x in words for w in x)
+    for order in (1, 2, 3):
+        bits, n = 0.0, 0
+        for x in held:
+            x = x.split()
+            for i, w in enumerate(x):
+                p = (uni[w] + 0.5) / (uni.total() + 0.5 * (len(uni) + 1))
+                for k in range(2, min(order, i + 1) + 1):
+                    gram, history = x[i - k + 1 : i + 1], x[i - k + 1 : i]
+                    c = sum(y[j : j + k] == gram for y in words for j in range(len(y) - k + 1))
+                    h = sum(y[j : j + k - 1] == history for y in words for j in range(len(y) - k + 1))
+                    p = (c + 2 * p) / (h + 2)
+                bits, n = bits - math.log2(p), n + 1
+        got = M.ngram_cross_entropy(*frames, order=order).first().bits
+        assert got == pytest.approx(bits / n, abs=1e-4)
+    assert M.ngram_cross_entropy(*frames, order=1).first().bits == M.cross_entropy(*frames).first().bits
+
+
+def test_code_formulas_and_tables_are_content():
+    from webtext.functions.content import units
+
+    pages = {
+        "code": "<p>Run this:</p><pre><code>x = 1</code></pre><p>Done.</p>",
+        "display_formula": '<p>Then</p><script type="math/tex; mode=display">a + b</script><p>holds.</p>',
+        "table": "<p>See.</p><table><tr><th>a</th></tr><tr><td>1</td></tr></table>",
+    }
+    for kind, body in pages.items():
+        main = E.labelled_html(f'<html><body><ul class="nav"><li><a href="/">Home</a></li></ul>{body}<script>var a = 1</script><div class="footer"><pre>© 2024</pre></div></body></html>')
+        types = [u["type"] for u in units(main)]
+        assert kind in types and "paragraph" in types and "Home" not in main and "var a" not in main and "2024" not in main
+
+
+def test_row_stages_are_the_attrition_before_fuzzy(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    assert C.row_stages(docs).count() == {r.name: r.docs_out for r in C.attrition(docs, k=8, bands=4)[1].collect()}["safety"]

@@ -69,6 +69,15 @@ def is_layout_table(table: Node, cut: int = 3) -> bool:
     return evidence > cut
 
 
+def is_tex(node: Node) -> bool:
+    """A formula that is written as a script (type math/tex), which is content."""
+    return node.tag == "script" and node.attrs.get("type", "").startswith("math/")
+
+
+def _shows(node: Node) -> bool:
+    return node.tag in ("img", "video", "audio", "math") or is_tex(node)
+
+
 def _breaks_below(node: Node) -> bool:
     return any(n.tag in BREAK for c in node.children for n in c.walk())
 
@@ -90,7 +99,7 @@ def chunk(root: Node, cfg: Config = Config()) -> list[Block]:
                 run.pop(0)
             while run and run[-1].tag == "" and not run[-1].text.strip():
                 run.pop()
-            if run and any(n.tag in ("img", "video", "audio", "math") or (n.tag == "" and n.text.strip()) for r in run for n in r.walk()):
+            if run and any(_shows(n) or (n.tag == "" and n.text.strip()) for r in run for n in r.walk()):
                 add(list(run), "#run", owners[-1])
             runs[-1] = []
 
@@ -100,14 +109,14 @@ def chunk(root: Node, cfg: Config = Config()) -> list[Block]:
                 flush()
                 work.pop(), owners.pop(), runs.pop()
                 continue
-            if child.tag in ("head", "script", "style"):
+            if child.tag in ("head", "script", "style") and not is_tex(child):
                 continue
             if child.tag in ATOM and not (child.tag == "table" and is_layout_table(child, cfg.layout_cut)):
                 flush()
                 add([child], child.tag, child)
             elif child.tag in BREAK and not _breaks_below(child):
                 flush()
-                if child.tag == "hr" or visible_text(child) or any(True for _ in child.elements("img", "video", "audio", "math")):
+                if child.tag == "hr" or visible_text(child) or any(_shows(n) for n in child.walk()):
                     add([child], child.tag, child)
             elif child.tag in BREAK or (child.tag and _breaks_below(child)):
                 flush()
@@ -129,7 +138,7 @@ def _open(node: Node, keep: tuple[str, ...] | None) -> str:
 
 def is_dropped(block: Block, drop: frozenset[str]) -> bool:
     """Whether all of the block lies in removed elements."""
-    return bool(drop) and (any(a.tag in drop for a in block.nodes[0].ancestors()) or all(n.tag in drop for n in block.nodes))
+    return bool(drop) and (any(a.tag in drop for a in block.nodes[0].ancestors()) or all(n.tag in drop and not is_tex(n) for n in block.nodes))
 
 
 def simplify(block: Block, cfg: Config = Config()) -> tuple[str, bool]:
@@ -149,7 +158,7 @@ def simplify(block: Block, cfg: Config = Config()) -> tuple[str, bool]:
             budget -= len(text)
             out.append(text)
             return
-        if node.tag in drop and not node.attrs.get("type", "").startswith("math/"):
+        if node.tag in drop and not is_tex(node):
             return
         children = node.children
         limit = {"table": cfg.rows, "tbody": cfg.rows, "tr": cfg.cells, "ul": cfg.items, "ol": cfg.items, "dl": cfg.items}.get(node.tag, 0)

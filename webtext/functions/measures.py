@@ -52,8 +52,18 @@ def rouge_l(pred: list[str], gold: list[str]) -> float:
 
 
 def edit_distance(a: str, b: str) -> int:
+    """Levenshtein distance; what both begin and end with costs nothing and is left out first."""
     if len(a) < len(b):
         a, b = b, a
+    at = 0
+    while at < len(b) and a[at] == b[at]:
+        at += 1
+    to = 0
+    while to < len(b) - at and a[-1 - to] == b[-1 - to]:
+        to += 1
+    a, b = a[at : len(a) - to], b[at : len(b) - to]
+    if not b:
+        return len(a)
     row = list(range(len(b) + 1))
     for i, x in enumerate(a, 1):
         before, row[0] = row[0], i
@@ -138,9 +148,50 @@ def teds(a: str | None, b: str | None, structure_only: bool = False, most: int =
         return 1.0
     if x is None or y is None:
         return 0.0
+    if x == y:
+        return 1.0
     n = max(tree_size(x), tree_size(y))
     if n > most:
         paired = sum(tree_distance(r, s, structure_only) for r, s in zip(x[2], y[2]))
         rest = sum(map(tree_size, (x[2] if len(x[2]) > len(y[2]) else y[2])[min(len(x[2]), len(y[2])) :]))
         return 1 - (paired + rest) / n
     return 1 - tree_distance(x, y, structure_only) / n
+
+
+def aligned(pred: list[str], gold: list[str], similarity=edit_similarity) -> float:
+    """Mean over gold of the similarity of each element with its predicted partner: equal ones first, then the best pair left; without one 0."""
+    if not gold:
+        return 1.0 if not pred else 0.0
+    left = Counter(pred)
+    rest, score = [], 0.0
+    for g in gold:
+        if left[g]:
+            left[g] -= 1
+            score += 1
+        else:
+            rest.append(g)
+    pairs = sorted(((similarity(p, g), -i, -j) for i, p in enumerate(left.elements()) for j, g in enumerate(rest)), reverse=True)
+    used, met = set(), set()
+    for s, i, j in pairs:
+        if i not in used and j not in met:
+            used.add(i)
+            met.add(j)
+            score += s
+    return score / len(gold)
+
+
+def blind_score(text: str | None, stop: frozenset[str]) -> float:
+    """What a text holds that reads like sentences, less what does not: words of lines with two stop words and five words, less all others."""
+    score = 0
+    for line in (text or "").split("\n"):
+        words = _WORD.findall(line.lower())
+        good = len(words) >= 5 and sum(w in stop for w in words) >= 2
+        score += len(words) if good else -len(words)
+    return float(score)
+
+
+def judged(a: str | None, b: str | None, judge) -> tuple[str, bool]:
+    """(winner: a, b or tie; whether both orders agree) of a judge that is asked in both orders and says first, second or tie: a win by place is a tie."""
+    names = {"first": "a", "second": "b", "tie": "tie"}, {"first": "b", "second": "a", "tie": "tie"}
+    one, two = names[0][judge(a, b)], names[1][judge(b, a)]
+    return (one, True) if one == two else ("tie", False)

@@ -284,6 +284,13 @@ def fuzzy_dedup(docs: DataFrame, k: int = 112, bands: int = 14, verify: float |
 # -- the whole pipeline
 
 
+def row_stages(docs: DataFrame, p: Policy = Policy()) -> DataFrame:
+    """The documents that exact dedup, language, quality and safety keep: `attrition` up to fuzzy dedup, without its counts."""
+    ok = lang_vote().isin(*p.languages) & (F.size(reasons(p)) == 0) & ~unsafe_words()
+    kept = measures(docs).where(ok).select("doc_id")
+    return docs.join(kept.join(exact_dedup(docs), "doc_id", "left_semi"), "doc_id", "left_semi")
+
+
 def attrition(docs: DataFrame, p: Policy = Policy(), k: int = 64, bands: int = 16, portable: bool = False) -> tuple[DataFrame, DataFrame]:
     """(survivors, one row per stage with docs and tokens left). Flags of all row-wise stages come from one scan."""
     tokens = F.size(_words()).cast("long")

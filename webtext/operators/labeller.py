@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from webtext.functions.blocks import chunk
 from webtext.functions.dom import parse
 from webtext.functions.scoring import FEATURES, features
+from webtext.operators.components import cut
 from webtext.operators.passes import row_pass
 
 
@@ -44,3 +45,19 @@ def block_f1(judged: DataFrame) -> DataFrame:
     n = lambda g, y: F.count(F.when((F.col("gold") == g) & (F.col("label") == y), 1))
     x = judged.agg(n(1, 1).alias("tp"), n(0, 1).alias("fp"), n(1, 0).alias("fn"))
     return x.withColumn("f1", F.round(2 * F.col("tp") / (2 * F.col("tp") + F.col("fp") + F.col("fn")), 4))
+
+
+def improve(pool: DataFrame, held: DataFrame, start: int = 1, rounds: int = 3) -> DataFrame:
+    """round, n_train (pages), n_failed, tp, fp, fn, f1 on held. The first model is fitted on `start` pages of pool, in the order of a hash.
+
+    Each round lists the pool's pages with a wrong block and adds them to the training set; the set of ids is written out each round.
+    """
+    ids = cut(pool.select("page_id").distinct().orderBy(F.xxhash64("page_id", F.lit("start")), "page_id").limit(start))
+    out = None
+    for k in range(rounds):
+        model = fit(pool.join(ids, "page_id", "left_semi"))
+        failed = cut(predict(model, pool).where("gold <> label").select("page_id").distinct())
+        row = block_f1(predict(model, held)).withColumns({"round": F.lit(k), "n_train": F.lit(ids.count()), "n_failed": F.lit(failed.count())})
+        out = row if out is None else out.unionByName(row)
+        ids = cut(ids.unionByName(failed).distinct())
+    return out

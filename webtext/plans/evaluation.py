@@ -8,14 +8,17 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from webtext.functions import baselines as B
+from webtext.functions.blocks import assemble, block_rows
 from webtext.functions.content import plain_text, units
 from webtext.functions.dom import parse
+from webtext.functions.measures import aligned, blind_score, judged, teds
 from webtext.functions.measures import edit_similarity as py_edit
-from webtext.functions.measures import teds
+from webtext.functions.scoring import _ALL_STOP, lexicon
 from webtext.operators import extract as X
 from webtext.operators import labeller as L
 from webtext.operators import measures as M
-from webtext.operators.corpus import POLICIES, attrition
+from webtext.operators.components import cut
+from webtext.operators.corpus import POLICIES, attrition, exact_dedup, overlap, row_stages
 from webtext.operators.passes import row_pass
 from webtext.plans import fixtures as FX
 from webtext.plans.extraction import GOLD
@@ -167,31 +170,24 @@ def _(t):
     return row_pass(FX.table_simple(t).select("fx_id", "html"), run, "fx_id long, kind string, teds double", many=True)
 
 
-@query("structured_report")
-def _(t):
-    """Code and formula edit similarity, table TEDS, by method (W4): density and rule book lose structure."""
+def labelled_html(page):
+    """The main HTML of one page by the lexicon, as `extract.core` keeps it."""
+    root, own, rows = block_rows(page)
+    return assemble(root, [b for b, (o, m), r in zip(own, lexicon(own), rows, strict=True) if m > o and r["simplified"].strip()])
 
-    def outputs(h):
-        main = X_main(h)
-        return {"labelled": main, "density": B.density(h), "rulebook": "<p>" + B.rulebook(h).replace("\n", "</p><p>") + "</p>"}
 
-    def X_main(h):
-        from webtext.functions.blocks import assemble, block_rows
-        from webtext.functions.scoring import lexicon
-
-        root, own, _ = block_rows(h)
-        return assemble(root, [b for b, (o, m) in zip(own, lexicon(own), strict=True) if m > o])
+def _structured(t, align: bool):
+    """kind, method, n, score over all fixtures. align: element by element; else code and formulas in order as one text, tables by the best."""
 
     def score(kind, h, gold):
         out = []
-        for name, main in outputs(h).items():
-            us = units(main)
-            if kind == "code":
-                s = py_edit("\n".join(u["text"] for u in us if u["type"] == "code"), gold)
-            elif kind == "formula":
-                s = py_edit("\n".join(u["text"] for u in us if u["type"].endswith("formula")), gold)
+        for name, main in {"labelled": labelled_html(h), "density": B.density(h), "rulebook": "<p>" + B.rulebook(h).replace("\n", "</p><p>") + "</p>"}.items():
+            if kind == "table":
+                found = [n.markup for n in parse(main).elements("table")]
+                s = aligned(found, [gold], teds) if align else max([teds(m, gold) for m in found], default=0.0)
             else:
-                s = max([teds(n.markup, gold) for n in parse(main).elements("table")], default=0.0)
+                found = [u["text"] for u in units(main) if u["type"] == kind or u["type"].endswith(f"_{kind}")]
+                s = aligned(found, [gold]) if align else py_edit("\n".join(found), gold)
             out.append((kind, name, s))
         return out
 
@@ -202,6 +198,18 @@ def _(t):
     return s.groupBy("kind", "method").agg(F.count("*").alias("n"), F.round(F.avg("score"), 4).alias("score"))
 
 
+@query("structured_report")
+def _(t):
+    """Code and formula edit similarity, table TEDS, by method (W4): density and rule book lose structure."""
+    return _structured(t, align=False)
+
+
+@query("structured_report_aligned")
+def _(t):
+    """The same with each gold element against its best partner; a missing one scores 0."""
+    return _structured(t, align=True)
+
+
 @query("element_distribution", "SELECT 'code' AS kind, (SELECT count(*) FROM events)::BIGINT AS n UNION ALL SELECT 'formula', count(*)::BIGINT FROM lineitem UNION ALL SELECT 'table', (SELECT count(DISTINCT n_regionkey) FROM nation)::BIGINT")
 def _(t):
     one = lambda df, kind: df.agg(F.lit(kind).alias("kind"), F.count("*").alias("n"))
@@ -245,12 +253,17 @@ def _(t):
 
 def _density_pairs(t):
     """Labelled (a) against density (b) with the gold judge: the higher F1 wins (stand-in for the LLM judge)."""
-    a, b = METHODS["labelled"](t("pages")), METHODS["density"](t("pages"))
-    lens = a.select("page_id", F.length("pred").alias("la")).join(b.select("page_id", F.length("pred").alias("lb")), "page_id")
-    s = _scored(t("pages"), FX.gold(t), {k: METHODS[k] for k in ("labelled", "density")}).groupBy("page_id").pivot("method", ["labelled", "density"]).agg(F.max("f1"))
+    gold = FX.gold(t)
+
+    def one(name, f1, chars):
+        pairs = METHODS[name](t("pages")).join(gold, "page_id").withColumnRenamed("gold_text", "gold")
+        return M.rouge(pairs, lengths=True).select("page_id", F.col("f1").alias(f1), F.coalesce("n_chars", F.lit(0)).alias(chars))
+
+    x = one("labelled", "labelled", "la").join(one("density", "density", "lb"), "page_id")
     d = F.col("labelled") - F.col("density")
-    x = lens.join(s, "page_id").withColumn("bin", M.ratio_bin(M.length_ratio(F.col("la"), F.col("lb"))))
-    return x.withColumn("winner", F.when(F.abs(d) < 0.001, "tie").when(d > 0, "a").otherwise("b"))
+    x = x.withColumn("bin", M.ratio_bin(M.length_ratio(F.col("la"), F.col("lb"))))
+    # thin rows, which reports read more than once
+    return cut(x.withColumn("winner", F.when(F.abs(d) < 0.001, "tie").when(d > 0, "a").otherwise("b")))
 
 
 @query("pair_winner")
@@ -258,6 +271,34 @@ def _(t):
     return _density_pairs(t).select("page_id", "bin", "winner")
 
 
+def _blind(first, second):
+    a, b = blind_score(first, _ALL_STOP), blind_score(second, _ALL_STOP)
+    return "tie" if abs(a - b) < 1 else "first" if a > b else "second"
+
+
+def _blind_pairs(t):
+    """Both extractions of a page and their judgement in one row: nothing is joined or shuffled."""
+
+    def run(page_id, page):
+        a, b = plain_text(labelled_html(page)), plain_text(B.density(page))
+        return (page_id, len(a), len(b), *judged(a, b, _blind))
+
+    x = row_pass(t("pages").select("page_id", "html"), run, "page_id long, la long, lb long, winner string, agreed boolean")
+    return x.select("page_id", M.ratio_bin(M.length_ratio(F.col("la"), F.col("lb"))).alias("bin"), "winner", "agreed")
+
+
+@query("pair_winner_blind")
+def _(t):
+    """A judge without gold that is asked in both orders (D11): stop words and sentences stand in for a language model."""
+    return _blind_pairs(t)
+
+
+@query("weighted_win_rate_blind")
+def _(t):
+    p = cut(_blind_pairs(t))
+    return M.weighted_win_rate(p, M.win_rates(M.stratified(p, "bin", "page_id", PER_BIN))).withColumn("standin", F.lit(True))
+
+
 @query("win_rate_by_bin")
 def _(t):
     return M.win_rates(M.stratified(_density_pairs(t), "bin", "page_id", PER_BIN))
@@ -357,6 +398,15 @@ def _(t):
     return reduce(lambda a, b: a.unionByName(b), out)
 
 
+@query("improvement_loop")
+def _(t):
+    """Block F1 on other hosts over three rounds, each of which adds the pages that the model fails on to its training set."""
+    gold = L.examples(t("pages")).select("page_id", "block_id", "gold")
+    x = cut(L.examples(FX.shuffled(t)).drop("gold").join(gold, ["page_id", "block_id"]))
+    even = F.xxhash64(F.regexp_extract("url", r"://([^/]+)", 1)) % 2 == 0
+    return L.improve(x.where(even), x.where(~even), start=1, rounds=3)
+
+
 # -- downstream stand-in
 def _entropy_sql(train: str) -> str:
     tok = r"list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')"
@@ -370,15 +420,39 @@ def _(t):
     return M.cross_entropy(t("documents"), t("benchmark")).withColumn("standin", F.lit(True))
 
 
-@query("budget_curve")
+_BUDGET_SQL = rf"""w AS (SELECT ('0x' || substr(md5(doc_id::VARCHAR), 1, 7))::BIGINT / 268435456.0 AS u, unnest(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')) AS w FROM documents),
+b AS (SELECT unnest({list(M.BUDGETS)}::DOUBLE[]) AS share), v AS (SELECT count(DISTINCT w) AS v FROM w),
+h AS (SELECT w, count(*) AS h FROM (SELECT unnest(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')) AS w FROM benchmark) GROUP BY 1),
+c AS (SELECT share, w, count(*) AS c FROM w JOIN b ON u < share GROUP BY 1, 2), n AS (SELECT share, coalesce(sum(c), 0) AS n FROM b LEFT JOIN c USING (share) GROUP BY 1)
+SELECT share, round(-sum(h * log2((coalesce(c, 0) + 0.5) / (n + 0.5 * (v + 1)))) / sum(h), 4) AS bits, true AS standin FROM n CROSS JOIN h CROSS JOIN v LEFT JOIN c USING (share, w) GROUP BY share"""
+
+
+@query("budget_curve", f"WITH {_BUDGET_SQL}")
 def _(t):
-    """Cross-entropy over nested hash-ordered token budgets."""
-    h = F.md5(F.col("doc_id").cast("string").cast("binary"))
-    x = t("documents").withColumn("u", F.conv(F.substring(h, 1, 7), 16, 10).cast("double") / 16**7)
-    parts = [M.cross_entropy(x.where(F.col("u") < s), t("benchmark"), vocabulary=x).withColumn("share", F.lit(s)) for s in (0.05, 0.2, 0.5, 1.0)]
+    """Cross-entropy over 15 nested hash-ordered token budgets."""
+    return M.budget_curve(t("documents"), t("benchmark")).withColumn("standin", F.lit(True))
+
+
+@query("lm_order_curve")
+def _(t):
+    """Bits per token of the benchmark under models of order 1, 2 and 3 of `documents`, with and without documents that hold its passages."""
+    docs = t("documents")
+    clean = docs.join(cut(overlap(docs, t("benchmark")).select("doc_id").distinct()), "doc_id", "left_anti")
+    parts = [M.ngram_cross_entropy(d, t("benchmark"), order=k).select(F.lit(name).alias("corpus"), F.lit(k).alias("order"), "bits") for name, d in (("all", docs), ("decontaminated", clean)) for k in (1, 2, 3)]
     return reduce(lambda a, b: a.unionByName(b), parts).withColumn("standin", F.lit(True))
 
 
+@query("corpus_downstream")
+def _(t):
+    """Four corpora that differ in their extractor only, after exact dedup and the row-wise stages, scored on the benchmark by orders 1 and 3."""
+    out = []
+    for name, run in METHODS.items():
+        docs = cut(run(t("pages")).select(F.col("page_id").alias("doc_id"), F.col("pred").alias("text")))
+        kept = cut(row_stages(docs, POLICIES["default"]).select("text"))
+        out += [M.ngram_cross_entropy(kept, t("benchmark"), order=k).select(F.lit(name).alias("extractor"), F.lit(k).alias("order"), "bits") for k in (1, 3)]
+    return reduce(lambda a, b: a.unionByName(b), out).withColumn("standin", F.lit(True))
+
+
 @query("corpus_pair")
 def _(t):
     """Two corpora that differ in their extractor only, through the same stages."""
@@ -389,6 +463,27 @@ def _(t):
     return out[0].unionByName(out[1])
 
 
+@query("density_corpus_attrition")
+def _(t):
+    """The density corpus through the same stages."""
+    docs = METHODS["density"](t("pages")).select(F.col("page_id").alias("doc_id"), F.col("pred").alias("text"))
+    return attrition(docs, POLICIES["default"])[1]
+
+
+@query("snapshot_build")
+def _(t):
+    """Each snapshot (hash half of the sources) built by itself, then both with equal texts across them kept once."""
+    d = t("documents")
+    half = F.pmod(F.crc32(F.coalesce("source", F.lit("")).cast("binary")), F.lit(2))
+    kept, rows = [], []
+    for s in (0, 1):
+        left, stages = attrition(d.where(half == s), POLICIES["default"])
+        kept.append(left.select("doc_id", "text"))
+        rows.append(stages.withColumn("snapshot", F.lit(str(s))))
+    both = kept[0].unionByName(kept[1])
+    once = exact_dedup(both).select("doc_id")
+    merged = both.join(once, "doc_id", "left_semi").agg(F.lit(6).alias("stage"), F.lit("merged").alias("name"), F.count("*").alias("docs_out"), F.coalesce(F.sum(F.size(M.tokens("text"))), F.lit(0)).cast("long").alias("tokens_out"), F.lit("both").alias("snapshot"))
+    return rows[0].unionByName(rows[1]).unionByName(merged)
 
 
 @query("quality_model_auc")
