@@ -2,6 +2,9 @@
 
 import duckdb
 
+from webtext.functions.blocks import assemble, block_rows
+from webtext.functions.content import plain_text
+from webtext.functions.scoring import lexicon
 from webtext.plans import CATALOGUE
 
 
@@ -16,3 +19,20 @@ def test_shares_of_repeated_grams_round_as_sql_does(spark, tmp_path):
     want = dict(zip([d[0] for d in cur.description], cur.fetchone(), strict=True))
     assert want["dup5"] == 0.007813
     assert q.run(spark, str(tmp_path)).collect()[0].asDict() == want
+
+
+def test_entities_that_were_cut_off_stay_as_they_stand():
+    """A heading cut within an entity; the SQL decodes whole entities only."""
+    page = '<html><body><article><h1>a &amp;&amp;&amp</h1><p>Some words &am that say something, &#38; more &eacute; &ampx; &nosuch;.</p></article></body></html>'
+    root, blocks, _ = block_rows(page)
+    assert [b.text for b in blocks] == ["a &&&amp", "Some words &am that say something, & more é &ampx; &nosuch;."]
+    assert plain_text(assemble(root, blocks)).startswith("a &&&amp\n")
+
+
+def test_a_short_last_paragraph_of_an_article_is_main():
+    page = (
+        '<html><body><nav><a href="/">Home</a></nav><article><h1>Words of the day</h1><p>The first of the words that are said in this text.</p><p>Ti</p></article>'
+        '<div class="ad"><p>Buy</p></div><footer>&copy; host</footer></body></html>'
+    )
+    blocks = block_rows(page)[1]
+    assert [b.text for b, (other, main) in zip(blocks, lexicon(blocks), strict=True) if main > other] == ["Words of the day", "The first of the words that are said in this text.", "Ti"]
