@@ -36,3 +36,15 @@ def test_a_short_last_paragraph_of_an_article_is_main():
     )
     blocks = block_rows(page)[1]
     assert [b.text for b, (other, main) in zip(blocks, lexicon(blocks), strict=True) if main > other] == ["Words of the day", "The first of the words that are said in this text.", "Ti"]
+
+
+def test_streams_read_tables_of_many_files_and_keep_rows_off_the_driver(spark, tmp_path):
+    """Tables written by Spark are folders; what a stream gives is read from files, not held by a memory sink."""
+    for name in ("pages", "events"):
+        spark.read.parquet(f"/root/testdata/sf0.001/{name}.parquet").repartition(3).write.parquet(f"{tmp_path}/{name}.parquet")
+    got = CATALOGUE["stream_extract"].run(spark, str(tmp_path))
+    assert {tuple(r) for r in got.collect()} == {tuple(r) for r in CATALOGUE["extract_core"].run(spark, "/root/testdata/sf0.001").collect()}
+    for name in ("stream_session", "stream_join"):
+        whole, parts = (CATALOGUE[name].run(spark, folder) for folder in ("/root/testdata/sf0.001", str(tmp_path)))
+        assert sorted(map(tuple, whole.collect())) == sorted(map(tuple, parts.collect())) != []
+        assert all(f.endswith(".parquet") for f in whole.inputFiles()) and whole.inputFiles()

@@ -63,9 +63,9 @@ def _(t):
 
 @query("stream_extract", MAIN)
 def _(t):
-    out, mark = tempfile.mkdtemp(prefix="webtext-extracted-"), tempfile.mkdtemp(prefix="webtext-mark-")
+    out, mark = S.shared_folder(t.spark, "webtext-extracted-"), S.shared_folder(t.spark, "webtext-mark-")
     S.extract_into(S.file_stream(t.spark, f"{t.dir}/pages.parquet"), out, lambda b: X.core(b).select("page_id", "main_text"), mark)
-    return t.spark.read.parquet(out).select("page_id", "main_text")
+    return t.spark.read.schema("page_id long, main_text string").parquet(out).select("page_id", "main_text")
 
 
 @query("stream_new_template")
