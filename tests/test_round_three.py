@@ -5,6 +5,8 @@ import duckdb
 from webtext.functions.blocks import assemble, block_rows
 from webtext.functions.content import plain_text
 from webtext.functions.scoring import lexicon
+from webtext.operators import corpus as C
+from webtext.operators.passes import distinct_rows
 from webtext.plans import CATALOGUE
 
 
@@ -48,3 +50,16 @@ def test_streams_read_tables_of_many_files_and_keep_rows_off_the_driver(spark, t
         whole, parts = (CATALOGUE[name].run(spark, folder) for folder in ("/root/testdata/sf0.001", str(tmp_path)))
         assert sorted(map(tuple, whole.collect())) == sorted(map(tuple, parts.collect())) != []
         assert all(f.endswith(".parquet") for f in whole.inputFiles()) and whole.inputFiles()
+
+
+def test_trigrams_of_a_long_text_are_counted_once_through_it(spark):
+    text = ("abcd efgh " * 60_000).strip()
+    got = {r.gram: r.n for r in C.trigrams(spark.createDataFrame([(1, text), (2, ""), (3, None)], "doc_id long, text string"), "doc_id").where("doc_id = 1").collect()}
+    assert got == {"abc": 60_000, "bcd": 60_000, "cd ": 60_000, "d e": 60_000, " ef": 60_000, "efg": 60_000, "fgh": 60_000, "gh ": 60_000, "h a": 59_999, " ab": 60_000}
+
+
+def test_equal_pages_are_scored_once_and_counted_as_often_as_they_occur(spark):
+    """Formula pages repeat: a report scores each distinct one, and its counts are those of all rows."""
+    rows = [("a", "x", 1)] * 3 + [("a", "y", 2)] + [(None, "x", 1)]
+    got = distinct_rows(spark.createDataFrame(rows, "kind string, html string, k int")).collect()
+    assert sorted((r.kind or "", r.html, r.k, r.copies) for r in got) == [("", "x", 1, 1), ("a", "x", 1, 3), ("a", "y", 2, 1)]
