@@ -63,3 +63,11 @@ def test_equal_pages_are_scored_once_and_counted_as_often_as_they_occur(spark):
     rows = [("a", "x", 1)] * 3 + [("a", "y", 2)] + [(None, "x", 1)]
     got = distinct_rows(spark.createDataFrame(rows, "kind string, html string, k int")).collect()
     assert sorted((r.kind or "", r.html, r.k, r.copies) for r in got) == [("", "x", 1, 1), ("a", "x", 1, 3), ("a", "y", 2, 1)]
+
+
+def test_decoding_is_tried_on_the_blocks_of_all_pages(spark):
+    df = CATALOGUE["decode_ablation"].run(spark, "/root/testdata/sf0.001")
+    assert df.inputFiles()
+    rows = df.collect()
+    assert len(rows) == 3 * spark.read.parquet("/root/testdata/sf0.001/pages.parquet").count()
+    assert all(r.is_valid == (r.mode != "free") for r in rows)

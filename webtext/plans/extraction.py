@@ -126,21 +126,20 @@ def _(t):
 
 @query("decode_ablation")
 def _(t):
-    """Share of malformed outputs under random logits: free, fsm and fast decoding."""
+    """Malformed outputs under random logits, for the blocks of each page: free, fsm and fast decoding."""
     import random
 
-    def run(n):
-        out = []
+    def run(page_id, page):
+        out, n = [], len(block_rows(page)[1])
         for mode in ("free", "fsm", "fast"):
-            rng = random.Random(n)
+            rng = random.Random(page_id)
             rows = [[rng.gauss(0, 1) for _ in VOCAB] for _ in range(max(1, n))]
             logits = (lambda prefix, block: rows[len(prefix) % len(rows)]) if mode == "free" else (lambda prefix, block: rows[block - 1])
             wire = decode(n, logits, mode)
-            out.append((n, mode, int(valid(wire, n)), sum(labels_of(wire, n)[0])))
+            out.append((page_id, n, mode, int(valid(wire, n)), sum(labels_of(wire, n)[0])))
         return out
 
-    sizes = t.spark.createDataFrame([(n,) for n in (0, 1, 9, 10, 11, 99, 100)], "n int")
-    return row_pass(sizes, run, "n int, mode string, is_valid int, n_main int", many=True)
+    return row_pass(t("pages").select("page_id", "html"), run, "page_id long, n int, mode string, is_valid int, n_main int", many=True)
 
 
 @query("tag_inventory", r"""SELECT lower(tag) AS tag, count(DISTINCT page_id)::BIGINT AS n_pages, count(*)::BIGINT AS n_tags FROM (
