@@ -71,3 +71,9 @@ def test_decoding_is_tried_on_the_blocks_of_all_pages(spark):
     rows = df.collect()
     assert len(rows) == 3 * spark.read.parquet("/root/testdata/sf0.001/pages.parquet").count()
     assert all(r.is_valid == (r.mode != "free") for r in rows)
+
+
+def test_the_scaling_curve_parses_its_pages_once(spark):
+    df = CATALOGUE["scorer_scaling_curve"].run(spark, "/root/testdata/sf0.001")
+    assert "MapInArrow" not in df._jdf.queryExecution().toString()
+    assert sorted(r.share for r in df.collect()) == [10, 25, 50, 100]
