@@ -4,6 +4,7 @@ import hashlib
 import random
 from itertools import combinations
 
+from webtext.operators import components as K
 from webtext.operators import corpus as C
 
 
@@ -26,3 +27,32 @@ def test_links_between_members_that_are_not_near_the_least_id(spark, monkeypatch
     assert any(i not in stars and j not in stars for i, j in near)
     got = {r.doc_id: r.comp for r in C.fuzzy_dedup(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), 1, 1, 0.8, portable=True).collect()}
     assert got == want
+
+
+def test_copies_are_sketched_once_and_joined_in_few_jobs(spark):
+    """Copies are one node, null texts stay alone (as in the SQL), and small inputs need few jobs: the driver keeps figures of each."""
+    texts = ["a b c d e f g h"] * 5 + [None, None, "", " ", "x y", "X  y"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    sc = spark.sparkContext
+    sc.setJobGroup("fuzzy", "fuzzy")
+    got = {r.doc_id: r.comp for r in C.fuzzy_dedup(docs, 8, 4, 0.8, portable=True).collect()}
+    jobs = len(sc.statusTracker().getJobIdsForGroup("fuzzy"))
+    sc.setLocalProperty("spark.jobGroup.id", None)
+    assert got == {0: 0, 1: 0, 2: 0, 3: 0, 4: 0, 5: 5, 6: 6, 7: 7, 8: 7, 9: 9, 10: 9}
+    assert jobs < 30
+
+
+def test_portable_minima_are_those_of_the_native_ones(spark):
+    for text in ("", "one two", "a b c d e f a b c d e f g", "Ünï  cödé\twords in\na line of text"):
+        row = C.minhash(spark.createDataFrame([(1, text)], "doc_id long, text string"), 4, portable=True).first()
+        assert row.sig == C._md5_minima(text.lower().encode().split(), 4)
+
+
+def test_components_by_rounds_and_in_one_task_agree(spark, monkeypatch):
+    rng = random.Random(7)
+    edges = [(rng.randrange(400), rng.randrange(400)) for _ in range(220)] + [(k, k + 1) for k in range(1000, 1060)]
+    df = spark.createDataFrame(edges, "u long, v long")
+    want = K.least_labels([e for e in edges if e[0] != e[1]])
+    assert {r.node: r.comp for r in K.components(df).collect()} == want
+    monkeypatch.setattr(K, "ONE_TASK_EDGES", 0)
+    assert {r.node: r.comp for r in K.components(df).collect()} == want
