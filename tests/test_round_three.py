@@ -86,3 +86,13 @@ def test_policies_share_one_measuring_pass_and_agree_with_each_alone(spark):
     for name, policy in both.items():
         assert sorted(map(tuple, got[name][1].collect())) == sorted(map(tuple, C.attrition(docs, policy)[1].collect()))
         assert sorted(r.doc_id for r in got[name][0].select("doc_id").collect()) == sorted(r.doc_id for r in C.attrition(docs, policy)[0].select("doc_id").collect())
+
+
+def test_a_pair_of_corpora_extracts_its_pages_once(spark, monkeypatch):
+    """The extracted texts are written out before the stages, which read them several times."""
+    from webtext.plans import evaluation as E
+
+    seen = []
+    monkeypatch.setattr(E, "attrition", lambda docs, p: seen.append(docs) or (docs, docs.limit(1)))
+    CATALOGUE["corpus_pair"].run(spark, "/root/testdata/sf0.001")
+    assert len(seen) == 2 and all("MapInArrow" not in d._jdf.queryExecution().toString() for d in seen)
