@@ -56,3 +56,12 @@ def test_components_by_rounds_and_in_one_task_agree(spark, monkeypatch):
     assert {r.node: r.comp for r in K.components(df).collect()} == want
     monkeypatch.setattr(K, "ONE_TASK_EDGES", 0)
     assert {r.node: r.comp for r in K.components(df).collect()} == want
+
+
+def test_sets_differ_in_at_least_as_many_elements_as_parity_bits():
+    rng = random.Random(9)
+    for n in (5, 50, 500):
+        a = [rng.randrange(2**64) for _ in range(n)]
+        x, y = (C.np.array(sorted(set(v)), C.np.uint64) for v in (a, a[n // 4 :] + [rng.randrange(2**64)]))
+        bits = sum(int(v).bit_count() for v in (C.parity(x) ^ C.parity(y)).view(C.np.uint64))
+        assert 0 < bits <= len(set(x.tolist()) ^ set(y.tolist()))
