@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from webtext.llm.common import WordHashes, blobs, cut, row_key
+from webtext.llm.common import WordHashes, blobs, cut, freed, row_key
 from webtext.llm.graph import components
 from webtext.session import ship
 
@@ -231,13 +231,16 @@ def classes_of_nodes(nodes: DataFrame, docs: DataFrame, s: Settings) -> DataFram
     own = docs.join(wanted.withColumnsRenamed({"_id": "w_id", "_th": "w_th"}), F.col("_id").eqNullSafe(F.col("w_id")) & (F.col("_th") == F.col("w_th")), "left_semi")
     grams = cut(multisets(own.select("text"), s).dropDuplicates(["node"]))
     for turn in range(s.leader_rounds):
+        freed(docs.sparkSession)
         placed = members.join(labels, "node")
         order = F.struct(F.col("pop") if turn == 0 else F.xxhash64("node", F.lit(turn)), F.xxhash64("node"))
         lead = placed.groupBy("key").agg(F.max_by("node", order).alias("u"), F.max_by("comp", order).alias("lead_comp"), F.min("comp").alias("a"), F.max("comp").alias("b")).where("a <> b").select("key", "u", "lead_comp")
         pairs = cut(placed.join(lead, "key").where("comp <> lead_comp").select("u", F.col("node").alias("v")).distinct())
+        freed(docs.sparkSession)
         if pairs.isEmpty():
             return labels
         labels = _merge(labels, verified(pairs, grams, s))
+    freed(docs.sparkSession)
     # whatever buckets still span components: every pair across them that can reach the threshold at all
     placed = members.join(labels, "node")
     open_keys = placed.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b")).where("a <> b").select("key")
@@ -249,6 +252,7 @@ def classes_of_nodes(nodes: DataFrame, docs: DataFrame, s: Settings) -> DataFram
     shared = F.least(F.col("common"), F.col("kv"), (both - differ) / 2)
     within = (F.col("comp") < F.col("cv")) & (shared >= (both - shared) * s.threshold - 1e-9)
     pairs = cut(rest.withColumnRenamed("key", "k").join(other, (F.col("k") == F.col("key")) & within).select(F.col("node").alias("u"), "v").distinct())
+    freed(docs.sparkSession)
     return labels if pairs.isEmpty() else _merge(labels, verified(pairs, grams, s))
 
 
@@ -269,6 +273,7 @@ def linkable(rest: DataFrame, grams: DataFrame, s: Settings) -> DataFrame:
 
     own = grams.join(rest.select("node").distinct(), "node", "left_semi").select("node", (F.length("grams") / 8).cast("long").alias("weight"), unpacked("grams").alias("g"), odd("grams").alias("odd"))
     own = cut(own)
+    freed(own.sparkSession)
     alone = own.select("node", F.explode("g").alias("x")).groupBy("x").agg(F.count("*").alias("n"), F.any_value("node").alias("node")).where("n = 1").groupBy("node").agg(F.count("*").alias("u"))
     bits = [F.col("odd")[k].alias(f"b{k}") for k in range(s.parity_words)]
     known = own.select("node", "weight", *bits).join(alone, "node", "left").withColumn("common", F.col("weight") - F.coalesce("u", F.lit(0))).drop("u")
@@ -283,6 +288,7 @@ def placed_nodes(own: DataFrame, s: Settings = Settings()) -> tuple[DataFrame, D
     rows = cut(sketch(own, s))
     nodes = cut(rows.groupBy("node").agg(F.min("_id").alias("least"), F.min(F.struct(F.col("_id").isNull(), "_id", "_th")).alias("one"), F.any_value("bands").alias("bands")))
     labels = classes_of_nodes(nodes.select("node", "one._id", "one._th", "bands"), own, s)
+    freed(own.sparkSession)
     return rows, nodes.select("node", "least").join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -43,6 +44,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def freed(spark: SparkSession) -> None:
+    """Lets go of the shuffle files of what was cut off: Spark removes them when the driver has collected the plans that made them.
+
+    A driver with room to spare may not do that for a whole run, while every shuffle leaves files of each of its tasks.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def blobs(column: pa.Array) -> list[bytes | None]:
     """The UTF-8 bytes of a string column, None for null."""
     return column.cast(pa.large_binary()).to_pylist()
