@@ -232,3 +232,12 @@ def test_parity_bits_bound_the_difference():
         apart = len(np.setxor1d(a, b))
         assert differ <= apart and (differ - apart) % 2 == 0
     assert not bagminhash.parity(b"", 16).any()
+
+
+def test_places_of_ngrams_come_from_their_sort():
+    """No n-gram is looked up once more after it was sorted."""
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 2000):
+        tokens = rng.integers(0, 90, n).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        keys, places = ngram.placed(tokens)
+        assert (keys == np.unique(tokens)).all() and (keys[places] == tokens).all()

@@ -91,6 +91,16 @@ def grams(tokens: np.ndarray, starts: np.ndarray) -> list[np.ndarray]:
     return out
 
 
+def placed(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct keys, sorted, and the place of each key among them: one sort, where looking each up would cost several."""
+    sequence = np.argsort(keys)
+    keys = keys[sequence]
+    first = np.append(True, keys[1:] != keys[:-1])[: len(keys)]
+    places = np.empty(len(keys), np.int32)
+    places[sequence] = np.cumsum(first, dtype=np.int32) - 1
+    return keys[first], places
+
+
 def pack(arrays: list[np.ndarray], steps: bool) -> bytes:
     """64-bit numbers as eight planes of bytes, each compressed by itself: high ones are nearly all zero; steps: as differences, for sorted ones."""
     flat = np.concatenate([np.diff(x, prepend=_U(0)) if steps else x.astype(_U) for x in arrays])
@@ -156,10 +166,11 @@ def asked(docs: DataFrame, learn: str, bits: int, batch_bytes: int) -> DataFrame
             told = np.repeat(pc.fill_null(rows.column(learn), False).to_numpy().astype(bool), np.diff(np.append(starts, len(tokens))))
             keys, counts = [], []
             for k in grams(tokens, starts):
-                keys.append(np.unique(k))
-                own, n = np.unique(k[told], return_counts=True)
-                counts.append(np.zeros(len(keys[-1]), np.int64))
-                counts[-1][np.searchsorted(keys[-1], own)] = n
+                sequence = np.argsort(k)
+                k = k[sequence]
+                first = np.flatnonzero(np.append(True, k[1:] != k[:-1]))
+                keys.append(k[first])
+                counts.append(np.add.reduceat(told[sequence].astype(np.int64), first))
             check, at = digest(keys), [bounds(k, bits) for k in keys]
             out: dict[str, list] = {name: [] for name in ("part", "batch", "digest", "sizes", "keys", "counts")}
             for part in range(1 << bits):
@@ -214,11 +225,16 @@ class Automaton:
         #: Texts learned from, each of which begins in the state of starts and has one end.
         self.texts = int(counts[0][at]) if at < len(keys[0]) and keys[0][at] == END else 0
 
-    def run(self, tokens: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Count of each token, log10 of its weight at the root, and the weight of the way from the state before it."""
-        seen = [n[np.searchsorted(k, g)] for k, n, g in zip(self.keys, self.counts, grams(tokens, starts), strict=True)]
+    def run(self, tokens: np.ndarray, starts: np.ndarray, places: list[np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Count of each token, log10 of its weight at the root, and the weight of the way from the state before it.
+
+        places: of the n-grams that end at each token among the keys, order by order; they are looked up if not given.
+        """
+        if places is None:
+            places = [np.searchsorted(k, g) for k, g in zip(self.keys, grams(tokens, starts), strict=True)]
+        seen = [n[at] for n, at in zip(self.counts, places, strict=True)]
         root = np.log10((seen[0] + 1) / self.classes)
-        way, todo = np.zeros(len(tokens)), np.ones(len(tokens), bool)
+        way, todo = np.zeros(len(root)), np.ones(len(root), bool)
         smooth, fails = [10**root], []
         for order in range(1, ORDER):
             state = begun(seen[order - 1], starts, self.texts)
@@ -266,7 +282,7 @@ def score(docs: DataFrame, learn: str, prior: tuple[float, ...] = PRIOR, batch_b
         raw = codec.decompress(batch.column("body")[0].as_py(), batch.column("size")[0].as_py())
         rows = pa.ipc.open_stream(raw).read_all()
         words, starts = tokenised(rows.column("text"), WordHashes(200_000))
-        keys = [np.unique(k) for k in grams(words, starts)]
+        keys, places = zip(*map(placed, grams(words, starts)), strict=True)
         answered = answered.sort_by("part")
         if set(answered.column("digest").to_pylist()) != {digest(keys)}:
             raise ValueError("the rows of a batch were not the same when read again")
@@ -277,7 +293,8 @@ def score(docs: DataFrame, learn: str, prior: tuple[float, ...] = PRIOR, batch_b
         while edge < len(n):  # a block of texts at a time
             to = max(edge + 1, int(np.searchsorted(starts, starts[edge] + _BLOCK)))
             own = starts[edge:to] - starts[edge]
-            seen, root, way = automaton.run(words[starts[edge] : starts[edge] + own[-1] + n[to - 1]], own)
+            block = slice(starts[edge], starts[edge] + own[-1] + n[to - 1])
+            seen, root, way = automaton.run(words[block], own, [at[block] for at in places])
             sums.append([np.add.reduceat(x, own) for x in ((seen > 0).astype(np.int64), root, way)])
             edge = to
         known, base, total = (np.concatenate(x) for x in zip(*sums, strict=True))
